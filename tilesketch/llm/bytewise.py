@@ -84,12 +84,21 @@ def runs(inside: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray,
     return s, e, np.searchsorted(offs, s, "right") - 1
 
 
+def sums(data: np.ndarray) -> np.ndarray:
+    """Running sums of the hash polynomial, for ``ranged``."""
+    total = np.zeros(len(data) + 1, U)
+    np.cumsum(_BYTE[data] * _power(len(data) + 1)[0][: len(data)], out=total[1:])
+    return total
+
+
+def ranged(total: np.ndarray, s: np.ndarray, e: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of each byte range of the array behind ``total``."""
+    return mix((total[e] - total[s]) * _power(len(total))[1][s] + (e - s).astype(U))
+
+
 def hashes(data: np.ndarray, s: np.ndarray, e: np.ndarray) -> np.ndarray:
     """A 64-bit hash of each byte range."""
-    p, inv = _power(len(data) + 1)
-    total = np.zeros(len(data) + 1, U)
-    np.cumsum(_BYTE[data] * p[: len(data)], out=total[1:])
-    return mix((total[e] - total[s]) * inv[s] + (e - s).astype(U))
+    return ranged(sums(data), s, e)
 
 
 def words(data: np.ndarray, offs: np.ndarray, lower: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
