@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilesketch.llm.bytewise import U, blocks, lists, shingle_sets
-from tilesketch.llm.scratch import components, drop, keep
+from tilesketch.llm.scratch import components, drop, keep, release
 
 FLUSH = 1 << 21
 _ANY = (1 << 32) - 1  # stands for a token that several texts of one task hold
@@ -160,6 +160,7 @@ def links(sets: DataFrame, percent: int = 80, pivots: int = 2) -> DataFrame:
     ranked = ranked.where(F.size("ranked") >= need)
     first = ranked.select("id", "n", F.explode(F.slice("ranked", 1, (F.size("ranked") - need + 1).cast("int"))).alias("x")).select("id", "n", F.col("x.tok").alias("tok"))
     posts = keep(first)
+    release(sets.sparkSession)
     done, edges, label = None, None, None
     temporary = [posts]
     for turn in range(pivots + 1):
@@ -189,12 +190,16 @@ def links(sets: DataFrame, percent: int = 80, pivots: int = 2) -> DataFrame:
 def ngram_components(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """One row per document: ``doc_id``, ``n_shingles`` and ``component_id``, the smallest ``doc_id`` reachable by links
     (Jaccard of the shingle sets at least ``percent`` of 100)."""
-    sets = keep(shared_tokens(docs, k, percent).groupBy("doc_id").agg(F.max("n").alias("n"), F.max_by("toks", "n").alias("toks"), F.max_by("stays", "n").alias("stays")))
+    sets = keep(shared_tokens(docs, k, percent))
+    release(docs.sparkSession)
     live = sets.where("stays")
     whole = F.size("toks") == F.col("n")
     keyed = live.select("doc_id", "n", "toks", F.when(whole, F.xxhash64("toks")).otherwise(F.col("doc_id")).alias("k1"), F.when(whole, F.xxhash64(F.lit(1), F.reverse("toks"))).otherwise(F.lit(0)).alias("k2"), whole.alias("whole"))
     key = ["k1", "k2", "whole", "n"]
     classes = keep(keyed.groupBy(*key).agg(F.min("doc_id").alias("id"), F.min_by("toks", "doc_id").alias("toks")))
+    release(docs.sparkSession)
     label = links(classes.select("id", "n", "toks"), percent)
     members = keyed.select("doc_id", *key).join(classes.select("id", *key), key).join(label, "id", "left").select("doc_id", F.coalesce("component", "id").alias("component"))
-    return sets.select("doc_id", F.col("n").alias("n_shingles")).join(members, "doc_id", "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
+    members = members.groupBy("doc_id").agg(F.min("component").alias("component"))
+    sizes = sets.groupBy("doc_id").agg(F.max("n").alias("n_shingles"))
+    return sizes.join(members, "doc_id", "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
