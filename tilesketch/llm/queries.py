@@ -17,6 +17,12 @@ def op3_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_components(_table(spark, sf_dir, "documents"))
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tilesketch.llm.toxicity import toxicity_scores
+
+    return toxicity_scores(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
+
+
 def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tilesketch.llm.quality import quality_scores
 
@@ -29,14 +35,26 @@ def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_lines(_table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op7_grid_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tilesketch.llm.grid_join import near_vectors
+
+    return near_vectors(_table(spark, sf_dir, "embeddings"))
+
+
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tilesketch.llm.decontaminate import contaminated
 
     return contaminated(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
 
 
+def op9_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tilesketch.llm.sentencepiece_codec import encoded, model_bytes
+
+    return encoded(_table(spark, sf_dir, "documents"), model_bytes())
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_quality, op3_ngram_jaccard, op6_line_dedup, op8_decontaminate)}
+    return {f.__name__: f for f in (op1_toxicity, op2_quality, op3_ngram_jaccard, op6_line_dedup, op7_grid_join, op8_decontaminate, op9_sentencepiece)}
 
 
 def oracle_sql() -> dict[str, str]:
