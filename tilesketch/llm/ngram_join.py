@@ -13,9 +13,10 @@ Which tokens are shared is counted over all texts: each task sorts the tokens of
 of the hash into byte planes, and one task for each range finds the tokens that more than one text holds.  A token that is
 frequent in a task is sent once from it, however many texts hold it.
 
-Equal sets are one class.  Inside a group of classes that share a prefix token, every member is first compared with one
-pivot; only members that still lie in different components are compared with each other, so a large group of near copies
-costs its size, not the square.  No pair that could link two components is left out.
+Equal sets are one class.  Inside a group of classes that share a prefix token, every member is first compared with
+pivots.  Members that still lie in different components are compared with each other: pair by pair in groups of up to
+``crowd``, and in larger groups block by block, as products of incidence matrices, so that rows grow with the number of
+pairs of blocks.  No pair that could link two components is left out.
 
 Defined results: null, empty and white-space texts have 0 shingles and stand alone; a text shorter than k words has one
 shingle; rows of equal ``doc_id`` count as one document; rows without a ``doc_id`` are left out; other columns are ignored.
@@ -151,7 +152,80 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return met.where(100 * both >= percent * (F.col("na") + F.col("nb") - both)).select("a", "b")
 
 
-def links(sets: DataFrame, percent: int = 80, pivots: int = 2) -> DataFrame:
+def _incidence(rows: np.ndarray, toks: np.ndarray, n: int, vocab: np.ndarray) -> np.ndarray:
+    at = np.minimum(np.searchsorted(vocab, toks), len(vocab) - 1)
+    use = vocab[at] == toks
+    out = np.zeros((n, len(vocab)), np.float32)
+    out[rows[use], at[use]] = 1
+    return out
+
+
+def _meets(x: tuple, y: tuple, nx: int, ny: int, step: int = 8192) -> np.ndarray:
+    """How many tokens each row of x shares with each row of y; a side is (row numbers, tokens)."""
+    out = np.zeros((nx, ny), np.float32)
+    vocab = np.intersect1d(x[1], y[1])
+    for i in range(0, len(vocab), step):
+        part = vocab[i : i + step]
+        out += _incidence(*x, nx, part) @ _incidence(*y, ny, part).T
+    return out
+
+
+def _compare(percent: int):
+    """Pairs of blocks of sets: filters under both hash orders, full counts where any pair is left, and for each linked
+    set the smallest id it is linked with inside the two blocks."""
+
+    def side(r, x):
+        sets = r[x]
+        n = np.array([s["n"] for s in sets], np.int64)
+        toks = [np.array(s["toks"], np.int64) for s in sets]
+        spare = n + (-percent * n) // 100 + 1
+        rows = lambda parts: (np.repeat(np.arange(len(parts)), [len(t) for t in parts]), np.concatenate(parts))
+        return np.array([s["id"] for s in sets], np.int64), n, rows(toks), rows([t[:k] for t, k in zip(toks, spare, strict=True)]), rows([t[max(0, len(t) - k) :] for t, k in zip(toks, spare, strict=True)])
+
+    def run(batches):
+        for batch in batches:
+            for r in batch.to_pylist():
+                (xi, xn, *x), (yi, yn, *y) = side(r, "xs"), side(r, "ys")
+                size = len(xi), len(yi)
+                if not ((_meets(x[1], y[1], *size) > 0) & (_meets(x[2], y[2], *size) > 0)).any():
+                    continue
+                both = _meets(x[0], y[0], *size).astype(np.int64)
+                rows, cols = np.nonzero(100 * both >= percent * (xn[:, None] + yn[None, :] - both))
+                least = {}
+                for i in np.unique(np.concatenate([xi[rows], yi[cols]])).tolist():
+                    least[i] = i
+
+                def top(i, least=least):
+                    while least[i] != i:
+                        least[i] = i = least[least[i]]
+                    return i
+
+                for i, j in zip(xi[rows].tolist(), yi[cols].tolist(), strict=True):
+                    i, j = top(i), top(j)
+                    least[max(i, j)] = min(i, j)
+                found = [(i, top(i)) for i in least if top(i) != i]
+                if found:
+                    yield pa.RecordBatch.from_arrays([pa.array([f[1] for f in found], pa.int64()), pa.array([f[0] for f in found], pa.int64())], names=["a", "b"])
+
+    return run
+
+
+def block_links(posts: DataFrame, sets: DataFrame, percent: int, block: int = 256) -> DataFrame:
+    """Links among the sets of ``posts(tok, id)`` that share a token, found by comparing blocks of about ``block`` sets:
+    rows grow with the number of pairs of blocks, not of sets.  Sets with the same most common token lie together."""
+    common = posts.groupBy("tok").agg(F.count(F.lit(1)).alias("c"))
+    lead = posts.join(common, "tok").groupBy("id").agg(F.max(F.struct("c", "tok")).alias("lead"))
+    crowd = lead.groupBy("lead").agg(F.ceil(F.count(F.lit(1)) / block).alias("parts"))
+    placed = keep(lead.join(crowd, "lead").select("id", F.xxhash64("lead.tok", F.pmod(F.xxhash64("id"), "parts")).alias("block")))
+    at = posts.join(placed, "id").select("tok", "block").distinct()
+    pairs = at.select("tok", F.col("block").alias("x")).join(at.select("tok", F.col("block").alias("y")), "tok").where("x <= y").select("x", "y").distinct()
+    packed = keep(placed.join(sets, "id").groupBy("block").agg(F.collect_list(F.struct("id", "n", "toks")).alias("sets")))
+    side = lambda x: packed.select(F.col("block").alias(x), F.col("sets").alias(f"{x}s"))
+    spread = int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return pairs.join(side("x"), "x").join(side("y"), "y").repartition(spread, "x", "y").mapInArrow(_compare(percent), "a long, b long")
+
+
+def links(sets: DataFrame, percent: int = 80, pivots: int = 2, crowd: int = 64) -> DataFrame:
     """Components of the distinct sets ``(id, n, toks)``: ``(id, component)`` of every set with a link."""
     held = sets.select("id", "n", F.explode("toks").alias("tok"))
     df = held.groupBy("tok").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
@@ -169,13 +243,15 @@ def links(sets: DataFrame, percent: int = 80, pivots: int = 2) -> DataFrame:
         if turn < pivots:
             met = at.join(span, "tok").where("label <> pivot.label").select("id", "n", F.col("pivot.id").alias("other"), F.col("pivot.n").alias("m"))
         else:
-            open_ = at.join(span.select("tok"), "tok", "left_semi")
-            met = open_.join(open_.select("tok", F.col("id").alias("other"), F.col("n").alias("m"), F.col("label").alias("its")), "tok").where("label < its")
+            open_ = at.join(at.groupBy("tok").agg(F.count(F.lit(1)).alias("c"), F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("tok", "c"), "tok")
+            few, many = open_.where(F.col("c") <= crowd), open_.where(F.col("c") > crowd)
+            met = few.join(few.select("tok", F.col("id").alias("other"), F.col("n").alias("m"), F.col("label").alias("its")), "tok").where("label < its")
         pairs = met.where((100 * F.least("n", "m")) >= percent * F.greatest("n", "m")).select(F.least("id", "other").alias("a"), F.greatest("id", "other").alias("b")).distinct()
         pairs = keep(pairs if done is None else pairs.join(done, ["a", "b"], "left_anti"))
         temporary.append(pairs)
         done = pairs if done is None else done.unionByName(pairs)
-        new = keep(verified(pairs, sets, percent))
+        new = verified(pairs, sets, percent)
+        new = keep(new if turn < pivots else new.unionByName(block_links(many.select("tok", "id"), sets, percent)))
         temporary.append(new)
         edges = new if edges is None else edges.unionByName(new)
         if turn and new.isEmpty():

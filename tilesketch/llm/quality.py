@@ -20,6 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilesketch.llm.bytewise import LETTER, LOWER, SPACE, blocks, lists, ranged, runs, sums
+from tilesketch.llm.scratch import drop, keep
 
 NAMES = ("words", "bytes", "word_length", "letters", "capitals", "digits", "marks", "stops", "symbol_words", "distinct", "repeats", "short", "capital_words", "lines", "longest_word", "shout_words")
 
@@ -152,11 +153,33 @@ def held_out():
     return F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 0, F.lit(False))
 
 
+def _fit_on(stats: DataFrame, labels: DataFrame, name: str) -> Discriminant:
+    known = labels.where(~held_out()).select(F.col("doc_id").cast("long").alias("doc_id"), F.col(name).alias("label"))
+    return fit(stats.join(known, "doc_id").select("stats", "label"))
+
+
+def fit_on_labels(docs: DataFrame, labels: DataFrame, name: str = "quality") -> Discriminant:
+    """The model of all labelled documents outside the held-out fifth."""
+    stats = keep(document_statistics(docs))
+    model = _fit_on(stats, labels, name)
+    drop(stats)
+    return model
+
+
+def accepted(docs: DataFrame, model: Discriminant, least: float) -> DataFrame:
+    """The rows of ``docs``, all columns, whose score is at least ``least``."""
+
+    def run(batches):
+        for part, data, offs in blocks(batches):
+            stays = model.score(statistics(data, offs)) >= least
+            if stays.any():
+                yield part.filter(pa.array(stays))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def quality_scores(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """``doc_id, held_out, score, predicted``: fitted on the labels outside the held-out fifth."""
-    from tilesketch.llm.scratch import keep
-
     stats = keep(document_statistics(docs))
-    known = labels.where(~held_out()).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").alias("label"))
-    model = fit(stats.join(known, "doc_id").select("stats", "label"))
+    model = _fit_on(stats, labels, "quality")
     return apply(stats, model).select("doc_id", held_out().alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))

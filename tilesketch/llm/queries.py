@@ -29,6 +29,19 @@ def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_scores(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
 
 
+def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tilesketch.llm.sentencepiece_codec import model_bytes
+    from tilesketch.llm.token_counts import token_counts
+
+    return token_counts(_table(spark, sf_dir, "documents"), model_bytes())
+
+
+def op5_chat_perspectives(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tilesketch.llm.chat_format import perspectives
+
+    return perspectives(_table(spark, sf_dir, "conversations"))
+
+
 def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tilesketch.llm.line_dedup import dedup_lines
 
@@ -53,8 +66,14 @@ def op9_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encoded(_table(spark, sf_dir, "documents"), model_bytes())
 
 
+def op10_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tilesketch.llm.personal_data import personal_data
+
+    return personal_data(_table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_toxicity, op2_quality, op3_ngram_jaccard, op6_line_dedup, op7_grid_join, op8_decontaminate, op9_sentencepiece)}
+    return {f.__name__: f for f in (op1_toxicity, op2_quality, op3_ngram_jaccard, op4_token_counts, op5_chat_perspectives, op6_line_dedup, op7_grid_join, op8_decontaminate, op9_sentencepiece, op10_personal_data)}
 
 
 def oracle_sql() -> dict[str, str]:
