@@ -148,29 +148,34 @@ class Tagger:
         return 1 / (1 + np.exp(-np.clip(x, -500, 500)))
 
 
-def taken_features(doc: np.ndarray, feats: np.ndarray, toxic: np.ndarray, precision: float = 0.9, least: int = 5, common: float = 0.02) -> np.ndarray:
+def _once(key: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct (key, document) pairs, by key."""
+    order = np.lexsort((owner, key))
+    key, owner = key[order], owner[order]
+    new = np.ones(len(key), bool)
+    new[1:] = (key[1:] != key[:-1]) | (owner[1:] != owner[:-1])
+    return key[new], owner[new]
+
+
+def taken_features(parts: list, toxic: np.ndarray, precision: float = 0.9, least: int = 5, common: float = 0.02) -> np.ndarray:
     """Features of at least the ``common`` share of the toxic documents; then, greedily, those of the toxic documents that
-    are left."""
-    def once(words: np.ndarray, among: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
-        key, owner = feats[words].reshape(-1), np.repeat(doc[words], feats.shape[1])
-        stays = key != 0
-        if among is not None:
-            near = np.zeros(1 << 20, bool)
-            near[(among & U((1 << 20) - 1)).astype(np.int64)] = True
-            stays &= near[(key & U((1 << 20) - 1)).astype(np.int64)]
-        key, owner = key[stays], owner[stays]
-        if among is not None:
-            stays = np.isin(key, among)
-            key, owner = key[stays], owner[stays]
-        order = np.lexsort((owner, key))
-        key, owner = key[order], owner[order]
-        new = np.ones(len(key), bool)
-        new[1:] = (key[1:] != key[:-1]) | (owner[1:] != owner[:-1])
-        return key[new], owner[new]
-
-    key, owner = once(np.flatnonzero(toxic[doc] == 1))
+    are left.  Blocks of texts are gone through twice, so that only the features of toxic documents are held."""
+    found = [_once(f[toxic[d] == 1].reshape(-1), np.repeat(d[toxic[d] == 1], f.shape[1])) for d, _, f in _each(parts)]
+    key, owner = (np.concatenate(x) for x in zip(*found, strict=True))
+    key, owner = key[key != 0], owner[key != 0]
     values, count = np.unique(key, return_counts=True)
-    key, owner = (np.concatenate(x) for x in zip((key, owner), once(np.flatnonzero(toxic[doc] == 0), values[count >= least]), strict=True))
+    values = values[count >= least]
+    near = np.zeros(1 << 20, bool)
+    near[(values & U((1 << 20) - 1)).astype(np.int64)] = True
+    boxes = [(key, owner)]
+    for d, _, f in _each(parts):
+        clean = toxic[d] == 0
+        k, o = f[clean].reshape(-1), np.repeat(d[clean], f.shape[1])
+        maybe = near[(k & U((1 << 20) - 1)).astype(np.int64)]
+        k, o = k[maybe], o[maybe]
+        maybe = np.isin(k, values)
+        boxes.append(_once(k[maybe], o[maybe]))
+    key, owner = (np.concatenate(x) for x in zip(*boxes, strict=True))
     values, at, count = np.unique(key, return_inverse=True, return_counts=True)
     bad = np.bincount(at, toxic[owner], minlength=len(values))
     good = np.flatnonzero((bad >= least) & (bad / count >= precision))
@@ -192,6 +197,15 @@ def taken_features(doc: np.ndarray, feats: np.ndarray, toxic: np.ndarray, precis
     return np.unique(np.array(out, U))
 
 
+def _each(parts: list):
+    """Text numbers, piece numbers and features of the words, block by block; numbers go on from block to block."""
+    texts = pieces = 0
+    for _, data, offs in parts:
+        _, _, d, p, f = tokens(data, offs)
+        yield d + texts, p + pieces, f
+        texts, pieces = texts + len(offs) - 1, pieces + (int(p[-1]) + 1 if len(p) else 0)
+
+
 def fit(texts: list[str], toxic: np.ndarray, steps: int = 100, ridge: float = 1e-3, pieces: int = 2000, precision: float = 0.9, least: int = 5) -> Tagger:
     """Train on whole texts with their labels, the chain on about ``pieces`` pieces with taken features and as many without.
     Equal texts count once."""
@@ -204,29 +218,24 @@ def fit(texts: list[str], toxic: np.ndarray, steps: int = 100, ridge: float = 1e
     flat = Tagger(np.zeros(0, U), np.zeros(0), -8.0, np.zeros((2, 2)), np.zeros(2), np.array([np.log(rate / (1 - rate)), 0.0, 0.0]))
     if not len(texts) or toxic.min() == toxic.max():
         return flat
-    doc, piece, feats = ([np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros((0, 1 + len(PREFIXES)), U)])
-    texts_so_far = pieces_so_far = 0
-    for _, data, offs in parts:
-        _, _, d, p, f = tokens(data, offs)
-        for box, x in zip((doc, piece, feats), (d + texts_so_far, p + pieces_so_far, f), strict=True):
-            box.append(x)
-        texts_so_far, pieces_so_far = texts_so_far + len(offs) - 1, pieces_so_far + (int(p[-1]) + 1 if len(p) else 0)
-    doc, piece, feats = np.concatenate(doc), np.concatenate(piece), np.concatenate(feats)
-    keys = taken_features(doc, feats, toxic, precision, least)
+    keys = taken_features(parts, toxic, precision, least)
     if not len(keys):
         return flat
-    which = np.searchsorted(keys, feats)
-    which = np.where(keys[np.minimum(which, len(keys) - 1)] == feats, np.minimum(which, len(keys) - 1), -1)
-    some = (which >= 0).any(1)
-    gold = (some & (toxic[doc] == 1)).astype(float)
-    live = np.zeros(piece[-1] + 1, bool)
-    live[piece[some]] = True
-    held, rest = np.flatnonzero(live), np.flatnonzero(~live)
-    live[:] = False
-    live[held[:: -(-len(held) // pieces) or 1]] = live[rest[:: -(-len(rest) // pieces) or 1]] = True
-    words = np.flatnonzero(live[piece])
-    own = np.cumsum(live)[piece[words]] - 1
-    which, gold = which[words], gold[words]
+    with_, without = [], []
+    for d, p, f in _each(parts):
+        at = np.minimum(np.searchsorted(keys, f), len(keys) - 1)
+        at = np.where(keys[at] == f, at, -1)
+        some = np.zeros(int(p[-1] - p[0]) + 1 if len(p) else 0, bool)
+        some[p[(at >= 0).any(1)] - (p[0] if len(p) else 0)] = True
+        for box, live in ((with_, some), (without, ~some)):
+            few = np.flatnonzero(live)
+            few = few[:: max(1, -(-len(few) * len(parts) // pieces))]
+            use = np.isin(p - (p[0] if len(p) else 0), few)
+            box.append((at[use], p[use], ((at[use] >= 0).any(1) & (toxic[d[use]] == 1)).astype(float)))
+    which, piece, gold = (np.concatenate(x) for x in zip(*with_, *without, strict=True))
+    order = np.argsort(piece, kind="stable")
+    which, piece, gold = which[order], piece[order], gold[order]
+    words, own = np.arange(len(piece)), np.unique(piece, return_inverse=True)[1]
     y, place, lens = padded(gold, own)
     mask = np.arange(y.shape[1])[None, :] < lens[:, None]
     y1, both = y[:, :-1], mask[:, 1:]
@@ -292,7 +301,7 @@ def apply(docs: DataFrame, tagger: Tagger) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, score double, spans string")
 
 
-def toxicity_scores(docs: DataFrame, labels: DataFrame, bound: int = 6_000) -> DataFrame:
+def toxicity_scores(docs: DataFrame, labels: DataFrame, bound: int = 4_000) -> DataFrame:
     """``doc_id, held_out, score, predicted, spans``; trained on at most ``bound`` labelled documents."""
     tagger = fit(*training_sample(docs, labels, bound))
     return apply(docs, tagger).select("doc_id", held_out().alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), "spans")
