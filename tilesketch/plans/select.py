@@ -30,7 +30,10 @@ class LocalState:
     """Weights of the cells (+1 uncovered one, -1 uncovered zero, 0 covered) and the cells of each tile."""
 
     def __init__(self, matrix: Matrix, pool: Pool):
-        flat = lambda df, *c: df.select(*c).toPandas().to_numpy(np.int64)
+        def flat(df: DataFrame, *c: str) -> np.ndarray:
+            got = df.select(*(F.col(x).cast("long") for x in c)).toArrow()
+            return np.stack([got.column(i).to_numpy() for i in range(len(c))], 1)
+
         ones = flat(matrix.ones, "row_id", "col_id")
         if pool.tile_cells is not None:
             cells = flat(pool.tile_cells, "tile_id", "row_id", "col_id")
