@@ -36,7 +36,7 @@ LETTER[65:91] = LETTER[97:123] = LETTER[128:] = True
 
 def _power(n: int) -> tuple[np.ndarray, np.ndarray]:
     if len(_powers.get("p", ())) < n:
-        n = max(n, 1 << 21)
+        n = max(-(-n >> 18) << 18, 5 << 18)
         for name, r in (("p", _BASE), ("i", pow(_BASE, -1, 1 << 64))):
             x = np.full(n, r, U)
             x[0] = 1
@@ -44,7 +44,7 @@ def _power(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers["p"], _powers["i"]
 
 
-def blocks(batches: Iterator[pa.RecordBatch], size: int = 1 << 21) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
+def blocks(batches: Iterator[pa.RecordBatch], size: int = 1 << 20) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
     """Slices of the batches of about ``size`` bytes of the column ``text`` (a longer text stands alone), each with its
     bytes and offsets.  Null texts count as empty."""
     for batch in batches:
