@@ -6,6 +6,7 @@ A block of texts is one byte array with offsets.  All hashes are polynomials ove
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -14,6 +15,14 @@ import pyarrow as pa
 U = np.uint64
 _BASE, _STEP = 0x9E3779B97F4A7C15 | 1, 0xD6E8FEB86659FD93 | 1
 _powers: dict[str, np.ndarray] = {}
+_malloc_trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+
+
+def trim() -> None:
+    """Give free memory of this process back to the system: a worker outlives its stage and else holds its peak."""
+    pa.default_memory_pool().release_unused()
+    if _malloc_trim is not None:
+        _malloc_trim(0)
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -64,6 +73,8 @@ def blocks(batches: Iterator[pa.RecordBatch], size: int = 1 << 20) -> Iterator[t
             to = max(at + 1, int(np.searchsorted(offs, offs[at] + size, "right")) - 1)
             yield batch.slice(at, to - at), data[offs[at] : offs[to]], offs[at : to + 1] - offs[at]
             at = to
+        del batch, text, raw, offs, data
+        trim()
 
 
 def runs(inside: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

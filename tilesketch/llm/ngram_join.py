@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tilesketch.llm.bytewise import U, blocks, lists, shingle_sets
+from tilesketch.llm.bytewise import U, blocks, lists, shingle_sets, trim
 from tilesketch.llm.scratch import components, drop, keep, release
 
 FLUSH = 1 << 21
@@ -60,9 +60,11 @@ def _send(k: int, bits: int, local: bool):
 
     def flush(task, toks, owners, ids, sizes):
         tok, owner = np.concatenate(toks), np.concatenate(owners).astype(np.uint32)
+        toks.clear(), owners.clear()
         ids, sizes = np.concatenate(ids), np.concatenate(sizes).astype(np.uint32)
         order = np.argsort(tok, kind="stable")
         tok, owner = tok[order], owner[order]
+        del order
         again = np.zeros(len(tok), bool)
         again[1:] = tok[1:] == tok[:-1]
         both = again.copy()
@@ -89,6 +91,7 @@ def _send(k: int, bits: int, local: bool):
             if total >= FLUSH:
                 yield flush(task, *held)
                 held, texts, total, task = ([], [], [], []), 0, 0, task + 1
+                trim()
         if texts:
             yield flush(task, *held)
 
@@ -105,12 +108,15 @@ def _find_shared(table: pa.Table) -> pa.Table:
     again = tok[order][1:] == tok[order][:-1]
     shared = np.zeros(len(tok), bool)
     shared[order[1:][again]] = shared[order[:-1][again]] = True
+    del tok, order, again
     out, at = [], 0
     for task, t, o in zip(tasks, toks, owners, strict=True):
         mine = shared[at : at + len(t)] & (o != _ANY)
         at += len(t)
         if mine.any():
             out.append((0, task, _pack(_steps(t[mine])), _pack(o[mine]), None, None))
+    del toks, owners
+    trim()
     return pa.Table.from_pylist([dict(zip(_SENT.names, r, strict=True)) for r in out], schema=_SENT)
 
 
@@ -126,6 +132,7 @@ def _gather(percent: int):
         tok, owner = tok[mine], owner[mine]
         order = np.argsort(tok.view(np.int64), kind="stable")
         order = order[np.argsort(owner[order], kind="stable")]
+        trim()
         return pa.table({"doc_id": ids, "n": n, "stays": stays, "toks": lists(tok[order], np.where(stays, held, 0))})
 
     return run

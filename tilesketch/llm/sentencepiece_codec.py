@@ -22,6 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tilesketch.llm.bytewise import trim
+
 MARK = "▁"
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 # fixed values: kinds of pieces and of models in the file format
@@ -159,6 +161,7 @@ def encoded(docs: DataFrame, model: bytes, size: int = 1 << 20) -> DataFrame:
                 flat = np.concatenate(got) if got else np.zeros(0, np.int32)
                 yield pa.RecordBatch.from_arrays([ids.slice(at, len(part)), pa.ListArray.from_arrays(offs, pa.array(flat)), pa.array(lens), pa.array([x == y for x, y in zip(part, back, strict=True)]), pa.array([hashlib.sha256(x.tobytes()).hexdigest() for x in got])], names=["doc_id", "ids", "n_tokens", "round_trip", "ids_sha256"])
                 at += len(part)
+            trim()
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, ids array<int>, n_tokens long, round_trip boolean, ids_sha256 string")
 
