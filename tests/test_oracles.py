@@ -9,7 +9,7 @@ import __spark_entry__ as entry
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-NAMES = ["order_brand_density", "doc_term_mid_density", "bench_shingle_density", "hashed_exact", "hashed_inexact", "greedy_exact", "greedy_inexact", "static_exact", "static_inexact", "profile", "overlap", "error_path", "itemsets", "closed_itemsets", "assoc_tiles", "sketch_band", "est_joint", "est_union", "syn_tiles", "err_parts", "redesc_pairs", *(n for n in entry.oracle_sql() if n.startswith(("ops_", "stream_")))]
+NAMES = ["order_brand_density", "doc_term_mid_density", "bench_shingle_density", "hashed_exact", "hashed_inexact", "greedy_exact", "greedy_inexact", "static_exact", "static_inexact", "profile", "overlap", "error_path", "itemsets", "closed_itemsets", "assoc_tiles", "sketch_band", "est_joint", "est_union", "syn_tiles", "err_parts", "redesc_pairs", "density", "hashed_tie_id", "hashed_noverify", "hashed_small_modulus", "hashed_cover", "random_order", "sketch_cells", "est_median", "est_accuracy", "score_inexact", "union_matrix", *(n for n in entry.oracle_sql() if n.startswith(("ops_", "stream_")))]
 
 
 @pytest.fixture(scope="module")

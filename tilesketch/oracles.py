@@ -78,8 +78,8 @@ def greedy(head: list[str], picks: int) -> str:
     return _finish(parts, picks, "gain, error::BIGINT AS error, error / (n_rows * n_cols) AS rel_error")
 
 
-def static(head: list[str], picks: int) -> str:
-    parts = [*head, *CELLS, f"rank AS (SELECT tile_id, gain, row_number() OVER (ORDER BY gain DESC, tile_id) AS step FROM alone ORDER BY gain DESC, tile_id LIMIT {picks})", "first AS (SELECT row_id, col_id, min(step) AS step, any_value(w) AS w FROM cells JOIN rank USING (tile_id) GROUP BY row_id, col_id)", "won AS (SELECT step, sum(w) AS g FROM first GROUP BY step)"]
+def static(head: list[str], picks: int, order: str = "gain DESC, tile_id") -> str:
+    parts = [*head, *CELLS, f"rank AS (SELECT tile_id, gain, row_number() OVER (ORDER BY {order}) AS step FROM alone ORDER BY {order} LIMIT {picks})", "first AS (SELECT row_id, col_id, min(step) AS step, any_value(w) AS w FROM cells JOIN rank USING (tile_id) GROUP BY row_id, col_id)", "won AS (SELECT step, sum(w) AS g FROM first GROUP BY step)"]
     return f"WITH {', '.join(parts)} SELECT CAST(step AS INTEGER) AS step, tile_id, gain, ((SELECT n_ones FROM shape) - sum(coalesce(g, 0)) OVER (ORDER BY step))::BIGINT AS error, ((SELECT n_ones FROM shape) - sum(coalesce(g, 0)) OVER (ORDER BY step)) / (SELECT n_rows * n_cols FROM shape) AS rel_error FROM rank LEFT JOIN won USING (step)"
 
 
@@ -98,7 +98,7 @@ def _size(k: int, prime: int) -> str:
     return f"CASE WHEN count(*) < {k} THEN count(*)::DOUBLE ELSE {float(k)}::DOUBLE / ((max(h) + 1) / {float(prime)}::DOUBLE) END"
 
 
-def hashed(head: list[str], fam: Family, k: int, picks: int, max_checks: int, inexact: bool) -> str:
+def hashed(head: list[str], fam: Family, k: int, picks: int, max_checks: int, inexact: bool, tie: str = "alone DESC, ", verify: bool = True) -> str:
     parts = [*head, *CELLS, lists(fam, k), "p1 AS (SELECT tile_id, gain, NULL::DOUBLE AS estimate, 1 AS n_checked FROM alone WHERE gain > 0 ORDER BY gain DESC, tile_id LIMIT 1)"]
     for i in range(2, picks + 1):
         ids = ", ".join(f"(SELECT tile_id FROM p{j})" for j in range(1, i))
@@ -106,6 +106,6 @@ def hashed(head: list[str], fam: Family, k: int, picks: int, max_checks: int, in
         both = f"SELECT tile_id, rep, h FROM low WHERE tile_id NOT IN ({ids}) UNION SELECT tile_id, rep, h FROM (SELECT DISTINCT tile_id FROM low WHERE tile_id NOT IN ({ids})) CROSS JOIN q{i}"
         parts.append(f"e{i} AS (SELECT tile_id, rep, {_size(k, fam.prime)} AS e FROM (SELECT *, row_number() OVER (PARTITION BY tile_id, rep ORDER BY h) AS n FROM ({both})) WHERE n <= {k} GROUP BY tile_id, rep)")
         parts.append(f"s{i} AS (SELECT tile_id, median(e) - {'any_value(zeros)' if inexact else '0'} AS estimate, any_value(gain) AS alone FROM e{i} JOIN alone USING (tile_id) GROUP BY tile_id)")
-        parts.append(f"r{i} AS (SELECT *, row_number() OVER (ORDER BY estimate DESC, alone DESC, tile_id) AS place FROM s{i} ORDER BY place LIMIT {max_checks})")
-        parts.append(f"p{i} AS (SELECT tile_id, gain, estimate, place AS n_checked FROM (SELECT r.tile_id, r.estimate, r.place, coalesce(sum(w) FILTER (WHERE v.row_id IS NULL), 0)::BIGINT AS gain FROM r{i} r JOIN cells c USING (tile_id) LEFT JOIN (SELECT DISTINCT row_id, col_id FROM cells WHERE tile_id IN ({ids})) v USING (row_id, col_id) GROUP BY ALL) WHERE gain > 0 ORDER BY place LIMIT 1)")
+        parts.append(f"r{i} AS (SELECT *, row_number() OVER (ORDER BY estimate DESC, {tie}tile_id) AS place FROM s{i} ORDER BY place LIMIT {max_checks if verify else 1})")
+        parts.append(f"p{i} AS (SELECT tile_id, gain, estimate, {'place' if verify else '0'} AS n_checked FROM (SELECT r.tile_id, r.estimate, r.place, coalesce(sum(w) FILTER (WHERE v.row_id IS NULL), 0)::BIGINT AS gain FROM r{i} r JOIN cells c USING (tile_id) LEFT JOIN (SELECT DISTINCT row_id, col_id FROM cells WHERE tile_id IN ({ids})) v USING (row_id, col_id) GROUP BY ALL){' WHERE gain > 0' if verify else ''} ORDER BY place LIMIT 1)")
     return _finish(parts, picks, "estimate, gain, error::BIGINT AS error, error / (n_rows * n_cols) AS rel_error, CAST(n_checked AS INTEGER) AS n_checked")

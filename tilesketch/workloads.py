@@ -73,6 +73,13 @@ def _redescription_set(spark: SparkSession, d: str, method: str = "hashed", most
     return trace
 
 
+def _union_matrix(spark: SparkSession, d: str) -> DataFrame:
+    left, right = _views(spark, d)
+    names = tables.dictionary(left.select("pred").unionByName(right.select("pred")), "pred", "col_id")
+    pool = redescriptions.as_pool(redescriptions.best_pairs(_redescriptions(spark, d), 40), left, right, names)
+    return metrics.density(redescriptions.union_matrix(pool, tables.table(spark, d, "documents").count(), names.count()))
+
+
 def _sketch_rows(lists: DataFrame) -> DataFrame:
     return lists.select("tile_id", F.posexplode("hashes").alias("rep", "h")).select("tile_id", "rep", F.posexplode("h").alias("place", "h"))
 
@@ -124,6 +131,7 @@ def queries() -> dict[str, Query]:
     q: dict[str, Query] = {}
     for name in tables.BINARIZERS:
         q[f"{name}_density"] = lambda s, d, name=name: metrics.density(tables.matrix(s, d, name)[0])
+    q["density"] = q["embed_high_density"]
     trace = lambda t: t.select(*TRACE)
     plain = lambda t: t.select("step", "tile_id", "gain", "error", "rel_error")
     small = {"max_tiles": 4, "sketch_k": K, "reps": REPS}
@@ -177,17 +185,21 @@ def queries() -> dict[str, Query]:
         "assoc_tiles_all": lambda s, d: _embed(s, d, "all")[1].tile_rows.select("tile_id", "row_id"),
         "walk_tiles": lambda s, d: association.restart_walk(tables.matrix(s, d, "embed_high")[0]).tile_cols.select("tile_id", "col_id"),
         "redesc_pairs": _redescriptions,
+        "union_matrix": _union_matrix,
         "redesc_tiles": lambda s, d: redescriptions.best_pairs(_redescriptions(s, d), 40),
         "hash_axis": lambda s, d: tables.matrix(s, d, "nation_region")[0].ones.select("row_id", "col_id", *(hashing.affine(F.col("row_id"), ar, br).alias(f"r{i}") for i, (ar, br, _, _) in enumerate(FAM.maps))),
         "hash_cell": lambda s, d: tables.matrix(s, d, "nation_region")[0].ones.select("row_id", "col_id", *(hashing.cell(hashing.affine(F.col("row_id"), ar, br), hashing.affine(F.col("col_id"), ac, bc)).alias(f"h{i}") for i, (ar, br, ac, bc) in enumerate(FAM.maps))),
         "sketch_band": lambda s, d: _sketch_rows(sketch.build(_brand(s, d)[1], FAM, K, "band")),
         "sketch_walk": lambda s, d: _sketch_rows(sketch.build(_brand(s, d)[1], FAM, K, "walk")),
         "sketch_enum": lambda s, d: _sketch_rows(sketch.build(_brand(s, d)[1], FAM, K, "enumerate")),
+        "sketch_cells": lambda s, d: _sketch_rows(sketch.build(_union_pool(_embed(s, d)[1]), FAM, K)),
         "sketch_cutoff": lambda s, d: _sketch_rows(sketch.build(_brand(s, d)[1], FAM, K, "band", 10_000_000)),
         "est_tile": lambda s, d: _estimates(s, d, "k"),
         "est_km1": lambda s, d: _estimates(s, d, "k-1"),
+        "est_median": lambda s, d: _spread(s, d),
         "est_union": lambda s, d: metrics.union_size(sketch.build(_brand(s, d)[1], FAM, K), K, REPS),
         "est_joint": lambda s, d: _joint(s, d),
+        "score_inexact": lambda s, d: _inexact_scores(s, d),
         "small_tiles": lambda s, d: _small(s, d),
         "suggest_k": lambda s, d: s.createDataFrame([(sketch.suggest_k(_brand(s, d)[1]),)], "k int"),
         "est_accuracy": lambda s, d: metrics.estimate_accuracy(_brand(s, d)[1]),
@@ -274,6 +286,21 @@ def _estimates(spark, d, kind):
     return lists.select("tile_id", estimate.median_of(F.transform("hashes", lambda h: estimate.size(h, K, estimator=kind))).alias("estimate"))
 
 
+def _spread(spark, d):
+    """The median over the repetitions beside the extremes that it is robust to."""
+    sizes = F.transform("hashes", lambda h: estimate.size(h, K))
+    return sketch.build(_brand(spark, d)[1], FAM, K).select("tile_id", F.array_min(sizes).alias("least"), estimate.median_of(sizes).alias("median"), F.array_max(sizes).alias("most"))
+
+
+def _inexact_scores(spark, d):
+    """Each tile's joint size with the tile of the least id, less the zeros of its own."""
+    m, pool = _embed(spark, d)
+    lists = sketch.build(pool, FAM, K)
+    first = lists.agg(F.min_by("hashes", "tile_id").alias("q"), F.min("tile_id").alias("first"))
+    zeros = cover.profile(m, pool).select("tile_id", "zeros")
+    return lists.join(zeros, "tile_id").join(F.broadcast(first), F.col("tile_id") > F.col("first")).select("tile_id", (estimate.score(F.col("q"), F.col("hashes"), K) - F.col("zeros")).alias("score"))
+
+
 def _joint(spark, d):
     lists = sketch.build(_brand(spark, d)[1], FAM, K)
     first = lists.where("tile_id = 1").select(F.col("hashes").alias("q"))
@@ -360,6 +387,24 @@ def oracle_sql() -> dict[str, str]:
         "syn_tiles": "WITH r AS (SELECT DISTINCT o_orderkey AS id FROM orders ORDER BY 1 LIMIT 100), c AS (SELECT DISTINCT p_partkey AS id FROM part ORDER BY 1 LIMIT 120), t AS (SELECT range AS tile_id FROM range(20)), u AS (SELECT tile_id, count(*) AS n_r FROM t CROSS JOIN r WHERE ('0x' || substr(md5('1|r|' || tile_id || '|' || id), 1, 13))::BIGINT / 4503599627370496.0::DOUBLE < 0.13 GROUP BY 1), v AS (SELECT tile_id, count(*) AS n_c FROM t CROSS JOIN c WHERE ('0x' || substr(md5('1|c|' || tile_id || '|' || id), 1, 13))::BIGINT / 4503599627370496.0::DOUBLE < 0.13 GROUP BY 1) SELECT tile_id, n_r, n_c FROM u FULL JOIN v USING (tile_id)",
         "w12_contamination": _with(sql.matrix("bench_shingle"), "SELECT col_id, count(*) AS n_items FROM ones GROUP BY col_id"),
     }
+    top = f"top AS ({o['redesc_tiles'].split(_REDESC[-1], 1)[1].strip()})"
+    per_rep = f"SELECT tile_id, rep, {sql._size(K, FAM.prime)} AS e FROM low GROUP BY tile_id, rep"
+    wide = hashing.family(10, 42)
+    hashed_cells = sql.lists(FAM, K).replace("FROM cells CROSS JOIN", "FROM joined CROSS JOIN")
+    joined = "joined AS (SELECT tile_id, row_id, col_id FROM cells UNION SELECT tile_id - 1, row_id, col_id FROM cells WHERE tile_id - 1 IN (SELECT tile_id FROM cells))"
+    o |= {
+        "density": o["embed_high_density"],
+        "hashed_tie_id": sql.hashed(BRAND, FAM, K, 4, 30, False, tie=""),
+        "hashed_noverify": sql.hashed(BRAND, FAM, K, 4, 1, False, verify=False),
+        "hashed_small_modulus": sql.hashed(EMBED, hashing.family(REPS, 42, 10007), K, 4, 30, True),
+        "hashed_cover": f"SELECT step, tile_id, gain, error, rel_error FROM ({sql.hashed(nations, FAM, K, 5, 30, False)})",
+        "random_order": sql.static(EMBED, 5, "('0x' || substr(md5('1|' || tile_id), 1, 13))::BIGINT, tile_id"),
+        "sketch_cells": _with([*EMBED, *sql.CELLS], "SELECT tile_id, CAST(rep AS INTEGER) AS rep, CAST(row_number() OVER (PARTITION BY tile_id, rep ORDER BY h) - 1 AS INTEGER) AS place, h FROM low", joined, hashed_cells),
+        "est_median": _with([*BRAND, *sql.CELLS], f"SELECT tile_id, min(e) AS least, median(e) AS median, max(e) AS most FROM ({per_rep}) GROUP BY tile_id", sql.lists(FAM, K)),
+        "est_accuracy": _with([*BRAND, *sql.CELLS], f"SELECT tile_id, estimate, size, estimate / size AS ratio FROM (SELECT tile_id, median(e) AS estimate FROM (SELECT tile_id, rep, {sql._size(30, wide.prime)} AS e FROM low GROUP BY tile_id, rep) GROUP BY tile_id) JOIN alone USING (tile_id)", sql.lists(wide, 30)),
+        "score_inexact": _with([*EMBED, *sql.CELLS], f"SELECT tile_id, median(e) - any_value(zeros) AS score FROM (SELECT tile_id, rep, {sql._size(K, FAM.prime)} AS e FROM (SELECT *, row_number() OVER (PARTITION BY tile_id, rep ORDER BY h) AS n FROM (SELECT tile_id, rep, h FROM low WHERE tile_id > f UNION SELECT t.tile_id, q.rep, q.h FROM (SELECT DISTINCT tile_id FROM low WHERE tile_id > f) t CROSS JOIN (SELECT rep, h FROM low WHERE tile_id = f) q)) WHERE n <= {K} GROUP BY tile_id, rep) JOIN alone USING (tile_id) GROUP BY tile_id".replace("tile_id > f", "tile_id > (SELECT min(tile_id) FROM low)").replace("tile_id = f", "tile_id = (SELECT min(tile_id) FROM low)"), sql.lists(FAM, K)),
+        "union_matrix": _with(_REDESC, "SELECT n_rows, n_cols, n_ones, n_ones / (n_rows * n_cols) AS density FROM (SELECT (SELECT count(*) FROM documents) AS n_rows, (SELECT count(*) FROM (SELECT pred FROM lefts UNION SELECT pred FROM rights)) AS n_cols, count(*) AS n_ones FROM both_hold)", top, "both_hold AS (SELECT DISTINCT l.entity_id, unnest([q_left, q_right]) AS pred FROM top JOIN lefts l ON l.pred = q_left JOIN rights r ON r.pred = q_right AND r.entity_id = l.entity_id)"),
+    }
     o["hashed_exact_distributed"] = o["hashed_exact"]
     o |= {f"greedy_{x}": o["greedy_exact"] for x in ("exact_distributed", "recompute", "lazy")}
     from tilesketch.relational import oracle_sql as more
