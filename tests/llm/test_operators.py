@@ -181,6 +181,31 @@ def test_codec_parity():
     assert codec.parity(m.SerializeToString(), texts) == []
 
 
+def test_decoder_equals_the_library():
+    from tilesketch.llm import sentencepiece_codec as codec
+
+    model = codec.model_bytes()
+    coder, ours = codec.build(model), codec.Decoder(model)
+    texts = ["", " ", "  a  b", "日本語 🎉\n\n \t", "</s> <unk> <0x41>", "ab   cd\n ef", "x" * 3000, "\ufffd é"]
+    ids = [x.ids for x in coder.encode_batch_fast(texts, add_special_tokens=False)]
+    flat, offs = np.concatenate([np.array(x, np.int64) for x in ids]), np.cumsum([0, *map(len, ids)])
+    for step in (3, 1 << 18):
+        assert [x.decode() for x in ours.decode(flat, offs, step)] == coder.decode_batch(ids, skip_special_tokens=False)
+    with pytest.raises(ValueError):
+        ours.decode(np.array([10**6]), np.array([0, 1]))
+
+
+def test_encoded_texts_come_back(spark):
+    from tilesketch.llm import sentencepiece_codec as codec
+
+    model = codec.model_bytes()
+    rows = [(1, "a  b\n"), (2, ""), (3, None), (4, "é🎉 " * 2000), (4, "twice"), (None, "no id")]
+    out = codec.encoded(docs(spark, rows), model)
+    assert out.where("not round_trip").count() == 0
+    back = codec.decoded(out.unionByName(spark.createDataFrame([(9,)], "doc_id long"), allowMissingColumns=True), model)
+    assert sorted((r.doc_id or 0, r.text) for r in back.collect()) == sorted([(i or 0, t or "") for i, t in rows] + [(9, "")])
+
+
 def test_token_counts(spark):
     from tilesketch.llm import sentencepiece_codec as codec
     from tilesketch.llm.token_counts import token_counts, vocabulary
