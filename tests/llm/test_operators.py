@@ -152,6 +152,20 @@ def test_contexts_find_unseen_identifiers(spark):
     assert got[50] == "other:15:27" and got[51] == ""
 
 
+def test_spans_of_several_words_are_seeds(spark):
+    from tilesketch.llm.personal_data import personal_data
+
+    def card(i):
+        d = f"4111 1111 11{i:02d} 111"
+        return next(d + c for c in "0123456789" if luhn((d + c).replace(" ", "")))
+
+    rows = [(i, f"do call: +1 (017) 555-77{i:02d} or pay1: {card(i)} ok") for i in range(12)] + [(20 + i, f"zip99 u{i}@ex{i}.org") for i in range(12)]
+    rows += [(50, "do call:" + " " * 99 + "017x now"), (51, "see pay2: n0 ok"), (52, "zip98 (q7)"), (53, "a room 017x is n0")]
+    got = {r.doc_id: r for r in personal_data(docs(spark, rows)).collect()}
+    assert {i: got[i].spans for i in (50, 51, 52, 53)} == {50: "other:107:111", 51: "other:10:12", 52: "other:7:9", 53: ""}
+    assert all(got[i].n_card == 1 and got[i].n_phone == 1 and got[i].n_other == 0 for i in range(12))
+
+
 def test_chat(spark):
     from tilesketch.llm.chat_format import perspectives, whole_dialogues
 

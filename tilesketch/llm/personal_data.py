@@ -1,11 +1,13 @@
 """Personal data by fixed patterns and by bootstrapped contextual extraction.
 
 The fixed patterns find e-mail addresses, IP addresses, card numbers and telephone numbers.  These are the seeds of a
-bootstrap: every word that holds a digit or an at sign is an instance, and the word to its left with the kind of
-characters at its end (a lexical pattern) is its context.  Patterns and instances form a graph.  In each round a pattern's
-confidence is the sum of its distinct instances' scores over one more than their number, and an instance's score is the
-chance that not all of its patterns are wrong; seeds keep the score 1.  Words that are no seed and lie in the context of a
-pattern that is supported by several distinct seeds and reaches the threshold are further identifiers, of kind ``other``.
+bootstrap: every base span, of however many words, is one seed instance, and every word outside of base spans that holds a
+digit or an at sign is an instance too.  The context of an instance is the word of the text before the word it starts in,
+in lower case and with every digit as 0 (a lexical pattern); only what starts in the first word of a text has none.  Patterns
+and instances form a graph.  In each round a pattern's confidence is the sum of its distinct instances' scores over one more
+than their number, and an instance's score is the chance that not all of its patterns are wrong; seeds keep the score 1.
+Words that are no seed and lie in the context of a pattern that is supported by several distinct seeds and reaches the
+threshold are further identifiers, of kind ``other``, whatever their length.
 
 All of it is DataFrame functions.  Positions come from the lengths of what a pattern matches and of what lies between.
 Patterns are written so that the engine's matcher needs no recursion and no second look at a run of characters.
@@ -32,25 +34,38 @@ KINDS = [*PATTERNS, "other"]
 _WORD = r"(?<![^\x20\x09-\x0D])[^\x20\x09-\x0D0-9@]*+[0-9@][^\x20\x09-\x0D]*+"
 
 
-def located(text: Column, pattern: str) -> Column:
-    """The matches as ``array<struct<start, end, value, left>>``; ``left`` is the end of what precedes the match."""
+_SPANS = "array<struct<start:int,end:int,value:string,left:string>>"
+
+
+def located(text: Column, pattern: str, left: bool = False) -> Column:
+    """The matches as ``array<struct<start, end, value, left>>``; ``left``, if asked for, is the word before a whole word."""
     found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    return F.when(F.size(found) > 0, _placed(found, F.split(text, pattern, -1)))
+    return F.when(F.size(found) > 0, _placed(found, F.split(text, pattern, -1), left))
 
 
-def _placed(found: Column, between: Column) -> Column:
+def _placed(found: Column, between: Column, left: bool) -> Column:
     pairs = F.slice(F.arrays_zip(found.alias("m"), between.alias("b")), F.lit(1), F.size(found))
-    kind = "struct<at:int,out:array<struct<start:int,end:int,value:string,left:string>>>"
-    first = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,end:int,value:string,left:string>>").alias("out")).cast(kind)
+    kind = f"struct<at:int,last:string,out:{_SPANS}>"
+    first = F.struct(F.lit(0).alias("at"), F.lit("").alias("last"), F.array().cast(_SPANS).alias("out")).cast(kind)
 
     def add(acc: Column, x: Column) -> Column:
         start = acc["at"] + F.length(x["b"])
         end = start + F.length(x["m"])
-        return F.struct(end.alias("at"), F.concat(acc["out"], F.array(F.struct(start.alias("start"), end.alias("end"), x["m"].alias("value"), F.right(x["b"], F.lit(64)).alias("left")))).alias("out"))
+        near = F.coalesce(F.nullif(_word_before(x["b"]), F.lit("")), acc["last"]) if left else F.lit("")
+        return F.struct(end.alias("at"), (x["m"] if left else F.lit("")).alias("last"), F.concat(acc["out"], F.array(F.struct(start.alias("start"), end.alias("end"), x["m"].alias("value"), near.alias("left")))).alias("out"))
 
     return F.aggregate(pairs, first, add, lambda acc: acc["out"])
 
 
+def _word_before(before: Column, inside: bool = False) -> Column:
+    """The last word of a text, or with ``inside`` the last but the one that the text breaks off in.  Read from the end."""
+    return F.reverse(F.regexp_extract(F.reverse(before), (r"^[^\x20\x09-\x0D]*+[\x20\x09-\x0D]++" if inside else r"^[\x20\x09-\x0D]*+") + r"([^\x20\x09-\x0D]++)", 1))
+
+
+def _lexical(word: Column) -> Column:
+    return F.regexp_replace(F.lower(word), "[0-9]", "0")
+
+
 def _digits(value: Column) -> Column:
     return F.regexp_replace(value, "[^0-9]", "")
 
@@ -81,7 +96,7 @@ def base_spans(text: Column) -> Column:
     for place, (kind, pattern) in enumerate(PATTERNS.items()):
         possible = {"email": F.contains(text, F.lit("@")), "phone": F.contains(text, F.lit("+"))}.get(kind, F.lit(True))
         spans = F.when(possible, F.filter(located(text, pattern), _check(kind)))
-        parts.append(F.transform(F.coalesce(spans, F.array().cast("array<struct<start:int,end:int,value:string,left:string>>")), _named(place, kind)))
+        parts.append(F.transform(F.coalesce(spans, F.array().cast(_SPANS)), _named(place, kind)))
     return F.array_sort(F.concat(*parts))
 
 
@@ -106,16 +121,18 @@ def bootstrap(occurrences: DataFrame, rounds: int = 3, seeds: int = 3, least: fl
 def personal_data(docs: DataFrame) -> DataFrame:
     """``doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans, n_other`` of every row."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    found = keep(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text")).select("doc_id", base_spans(F.col("text")).alias("base"), located(F.col("text"), _WORD).alias("words")))
+    found = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text")).select("doc_id", "text", base_spans(F.col("text")).alias("base"))
+    seed = lambda b: F.struct(F.substring("text", b["start"] + 1, b["end"] - b["start"]).alias("instance"), _word_before(F.substring("text", F.lit(1), b["start"]), True).alias("left"))
+    found = keep(found.select("doc_id", "base", F.when(F.size("base") > 0, F.transform("base", seed)).alias("seeds"), located(F.col("text"), _WORD, True).alias("words")))
+    seeds = found.where("doc_id is not null").select(F.explode("seeds").alias("s")).select(_lexical(F.col("s.left")).alias("pattern"), "s.instance", F.lit(True).alias("seed"))
     word = found.where("words is not null and doc_id is not null").select("doc_id", "base", F.explode("words").alias("w"))
     core = F.regexp_replace("w.value", r"^[^\p{L}0-9+]++|[^\p{L}0-9]++$", "")
     lead = F.length(F.regexp_extract("w.value", r"^[^\p{L}0-9+]*+", 0))
-    near = F.lower(F.regexp_extract("w.left", r"([^\x20\x09-\x0D]++)[\x20\x09-\x0D]*+$", 1))
-    word = word.select("doc_id", "base", core.alias("instance"), (F.col("w.start") + lead).alias("start"), F.regexp_replace(near, "[0-9]", "0").alias("pattern")).where("length(instance) >= 6 and pattern <> ''")
+    word = word.select("doc_id", "base", core.alias("instance"), (F.col("w.start") + lead).alias("start"), _lexical(F.col("w.left")).alias("pattern")).where("instance <> '' and pattern <> ''")
     word = word.withColumn("end", F.col("start") + F.length("instance"))
-    word = word.withColumn("seed", F.exists("base", lambda b: (b["start"] < F.col("end")) & (b["end"] > F.col("start")))).drop("base")
-    trusted = bootstrap(word.select("pattern", "instance", "seed"))
-    more = word.where("not seed").join(trusted, "pattern").groupBy("doc_id").agg(F.collect_set(F.struct(F.col("start"), F.lit(4).alias("place"), F.lit("other").alias("kind"), F.col("end"))).alias("more"))
-    both = found.drop("words").join(more, "doc_id", "left").withColumn("more", F.coalesce("more", F.array().cast("array<struct<start:int,place:int,kind:string,end:int>>")))
+    word = word.where(~F.exists("base", lambda b: (b["start"] < F.col("end")) & (b["end"] > F.col("start")))).drop("base")
+    trusted = bootstrap(seeds.where("pattern <> ''").unionByName(word.select("pattern", "instance", F.lit(False).alias("seed"))))
+    more = word.join(trusted, "pattern").groupBy("doc_id").agg(F.collect_set(F.struct(F.col("start"), F.lit(4).alias("place"), F.lit("other").alias("kind"), F.col("end"))).alias("more"))
+    both = found.drop("words", "seeds").join(more, "doc_id", "left").withColumn("more", F.coalesce("more", F.array().cast("array<struct<start:int,place:int,kind:string,end:int>>")))
     count = lambda kind: F.size(F.filter("base", lambda x: x["kind"] == kind)).cast("long").alias(f"n_{kind}")
     return both.select("doc_id", *(count(k) for k in PATTERNS), F.sha2(written(F.col("base")), 256).alias("base_sha256"), written(F.array_sort(F.concat("base", "more"))).alias("spans"), F.size("more").cast("long").alias("n_other"))
