@@ -231,6 +231,44 @@ def test_token_counts(spark):
     assert {r.doc_id: (r.n_pretokens, r.n_tokens) for r in token_counts(docs(spark, rows), model).collect()} == want
 
 
+def whole_unigram(text, scores):
+    """Tokens of the best segmentation of the whole normalised text, and the fewest of equals."""
+    t = "▁" + text.replace(" ", "▁") if text else ""
+    unknown, longest = min(scores.values()) - 10, max(map(len, scores))
+    best = [(0.0, 0)]
+    for j in range(1, len(t) + 1):
+        ways = [(best[i][0] + scores[t[i:j]], best[i][1] - 1) for i in range(max(0, j - longest), j) if t[i:j] in scores]
+        best.append(max([*ways, (best[j - 1][0] + unknown, best[j - 1][1] - len(t[j - 1].encode()))]))
+    return -best[-1][1]
+
+
+SPACED = ["a  b\nc\td", "\n\n", " ", "   ", "\n", "x;\r\n\r\n  y", "a\x0b \x0cb", " lead and trail ", "▁mark ▁ in\ttext", "日本\n語 🎉 \n", "tab\t\t  " * 50, " " * 700 + "far", "", None]
+
+
+def test_token_counts_keep_white_space(spark):
+    from sentencepiece import SentencePieceProcessor
+    from sentencepiece import sentencepiece_model_pb2 as pb
+
+    from tilesketch.llm import sentencepiece_codec as codec
+    from tilesketch.llm.token_counts import token_counts
+
+    model = codec.model_bytes()
+    given = [r.text for r in spark.read.parquet(f"{SF}/documents.parquet").orderBy("doc_id").limit(40).collect()]
+    rows = list(enumerate([*SPACED, *(t[:3000] for t in given)]))
+    scores = {t: s for t, s, kind in codec.parse(model)["pieces"] if kind in (codec.NORMAL, codec.USER)}
+    got = {r.doc_id: r.n_tokens for r in token_counts(docs(spark, rows), model).collect()}
+    assert got == {i: whole_unigram(t or "", scores) for i, t in rows}
+    rng, m = random.Random(1), pb.ModelProto.FromString(model)  # scores without ties, so that the library must agree
+    m.trainer_spec.model_type = 1
+    for p in m.pieces:
+        p.score = -rng.uniform(8, 16)
+    for squeeze in (False, True):
+        m.normalizer_spec.remove_extra_whitespaces = squeeze
+        theirs = SentencePieceProcessor(model_proto=m.SerializeToString()).encode([t or "" for _, t in rows])
+        got = {r.doc_id: r.n_tokens for r in token_counts(docs(spark, rows), m.SerializeToString()).collect()}
+        assert got == {i: len(x) for (i, _), x in zip(rows, theirs, strict=True)}
+
+
 def test_marginals_are_exact():
     from itertools import product
 

@@ -1,7 +1,10 @@
 """Token counts of a unigram vocabulary by dynamic programming over a trie of distinct pre-tokens.
 
-A pre-token is a word between white space with the marker in front.  The distinct pre-tokens of a block are sorted, so
-those with a common prefix stand together and each node of their trie, one for each distinct prefix, is one entry of its
+Texts are normalised as the model says: a marker for every space and one before the text; other white space stays.  The
+text is cut before each run of markers, and on both sides of a run of line feeds, tabs and the like that stand in no
+piece; no piece crosses such a place, so the best segmentation of the whole text is that of its parts, the pre-tokens.  A
+vocabulary with a marker inside of a piece has whole texts as pre-tokens.  The distinct pre-tokens of a block are sorted,
+so those with a common prefix stand together and each node of their trie, one for each distinct prefix, is one entry of its
 level.  The best score of a node is the best of its ancestors' scores plus that of the piece between, so a shared prefix is
 scored once; what stands at a pre-token's last node is its number of tokens, and that is stored.  Counts that a worker has
 stored serve its later blocks; the store is emptied when it grows over a bound.
@@ -9,18 +12,20 @@ stored serve its later blocks; the store is emptied when it grows over a bound.
 Of equal scores the fewer tokens win.  A character without a piece scores ten below the lowest piece and counts as many
 tokens as it has bytes (byte fallback).
 
-Defined results: null, empty and white-space texts have 0 pre-tokens and 0 tokens; other columns are ignored; repeated
+Defined results: null and empty texts have 0 pre-tokens and 0 tokens; white space counts; other columns are ignored; repeated
 rows each have a row.
 """
 
 from __future__ import annotations
 
+import re
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tilesketch.llm.bytewise import U, blocks, hashes, ranged, sums, words
+from tilesketch.llm.bytewise import U, blocks, hashes, ranged, sums
 from tilesketch.llm.sentencepiece_codec import MARK, NORMAL, USER, parse
 
 LONG = 256
@@ -41,6 +46,10 @@ class Vocabulary:
         self.near[(keys & BITS).astype(np.int64)] = True
         self.lengths = sorted({len(x) for x in raw})
         self.unknown = float(min(self.scores)) - 10
+        self.cuts = not any(MARK in t.lstrip(MARK) for t in scores)
+        self.breaks = np.zeros(256, bool)
+        self.breaks[[x for x in range(9, 14) if not any(chr(x) in t for t in scores)]] = True
+        self.prefix, self.squeeze, self.normal = True, False, None
         self.store, self.known, self.counts = store, np.zeros(0, U), np.zeros(0, np.int64)
 
     def one(self, word: bytes) -> int:
@@ -107,14 +116,14 @@ class Vocabulary:
         return out
 
     def tokens(self, key: np.ndarray, raw) -> np.ndarray:
-        """Counts of distinct words by hash; ``raw(i)`` gives the bytes of word i, and is called for new ones only."""
+        """Counts of distinct pre-tokens by hash; ``raw(i)`` gives the bytes of number i, and is called for new ones only."""
         at = np.minimum(np.searchsorted(self.known, key), max(0, len(self.known) - 1))
         have = self.known[at] == key if len(self.known) else np.zeros(len(key), bool)
         out = np.zeros(len(key), np.int64)
         out[have] = self.counts[at[have]]
         fresh = np.flatnonzero(~have)
         if len(fresh):
-            pre = [MARK.encode() + raw(int(i)) for i in fresh]
+            pre = [raw(int(i)).replace(b" ", MARK.encode()) for i in fresh]
             order = sorted((i for i in range(len(pre)) if len(pre[i]) <= LONG), key=pre.__getitem__)
             out[fresh[order]] = self.trie([pre[i] for i in order])
             for i, x in enumerate(pre):
@@ -128,8 +137,45 @@ class Vocabulary:
         return out
 
 
+    def normalised(self, data: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The bytes and offsets of the normalised texts, with a space for each marker."""
+        mark = MARK.encode()
+        if self.normal is not None or self.squeeze or mark in data.tobytes():
+            texts = [data[a:b].tobytes() for a, b in zip(offs[:-1], offs[1:], strict=True)]
+            if self.normal is not None:
+                texts = [self.normal.normalize_str(x.decode()).encode() for x in texts]
+            if self.squeeze:
+                texts = [re.sub(b" {2,}", b" ", x).strip(b" ") for x in texts]
+            texts = [x.replace(mark, b" ") for x in texts]
+            data, offs = np.frombuffer(b"".join(texts), np.uint8), np.cumsum([0, *map(len, texts)])
+        if self.prefix:
+            full = offs[1:] > offs[:-1]
+            data = np.insert(data, offs[:-1][full], 32)
+            offs = offs + np.concatenate([[0], np.cumsum(full)])
+        return data, offs
+
+    def pretokens(self, data: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Starts, ends and text numbers of the pre-tokens of normalised texts."""
+        first = np.zeros(len(data), bool)
+        first[offs[:-1][offs[1:] > offs[:-1]]] = True
+        if self.cuts:
+            space, apart = data == 32, self.breaks[data]
+            first[1:] |= (space[1:] & ~space[:-1]) | (apart[1:] != apart[:-1])
+        s = np.flatnonzero(first)
+        return s, np.append(s[1:], len(data))[: len(s)], np.searchsorted(offs, s, "right") - 1
+
+
 def vocabulary(model: bytes) -> Vocabulary:
-    return Vocabulary({t: s for t, s, kind in parse(model)["pieces"] if kind in (NORMAL, USER)})
+    m = parse(model)
+    if m["suffix"] or not m["escape"]:
+        raise ValueError("models with the marker as a suffix or without markers are not supported")
+    out = Vocabulary({t: s for t, s, kind in m["pieces"] if kind in (NORMAL, USER)})
+    out.prefix, out.squeeze = m["dummy_prefix"], m["squeeze"]
+    if m["map"]:
+        from tokenizers import normalizers
+
+        out.normal = normalizers.Precompiled(m["map"])
+    return out
 
 
 _made: dict[int, Vocabulary] = {}
@@ -145,7 +191,9 @@ def token_counts(docs: DataFrame, model: bytes) -> DataFrame:
         vocab = _made[key]
         for part, data, offs in blocks(batches):
             n = len(offs) - 1
-            h, s, e, doc = words(data, offs, lower=False)
+            data, offs = vocab.normalised(data, offs)
+            s, e, doc = vocab.pretokens(data, offs)
+            h = hashes(data, s, e)
             distinct, first, which = np.unique(h, return_index=True, return_inverse=True)
             counts = vocab.tokens(distinct, lambda i, s=s, e=e, first=first, data=data: data[s[first[i]] : e[first[i]]].tobytes())
             yield pa.RecordBatch.from_arrays([part.column(0), pa.array(np.bincount(doc, minlength=n).astype(np.int64)), pa.array(np.bincount(doc, counts[which], minlength=n).astype(np.int64))], names=["doc_id", "n_pretokens", "n_tokens"])
