@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from tilesketch import oracles as sql
@@ -168,6 +168,11 @@ def queries() -> dict[str, Query]:
         "err_inexact": lambda s, d: _on_first(s, d, _embed, cover.error),
         "err_parts": lambda s, d: _on_first(s, d, _embed, cover.error_parts),
         "rel_error": lambda s, d: _on_first(s, d, _brand, cover.error),
+        "err_exact_pool": lambda s, d: cover.exact_error(*_brand(s, d)),
+        "err_inexact_pool": lambda s, d: cover.error(*_embed(s, d)),
+        "err_parts_pool": lambda s, d: cover.error_parts(*_embed(s, d)),
+        "rel_error_pool": lambda s, d: cover.error(*_brand(s, d)),
+        "error_path_pool": lambda s, d: _error_path_pool(s, d),
         "dominated": lambda s, d: cover.dominated(*_embed(s, d)),
         "coverable": lambda s, d: cover.coverable(*_brand(s, d)),
         "profile": lambda s, d: cover.profile(*_embed(s, d)),
@@ -239,8 +244,9 @@ def _nations(spark, d):
 
 
 def _brute(spark, d):
+    """The best three of the 15 tiles that cover most alone, the most that brute force takes."""
     m, pool = _brand(spark, d)
-    return select.brute_force(m, _first_picks(pool, 10), 3)
+    return select.brute_force(m, pool.only(select.static_rank(m, pool, 15).select("tile_id")), 3)
 
 
 def _setcover(spark, d):
@@ -277,6 +283,13 @@ def _error_path(spark, d):
     return cover.error_path(m, pool.only(order.select("tile_id")), order)
 
 
+def _error_path_pool(spark, d):
+    """The path over the whole pool, in the order of ids."""
+    m, pool = _brand(spark, d)
+    ids = pool.tile_rows.select("tile_id").distinct()
+    return cover.error_path(m, pool, ids.select("tile_id", F.row_number().over(Window.orderBy("tile_id")).alias("step")))
+
+
 def _itemset_rows(sets):
     return sets.select("tile_id", F.array_join(F.transform("items", lambda x: x.cast("string")), ",").alias("items"), "support")
 
@@ -329,6 +342,7 @@ def oracle_sql() -> dict[str, str]:
     """SQL for the queries above."""
     o = {f"{name}_density": sql.density(name) for name in sql.PAIRS}
     brand3 = "three AS (SELECT * FROM cells WHERE tile_id IN (SELECT DISTINCT tile_id FROM trows ORDER BY tile_id LIMIT 3))"
+    union = "u AS (SELECT DISTINCT row_id, col_id, w FROM cells)"
     union3 = "u AS (SELECT DISTINCT row_id, col_id, w FROM three)"
     parts = "SELECT (SELECT n_ones FROM shape) - count_if(w = 1) AS uncovered_ones, count_if(w = -1) AS covered_zeros FROM u"
     whole = "SELECT uncovered_ones + covered_zeros AS error, (uncovered_ones + covered_zeros) / (SELECT n_rows * n_cols FROM shape) AS rel_error FROM ({})"
@@ -355,6 +369,11 @@ def oracle_sql() -> dict[str, str]:
         "err_parts": _with([*EMBED, *sql.CELLS], parts, brand3, union3),
         "err_inexact": _with([*EMBED, *sql.CELLS], whole.format(parts), brand3, union3),
         "rel_error": _with([*BRAND, *sql.CELLS], whole.format(parts), brand3, union3),
+        "err_exact_pool": _with([*BRAND, *sql.CELLS], "SELECT (SELECT n_ones FROM shape) - count(*) AS error FROM u", union),
+        "err_parts_pool": _with([*EMBED, *sql.CELLS], parts, union),
+        "err_inexact_pool": _with([*EMBED, *sql.CELLS], whole.format(parts), union),
+        "rel_error_pool": _with([*BRAND, *sql.CELLS], whole.format(parts), union),
+        "error_path_pool": _with([*BRAND, *sql.CELLS], "SELECT CAST(step AS INTEGER) AS step, error::BIGINT AS error, error / (SELECT n_rows * n_cols FROM shape) AS rel_error FROM (SELECT step, (SELECT n_ones FROM shape) - sum(coalesce(g, 0)) OVER (ORDER BY step) AS error FROM steps LEFT JOIN gains USING (tile_id))", "steps AS (SELECT tile_id, row_number() OVER (ORDER BY tile_id) AS step FROM (SELECT DISTINCT tile_id FROM trows))", "gains AS (SELECT tile_id, sum(w) AS g FROM (SELECT min(tile_id) AS tile_id, any_value(w) AS w FROM cells GROUP BY row_id, col_id) GROUP BY tile_id)"),
         "dominated": _with([*EMBED, *sql.CELLS], "SELECT tile_id, zeros = 0 AS is_dominated FROM alone"),
         "coverable": _with([*BRAND, *sql.CELLS], "SELECT n AS missing, n = 0 AS coverable FROM (SELECT count(*) AS n FROM ones ANTI JOIN cells USING (row_id, col_id))"),
         "profile": _with([*EMBED, *sql.CELLS], "SELECT tile_id, count(DISTINCT row_id) AS n_r, count(DISTINCT col_id) AS n_c, count(*) AS size, count_if(w = 1) AS ones, count_if(w = -1) AS zeros FROM cells GROUP BY tile_id"),
