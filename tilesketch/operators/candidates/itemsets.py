@@ -25,19 +25,24 @@ def itemsets(matrix: Matrix, min_support: float, max_len: int | None = None) ->
     return cut(found.select(tile_key("items").alias("tile_id"), "items", "support"))
 
 
-def level_itemsets(matrix: Matrix, min_support: float, max_len: int = 2) -> DataFrame:
-    """The same rows as ``itemsets`` up to a length, level by level with joins; no model is built."""
+def level_itemsets(matrix: Matrix, min_support: float, max_len: int | None = 2) -> DataFrame:
+    """The same rows as ``itemsets`` up to a length (None: until a level is empty), level by level with joins; no model is
+    built."""
     need = math.ceil(min_support * matrix.n_rows - 1e-9)
     ones = matrix.ones
     freq = cut(ones.groupBy("col_id").agg(F.count(F.lit(1)).alias("support")).where(F.col("support") >= need))
     held = ones.join(freq.select("col_id"), "col_id", "left_semi")
     out = freq.select(F.array("col_id").alias("items"), "support")
     rows = held.select("row_id", F.array("col_id").alias("items"))
-    for _ in range(1, max_len):
+    size = 1
+    while max_len is None or size < max_len:
         rows = rows.join(held, "row_id").where(F.col("col_id") > F.element_at("items", -1)).select("row_id", F.concat("items", F.array("col_id")).alias("items"))
-        level = rows.groupBy("items").agg(F.count(F.lit(1)).alias("support")).where(F.col("support") >= need)
-        rows = rows.join(level.select("items"), "items", "left_semi")
+        level = cut(rows.groupBy("items").agg(F.count(F.lit(1)).alias("support")).where(F.col("support") >= need))
+        if level.isEmpty():
+            break
+        rows = cut(rows.join(level.select("items"), "items", "left_semi"))
         out = out.unionByName(level)
+        size += 1
     return cut(out.select(tile_key("items").alias("tile_id"), "items", "support"))
 
 

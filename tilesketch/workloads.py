@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -26,6 +27,12 @@ def _brand(spark: SparkSession, d: str) -> tuple[Matrix, Pool]:
     return m, itemsets.as_pool(m, itemsets.level_itemsets(m, SUPPORT, 2))
 
 
+def _brand_full(spark: SparkSession, d: str) -> tuple[Matrix, Pool]:
+    """Itemsets of every length."""
+    m, _ = tables.matrix(spark, d, "order_brand")
+    return m, itemsets.as_pool(m, itemsets.itemsets(m, SUPPORT))
+
+
 def _embed(spark: SparkSession, d: str, rule: str = "majority") -> tuple[Matrix, Pool]:
     m, _ = tables.matrix(spark, d, "embed_high")
     return m, association.association(m, TAU, rule)
@@ -45,9 +52,9 @@ def _first_picks(pool: Pool, n: int) -> Pool:
     return pool.only(ids)
 
 
-def _grid(spark: SparkSession, d: str, use: str = "orig", noise: float = 0.1, density: float = 0.3, move: float = 0.1, shape: tuple[int, int] = (100, 120), seed: int = 1) -> tuple[Matrix, Pool]:
+def _grid(spark: SparkSession, d: str, use: str = "orig", noise: float = 0.1, density: float = 0.3, move: float = 0.1, shape: tuple[int, int] = (100, 120), seed: int = 1, originals: int = 20) -> tuple[Matrix, Pool]:
     rows, cols = synthetic.grid(spark, d, *shape)
-    return synthetic.planted(rows, cols, 20, 5, density, move, use, noise, seed)
+    return synthetic.planted(rows, cols, originals, 5, density, move, use, noise, seed)
 
 
 def _views(spark: SparkSession, d: str):
@@ -65,11 +72,12 @@ def _redescriptions(spark: SparkSession, d: str) -> DataFrame:
     return redescriptions.redescriptions(*_views(spark, d), 0.4, 20)
 
 
-def _redescription_set(spark: SparkSession, d: str, method: str = "hashed", most: int = 40) -> DataFrame:
+def _redescription_set(spark: SparkSession, d: str, method: str = "hashed", most: int = 161) -> DataFrame:
     left, right = _views(spark, d)
+    left = left.unionByName(redescriptions.predicates(tables.table(spark, d, "labels", "doc_id", "quality", "toxic"), "doc_id", {}, ("quality", "toxic")))
     names = tables.dictionary(left.select("pred").unionByName(right.select("pred")), "pred", "col_id")
     n_rows, n_cols = tables.table(spark, d, "documents").count(), names.count()
-    trace, _, _ = apps.redescription_set(left, right, names, n_rows, n_cols, 0.4, 20, most, 50, method)
+    trace, _, _ = apps.redescription_set(left, right, names, n_rows, n_cols, 0.4, 50, most, 200, method)
     return trace
 
 
@@ -95,7 +103,7 @@ def _sweep(values: list, one: Callable[[object], DataFrame], name: str) -> DataF
     return out
 
 
-def _compare(m: Matrix, pool: Pool, inexact: bool, budget: int = 40) -> DataFrame:
+def _compare(m: Matrix, pool: Pool, inexact: bool, budget: int = 200) -> DataFrame:
     """The last error of the three methods, and static's best."""
     mode = "inexact" if inexact else "exact"
     end = lambda t, name: t.agg(F.lit(name).alias("method"), F.count(F.lit(1)).alias("n_picks"), F.max_by("rel_error", "step").alias("rel_error"), F.min("rel_error").alias("best_error"))
@@ -103,6 +111,9 @@ def _compare(m: Matrix, pool: Pool, inexact: bool, budget: int = 40) -> DataFram
     return hashed.unionByName(end(select.greedy(m, pool, budget), "greedy")).unionByName(end(select.static_rank(m, pool, budget), "static"))
 
 
+FULL = {"shape": (1000, 1200), "originals": 100}
+SIZES = [1000, 2000, 3000, 4000]
+INEXACT = ("inexact_orig", "inexact_all")
 CASES = {"inexact_orig": ("orig", 0.1, True), "inexact_all": ("all", 0.1, True), "exact_all": ("all", 0.0, False)}
 
 
@@ -111,22 +122,79 @@ def _experiment(spark: SparkSession, d: str, name: str, values: list, cases=("in
     for case in cases:
         use, noise, inexact = CASES[case]
         for v in values:
-            given = {"use": use, "noise": noise} | ({"shape": (v, v + v // 5)} if name == "size" else {name: v})
+            given = FULL | {"use": use, "noise": noise} | ({"shape": (int(v), int(v) + 200)} if name == "size" else {name: v})
             df = _compare(*_grid(spark, d, **given), inexact).select(F.lit(case).alias("case"), F.lit(float(v)).alias(name), "*")
             out = df if out is None else out.unionByName(df)
     return out
 
 
 def _hyper(spark: SparkSession, d: str) -> DataFrame:
-    m, pool = _grid(spark, d, use="all", noise=0.1, density=0.3)
-    grid = [("sketch_k", v) for v in (5, 30, 100)] + [("reps", v) for v in (1, 10)] + [("max_checks", v) for v in (1, 5, 30)]
+    m, pool = _grid(spark, d, use="all", noise=0.1, density=0.06, **FULL)
+    grid = [("sketch_k", v) for v in (5, 10, 20, 30, 50, 100)] + [("reps", v) for v in (1, 3, 5, 10, 20, 30)] + [("max_checks", v) for v in (1, 5, 10, 30, 50, 100)]
     out = None
     for name, v in grid:
-        t = select.hashed(m, pool, 40, mode="inexact", **{name: v}).agg(F.lit(name).alias("parameter"), F.lit(v).alias("value"), F.count(F.lit(1)).alias("n_picks"), F.max_by("rel_error", "step").alias("rel_error"))
+        began = time.monotonic()
+        t = select.hashed(m, pool, 200, mode="inexact", **{name: v})
+        took = time.monotonic() - began
+        t = t.agg(F.lit(name).alias("parameter"), F.lit(v).alias("value"), F.count(F.lit(1)).alias("n_picks"), F.max_by("rel_error", "step").alias("rel_error"), F.lit(took).alias("seconds"))
         out = t if out is None else out.unionByName(t)
     return out
 
 
+def _times(spark: SparkSession, d: str, budgets=(10, 25, 50, 100, 200), sizes=SIZES) -> DataFrame:
+    """Seconds of the three methods against the number of picks and against the size of the matrix."""
+    made = {}
+    out = []
+    for axis, v in [("picks", b) for b in budgets] + [("size", x) for x in sizes]:
+        x = v if axis == "size" else 1000
+        if x not in made:
+            made = {x: _grid(spark, d, **(FULL | {"shape": (x, x + 200)}))}
+        m, pool = made[x]
+        budget = v if axis == "picks" else 200
+        for name, run in (("hashed", lambda: select.hashed(m, pool, budget, mode="inexact")), ("greedy", lambda: select.greedy(m, pool, budget)), ("static", lambda: select.static_rank(m, pool, budget))):
+            began = time.monotonic()
+            n = len(run().collect())
+            out.append((axis, v, name, n, time.monotonic() - began))
+    return spark.createDataFrame(out, "axis string, value int, method string, n_picks int, seconds double")
+
+
+def _wider(spark: SparkSession, d: str) -> Matrix:
+    """Terms of at least five documents."""
+    return tables.from_labels(tables.doc_term_band(spark, d, 0.0, 1.0, 5), "row_id", "item")[0]
+
+
+def full_queries() -> dict[str, Query]:
+    """The methods with every itemset, the default budget of 200 picks and the default sketches; too slow for SQL."""
+    hashed = lambda make, **o: lambda s, d: select.hashed(*make(s, d), **o).select(*TRACE)
+    greedy = lambda make, **o: lambda s, d: select.greedy(*make(s, d), **o).select("step", "tile_id", "gain", "error", "rel_error")
+    brand = lambda s, d: tables.matrix(s, d, "order_brand")[0]
+    return {
+        "hashed_exact_full": hashed(_brand_full),
+        "hashed_exact_distributed_full": hashed(_brand_full, local_cells=0),
+        "hashed_inexact_full": hashed(_embed, mode="inexact"),
+        "hashed_stop_full": hashed(_embed, mode="inexact", on_fail="stop"),
+        "hashed_noverify_full": hashed(_brand_full, verify=False),
+        "hashed_small_modulus_full": hashed(_embed, mode="inexact", prime=10007),
+        "hashed_tie_id_full": hashed(_brand_full, tie="id"),
+        "hashed_cover_full": hashed(_nations, goal="cover"),
+        "hashed_concat": hashed(_brand_full, merge="concat"),
+        "hashed_discard": hashed(_embed, mode="inexact", small="discard"),
+        "hashed_cells": hashed(lambda s, d: (_embed(s, d)[0], _union_pool(_embed(s, d)[1])), mode="inexact"),
+        "restarts": lambda s, d: select.restarts(*_brand_full(s, d), seeds=[1, 2, 3]),
+        "greedy_exact_full": greedy(_brand_full),
+        "greedy_exact_distributed_full": greedy(_brand_full, local_cells=0),
+        "greedy_recompute_full": greedy(_brand_full, incremental=False),
+        "greedy_lazy_full": greedy(_brand_full, lazy=True),
+        "greedy_inexact_full": greedy(_embed),
+        "setcover_full": lambda s, d: _setcover(s, d, goal="cover"),
+        "itemsets_full": lambda s, d: _itemset_rows(itemsets.itemsets(brand(s, d), SUPPORT)),
+        "itemsets_levels_full": lambda s, d: _itemset_rows(itemsets.level_itemsets(brand(s, d), SUPPORT, None)),
+        "itemset_rows_full": lambda s, d: _brand_full(s, d)[1].tile_rows.select("tile_id", "row_id"),
+        "closed_itemsets_full": lambda s, d: _itemset_rows(itemsets.closed(itemsets.itemsets(brand(s, d), SUPPORT))),
+        "maximal_itemsets_full": lambda s, d: _itemset_rows(itemsets.maximal(itemsets.itemsets(brand(s, d), SUPPORT))),
+    }
+
+
 def queries() -> dict[str, Query]:
     q: dict[str, Query] = {}
     for name in tables.BINARIZERS:
@@ -142,13 +210,9 @@ def queries() -> dict[str, Query]:
         "sel_inexact_budget": lambda s, d: trace(select.hashed(*_embed(s, d), **(small | {"max_tiles": 2}), mode="inexact")),
         "hashed_stop": lambda s, d: trace(select.hashed(*_embed(s, d), **small, mode="inexact", on_fail="stop")),
         "hashed_noverify": lambda s, d: trace(select.hashed(*_brand(s, d), **small, verify=False)),
-        "hashed_concat": lambda s, d: trace(select.hashed(*_brand(s, d), **small, merge="concat")),
         "hashed_small_modulus": lambda s, d: trace(select.hashed(*_embed(s, d), **small, mode="inexact", prime=10007)),
         "hashed_tie_id": lambda s, d: trace(select.hashed(*_brand(s, d), **small, tie="id")),
-        "hashed_discard": lambda s, d: trace(select.hashed(*_embed(s, d), **small, mode="inexact", small="discard")),
-        "hashed_cells": lambda s, d: _hashed_cells(s, d),
         "hashed_cover": lambda s, d: plain(select.hashed(*_nations(s, d), sketch_k=K, reps=REPS, goal="cover")),
-        "restarts": lambda s, d: select.restarts(*_brand(s, d), seeds=[1, 2, 3], max_tiles=10),
         "greedy_exact": lambda s, d: plain(select.greedy(*_brand(s, d), max_tiles=4)),
         "greedy_exact_distributed": lambda s, d: plain(select.greedy(*_brand(s, d), max_tiles=4, local_cells=0)),
         "greedy_recompute": lambda s, d: plain(select.greedy(*_brand(s, d), max_tiles=4, incremental=False)),
@@ -218,19 +282,23 @@ def queries() -> dict[str, Query]:
         "planted_hits": lambda s, d: metrics.planted_precision(select.greedy(*_grid(s, d), max_tiles=20), s.range(20).select(F.col("id").alias("tile_id"))),
         "avg_runs": lambda s, d: metrics.average_runs(_sweep([1, 2, 3], lambda v: select.greedy(*_grid(s, d, seed=v), max_tiles=20).agg(F.lit("greedy").alias("method"), F.min("rel_error").alias("rel_error")), "seed"), "method"),
         "w1_hyperparameters": _hyper,
-        "w2_overlap": lambda s, d: _experiment(s, d, "move", [0.05, 0.25, 0.5], ("inexact_orig", "exact_all")),
-        "w3_density": lambda s, d: _experiment(s, d, "density", [0.1, 0.3], ("inexact_orig", "exact_all")),
-        "w4_noise": lambda s, d: _experiment(s, d, "noise", [0.05, 0.2], ("inexact_orig",)),
-        "w5_size": lambda s, d: _experiment(s, d, "size", [100, 150], ("inexact_orig",)),
+        "w2_overlap": lambda s, d: _experiment(s, d, "move", [0.05, 0.1, 0.25, 0.5]),
+        "w3_density": lambda s, d: _experiment(s, d, "density", [0.06, 0.1, 0.15, 0.2, 0.25, 0.3, 0.4]),
+        "w4_noise": lambda s, d: _experiment(s, d, "noise", [0.05, 0.1, 0.2, 0.3], INEXACT),
+        "w5_size": lambda s, d: _experiment(s, d, "size", SIZES, INEXACT),
+        "w6_time": _times,
         "w7_redesc": lambda s, d: _redescription_set(s, d).select("step", "q_left", "q_right", "gain", "error"),
-        "w8_tiling": lambda s, d: plain(apps.tiling(tables.matrix(s, d, "order_brand")[0], SUPPORT, 50, max_len=2)[0]),
-        "w9_bmf": lambda s, d: plain(apps.factorize(tables.matrix(s, d, "embed_high")[0], 30, (0.2, 0.3))[0]),
-        "w10_sparse_corpus": lambda s, d: plain(apps.factorize(tables.matrix(s, d, "doc_term_mid")[0], 10, (0.5,), walks=False)[0]),
+        "w8_tiling": lambda s, d: plain(apps.tiling(tables.matrix(s, d, "doc_term_all")[0], 0.3, 1000)[0]),
+        "w8_tiling_brand": lambda s, d: plain(apps.tiling(tables.matrix(s, d, "order_brand")[0], SUPPORT, 1000)[0]),
+        "w9_bmf": lambda s, d: plain(apps.factorize(tables.matrix(s, d, "embed_high")[0], 200, (0.3, 0.5, 0.7, 0.9))[0]),
+        "w9_bmf_terms": lambda s, d: plain(apps.factorize(tables.matrix(s, d, "doc_term_mid")[0], 200, (0.3, 0.5, 0.7, 0.9))[0]),
+        "w10_sparse_corpus": lambda s, d: plain(apps.factorize(tables.matrix(s, d, "doc_term_wide")[0], 200, (0.5,), walks=False)[0]),
+        "w10_sparse_corpus_larger": lambda s, d: plain(apps.factorize(_wider(s, d), 200, (0.5,), walks=False)[0]),
         "w12_contamination": lambda s, d: tables.matrix(s, d, "bench_shingle")[0].ones.groupBy("col_id").agg(F.count(F.lit(1)).alias("n_items")),
     }
     from tilesketch.relational import queries as more
 
-    return q | more()
+    return q | full_queries() | more()
 
 
 def _on_first(spark, d, make, measure):
@@ -249,9 +317,9 @@ def _brute(spark, d):
     return select.brute_force(m, pool.only(select.static_rank(m, pool, 15).select("tile_id")), 3)
 
 
-def _setcover(spark, d):
+def _setcover(spark, d, **options):
     s = tables.table(spark, d, "lineitem", "l_suppkey", "l_partkey").select(F.col("l_suppkey").alias("set_id"), F.col("l_partkey").alias("element"))
-    return select.greedy(*itemsets.from_sets(s), max_tiles=4).select("step", "tile_id", "gain", "error")
+    return select.greedy(*itemsets.from_sets(s), **(options or {"max_tiles": 4})).select("step", "tile_id", "gain", "error")
 
 
 def _singletons(spark, d):
@@ -272,11 +340,6 @@ def _cells_pool(spark, d):
     return cover.profile(m, _union_pool(pool)).select("tile_id", "size", "ones", "zeros")
 
 
-def _hashed_cells(spark, d):
-    m, pool = _embed(spark, d)
-    return select.hashed(m, _union_pool(pool), 3, K, REPS, mode="inexact").select(*TRACE)
-
-
 def _error_path(spark, d):
     m, pool = _brand(spark, d)
     order = pool.tile_rows.select("tile_id").distinct().where("tile_id < 100").select("tile_id", F.col("tile_id").cast("int").alias("step"))
