@@ -57,3 +57,13 @@ def test_full_budgets_go_on_after_four_picks(spark):
     left = entry.queries()["setcover_full"](spark, SF).orderBy("step").collect()
     assert left[-1].error == 0
     assert {f"w{i}_" for i in range(1, 11)} <= {n[: n.index("_") + 1] for n in entry.queries() if n[0] == "w" and "_" in n}
+
+
+def test_codec_parity_on_every_document(spark):
+    from tilesketch.llm import sentencepiece_codec as codec
+
+    texts = [r.text or "" for r in spark.read.parquet(f"{SF}/documents.parquet").select("text").collect()]
+    model = codec.model_bytes()
+    assert len(texts) >= 200 and codec.parity(model, texts) == []
+    out = codec.encoded(spark.read.parquet(f"{SF}/documents.parquet"), model)
+    assert out.where("round_trip").count() == len(texts)
