@@ -1,7 +1,9 @@
 """Vectorised text kernels over Arrow's byte buffers: words, lines, shingles and 64-bit hashes without per-word Python.
 
-A block of texts is one byte array with offsets.  All hashes are polynomials over bytes modulo 2^64, finished with a
-64-bit mixer; a word never crosses the end of its text.
+A block of texts is one byte array with offsets.  A byte range's hash is a polynomial over its bytes modulo the prime
+2^61 - 1, finished with a 64-bit mixer: two ranges of at most n bytes that differ have equal hashes for at most n of the
+2^61 bases.  (Modulo a power of two there are short texts that collide for every base.)  A word never crosses the end of
+its text.  Tables of powers have the size of a chunk, however long a text is.
 """
 
 from __future__ import annotations
@@ -13,8 +15,11 @@ import numpy as np
 import pyarrow as pa
 
 U = np.uint64
-_BASE, _STEP = 0x9E3779B97F4A7C15 | 1, 0xD6E8FEB86659FD93 | 1
-_powers: dict[str, np.ndarray] = {}
+PRIME = (1 << 61) - 1
+_P, _LOW = U(PRIME), U((1 << 31) - 1)
+_BASE, _TURN = 0x0F3779B97F4A7C15, 0xD6E8FEB86659FD93 | 1
+CHUNK, STEP = 1 << 20, 1 << 14  # bytes that share a table of powers; numbers that are worked on at a time
+_powers: dict[int, np.ndarray] = {}
 _malloc_trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
 
 
@@ -28,13 +33,13 @@ def trim() -> None:
 def mix(x: np.ndarray) -> np.ndarray:
     """A bijective 64-bit mixer (xor-shift-multiply)."""
     x = x ^ (x >> U(32))
-    x = x * U(0xD6E8FEB86659FD93)
-    x = x ^ (x >> U(32))
-    x = x * U(0xD6E8FEB86659FD93)
-    return x ^ (x >> U(32))
+    x *= U(0xD6E8FEB86659FD93)
+    x ^= x >> U(32)
+    x *= U(0xD6E8FEB86659FD93)
+    x ^= x >> U(32)
+    return x
 
 
-_BYTE = mix(np.arange(1, 257, dtype=U) * U(_BASE))
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 SPACE = np.zeros(256, bool)
@@ -43,14 +48,49 @@ LETTER = np.zeros(256, bool)
 LETTER[65:91] = LETTER[97:123] = LETTER[128:] = True
 
 
-def _power(n: int) -> tuple[np.ndarray, np.ndarray]:
-    if len(_powers.get("p", ())) < n:
-        n = max(-(-n >> 18) << 18, 5 << 18)
-        for name, r in (("p", _BASE), ("i", pow(_BASE, -1, 1 << 64))):
-            x = np.full(n, r, U)
-            x[0] = 1
-            _powers[name] = np.multiply.accumulate(x)
-    return _powers["p"], _powers["i"]
+def _part(x: np.ndarray) -> np.ndarray:
+    """Any 64-bit numbers to congruent ones below 2^61 + 8."""
+    out = x >> U(61)
+    out += x & _P
+    return out
+
+
+def _fold(x: np.ndarray) -> np.ndarray:
+    """Any 64-bit numbers modulo the prime."""
+    out = _part(x)
+    out -= (out >= _P) * _P
+    return out
+
+
+def _raised(x: np.ndarray) -> np.ndarray:
+    """Numbers below 2^61 + 8 times 2^31, congruent and below 2^62."""
+    out = x << U(31)
+    out &= _P
+    out += x >> U(30)
+    return out
+
+
+def _times(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Products of numbers below 2^61 + 8, by halves of 31 bits; congruent and below 2^61 + 8."""
+    a1, a0, b1, b0 = a >> U(31), a & _LOW, b >> U(31), b & _LOW
+    middle = a1 * b0
+    middle += a0 * b1
+    a1 *= b1
+    a1 += a1
+    a0 *= b0
+    out = _raised(_part(middle))
+    out += a1
+    return _part(_part(out) + _part(a0))
+
+
+def _power(base: int, n: int) -> np.ndarray:
+    """The first ``n`` powers of a base, at most a chunk."""
+    if len(_powers.get(base, ())) < n:
+        out = np.ones(1, U)
+        while len(out) < n:
+            out = np.concatenate([out, _fold(_times(out, np.array([pow(base, len(out), PRIME)], U)))])
+        _powers[base] = out
+    return _powers[base]
 
 
 def blocks(batches: Iterator[pa.RecordBatch], size: int = 1 << 20) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
@@ -77,6 +117,11 @@ def blocks(batches: Iterator[pa.RecordBatch], size: int = 1 << 20) -> Iterator[t
         trim()
 
 
+def mapped(table: np.ndarray, data: np.ndarray) -> np.ndarray:
+    """``table[data]`` for a table of 256 bytes or truth values."""
+    return np.frombuffer(data.tobytes().translate(table.tobytes()), table.dtype)
+
+
 def runs(inside: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Starts, ends and text numbers of the maximal runs of True, cut at the ends of texts."""
     n = len(inside)
@@ -95,16 +140,65 @@ def runs(inside: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray,
     return s, e, np.searchsorted(offs, s, "right") - 1
 
 
-def sums(data: np.ndarray) -> np.ndarray:
-    """Running sums of the hash polynomial, for ``ranged``."""
-    total = np.zeros(len(data) + 1, U)
-    np.cumsum(_BYTE[data] * _power(len(data) + 1)[0][: len(data)], out=total[1:])
-    return total
-
-
-def ranged(total: np.ndarray, s: np.ndarray, e: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of each byte range of the array behind ``total``."""
-    return mix((total[e] - total[s]) * _power(len(total))[1][s] + (e - s).astype(U))
+class Sums:
+    """Running sums of the hash polynomial over a byte array, chunk by chunk: within a chunk, sums of byte times the low
+    and the high half of a power; before each chunk, the value of all that precedes it."""
+
+    def __init__(self, data: np.ndarray):
+        self.n = len(data)
+        size = min(CHUNK, self.n)
+        power = _power(_BASE, size)
+        low, high = power & _LOW, power >> U(31)
+        self.low, self.high = np.empty(self.n + 1, U), np.empty(self.n + 1, U)
+        self.low[0] = self.high[0] = 0
+        self.before = [0]
+        x, y = np.empty(STEP, U), np.empty(STEP, U)
+        for at in range(0, self.n, CHUNK):
+            end = min(at + CHUNK, self.n)
+            for i in range(at, end, STEP):
+                n = min(STEP, end - i)
+                np.add(data[i : i + n], U(1), out=x[:n])
+                for total, half in ((self.low, low), (self.high, high)):
+                    np.multiply(x[:n], half[i - at : i - at + n], out=y[:n])
+                    if i > at:
+                        y[0] += total[i]
+                    np.cumsum(y[:n], out=total[i + 1 : i + 1 + n])
+            whole = (int(self.high[end]) << 31) + int(self.low[end])
+            self.before.append((self.before[-1] + whole * pow(_BASE, at, PRIME)) % PRIME)
+        self.back = _power(pow(_BASE, -1, PRIME), size)
+
+    def _value(self, low: np.ndarray, high: np.ndarray) -> np.ndarray:
+        out = _raised(_part(high))
+        out += _part(low)
+        return _part(out)
+
+    def _prefix(self, at: np.ndarray) -> np.ndarray:
+        """The polynomial of the first ``at`` bytes."""
+        chunk = np.maximum(at - 1, 0) // CHUNK
+        base = np.array([pow(_BASE, int(c) * CHUNK, PRIME) for c in range(len(self.before))], U)
+        inside = np.where(at > 0, self._value(self.low[at], self.high[at]), U(0))
+        return _fold(np.array(self.before, U)[chunk] + _times(inside, base[chunk]))
+
+    def ranged(self, s: np.ndarray, e: np.ndarray) -> np.ndarray:
+        if self.n <= CHUNK:
+            value = self._value(self.low[e] - self.low[s], self.high[e] - self.high[s])
+            return _fold(_times(value, self.back[np.minimum(s, len(self.back) - 1)])) if len(self.back) else value
+        value = _fold(self._prefix(e) + _P - self._prefix(s))
+        back = np.array([pow(_BASE, -c * CHUNK, PRIME) for c in range(len(self.before))], U)
+        return _fold(_times(_times(value, self.back[s % CHUNK]), back[s // CHUNK]))
+
+
+def sums(data: np.ndarray) -> Sums:
+    """What ``ranged`` reads."""
+    return Sums(data)
+
+
+def ranged(total: Sums, s: np.ndarray, e: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of each byte range of the array behind ``total``; that of an empty range is 0."""
+    out = np.empty(len(s), U)
+    for i in range(0, len(s), STEP):
+        out[i : i + STEP] = mix(total.ranged(s[i : i + STEP], e[i : i + STEP]))
+    return out
 
 
 def hashes(data: np.ndarray, s: np.ndarray, e: np.ndarray) -> np.ndarray:
@@ -115,8 +209,8 @@ def hashes(data: np.ndarray, s: np.ndarray, e: np.ndarray) -> np.ndarray:
 def words(data: np.ndarray, offs: np.ndarray, lower: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Hashes, starts, ends and text numbers of the words: runs of bytes other than space and \\t to \\r."""
     if lower:
-        data = LOWER[data]
-    s, e, doc = runs(~SPACE[data], offs)
+        data = mapped(LOWER, data)
+    s, e, doc = runs(~mapped(SPACE, data), offs)
     return hashes(data, s, e), s, e, doc
 
 
@@ -130,7 +224,7 @@ def windows(h: np.ndarray, doc: np.ndarray, k: int) -> tuple[np.ndarray, np.ndar
     q = 1
     for j in range(k):
         out += h[j : j + n] * U(q)
-        q = q * _STEP % (1 << 64)
+        q = q * _TURN % (1 << 64)
     return mix(out[whole] + U(k)), whole
 
 
@@ -150,7 +244,7 @@ def shingle_sets(data: np.ndarray, offs: np.ndarray, k: int = 5) -> tuple[np.nda
             q = 1
             for j in range(size):
                 x += h[first + j] * U(q)
-                q = q * _STEP % (1 << 64)
+                q = q * _TURN % (1 << 64)
             tok, owner = np.concatenate([tok, mix(x + U(size))]), np.concatenate([owner, few])
     order = np.argsort(owner, kind="stable")
     tok, owner = tok[order], owner[order]

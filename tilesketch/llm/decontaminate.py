@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tilesketch.llm.bytewise import LETTER, LOWER, U, blocks, hashes, lists, runs, signed, windows
+from tilesketch.llm.bytewise import LETTER, LOWER, U, blocks, hashes, lists, mapped, runs, signed, windows
 from tilesketch.llm.scratch import keep
 
 # fixed values: units of measure that become a placeholder after a number
@@ -43,19 +43,19 @@ def _word_hashes(texts: list[str]) -> np.ndarray:
 
 def template(data: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Template tokens of a block of texts: token hash, value hash (0 for plain words) and text number."""
-    digit = _DIGIT[data]
+    digit = mapped(_DIGIT, data)
     number = digit.copy()
     if len(data) > 2:
         number[1:-1] |= ((data[1:-1] == 46) | (data[1:-1] == 44)) & digit[:-2] & digit[2:]
-    s1, e1, d1 = runs(LETTER[data], offs)
+    s1, e1, d1 = runs(mapped(LETTER, data), offs)
     s2, e2, d2 = runs(number, offs)
     order = np.argsort(np.concatenate([s1, s2]), kind="stable")
     s, e, doc = (np.concatenate(x)[order] for x in ((s1, s2), (e1, e2), (d1, d2)))
     is_number = order >= len(s1)
-    value = hashes(LOWER[data], s, e)
+    value = hashes(mapped(LOWER, data), s, e)
     if not len(s):
         return value, value, doc
-    ends = np.concatenate([[0], np.cumsum(_END[data])])
+    ends = np.concatenate([[0], np.cumsum(mapped(_END, data))])
     opens = np.ones(len(s), bool)
     opens[1:] = (doc[1:] != doc[:-1]) | (ends[s[1:]] > ends[e[:-1]])
     lead = data[s]

@@ -10,8 +10,14 @@ their first ``n - need(n) + 1`` tokens have one in common.  Three orders are use
   sets are compared.
 
 Which tokens are shared is counted over all texts: each task sorts the tokens of about two million, packs them by range
-of the hash into byte planes, and one task for each range finds the tokens that more than one text holds.  A token that is
-frequent in a task is sent once from it, however many texts hold it.
+of the hash into byte planes, and one task for each range finds the tokens that more than one text holds.  The number of
+ranges follows the size of the input, so that a range holds the tokens of about ``RANGE`` bytes of it at any size up to
+2^16 ranges (4 TB), and grows in proportion beyond.  A token that is frequent in a task is sent once from it, however many
+texts hold it.  Texts are read twice, and what the two readings send is matched by a fingerprint of the texts it came from;
+an input that is more than a scan of files is written to a table first, and a fingerprint without its texts is an error.
+
+A token is a 64-bit hash.  Two different tokens of equal hash can make a similarity too large by one token of a set; among
+10^13 tokens about 10^7 pairs are expected, so of unlike texts none is linked by them.
 
 Equal sets are one class.  Inside a group of classes that share a prefix token, every member is first compared with
 pivots.  Members that still lie in different components are compared with each other: pair by pair in groups of up to
@@ -19,20 +25,23 @@ pivots.  Members that still lie in different components are compared with each o
 pairs of blocks.  No pair that could link two components is left out.
 
 Defined results: null, empty and white-space texts have 0 shingles and stand alone; a text shorter than k words has one
-shingle; rows of equal ``doc_id`` count as one document; rows without a ``doc_id`` are left out; other columns are ignored.
+shingle; rows of equal ``doc_id`` count as one document; rows without a ``doc_id`` are left out; other columns are ignored;
+no rows give no rows.  A very long text is in one task with about 60 bytes of memory a byte.
 """
 
 from __future__ import annotations
 
+from hashlib import blake2b
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilesketch.llm.bytewise import U, blocks, lists, shingle_sets, trim
-from tilesketch.llm.scratch import components, drop, keep, release
+from tilesketch.llm.scratch import by_key, components, drop, keep, release
 
-FLUSH = 1 << 21
+FLUSH, RANGE = 1 << 21, 1 << 26
 _ANY = (1 << 32) - 1  # stands for a token that several texts of one task hold
 
 
@@ -58,10 +67,11 @@ def _send(k: int, bits: int, local: bool):
     """For each task: its tokens by range of the hash (``local`` False), or its texts and the tokens that two or more of
     them share (True)."""
 
-    def flush(task, toks, owners, ids, sizes):
+    def flush(toks, owners, ids, sizes):
         tok, owner = np.concatenate(toks), np.concatenate(owners).astype(np.uint32)
         toks.clear(), owners.clear()
         ids, sizes = np.concatenate(ids), np.concatenate(sizes).astype(np.uint32)
+        task = int.from_bytes(blake2b(ids.tobytes() + sizes.tobytes() + np.bitwise_xor.reduce(tok, initial=U(0)).tobytes(), digest_size=8).digest(), "little", signed=True)
         order = np.argsort(tok, kind="stable")
         tok, owner = tok[order], owner[order]
         del order
@@ -79,9 +89,6 @@ def _send(k: int, bits: int, local: bool):
         return pa.RecordBatch.from_pylist([dict(zip(_SENT.names, r, strict=True)) for r in rows], schema=_SENT)
 
     def run(batches):
-        from pyspark import TaskContext
-
-        task = TaskContext.get().partitionId() << 32
         held, texts, total = ([], [], [], []), 0, 0
         for part, data, offs in blocks(batches):
             tok, owner, size = shingle_sets(data, offs, k)
@@ -89,11 +96,11 @@ def _send(k: int, bits: int, local: bool):
                 box.append(x)
             texts, total = texts + len(size), total + len(tok)
             if total >= FLUSH:
-                yield flush(task, *held)
-                held, texts, total, task = ([], [], [], []), 0, 0, task + 1
+                yield flush(*held)
+                held, texts, total = ([], [], [], []), 0, 0
                 trim()
         if texts:
-            yield flush(task, *held)
+            yield flush(*held)
 
     return run
 
@@ -124,8 +131,10 @@ def _gather(percent: int):
     def run(table: pa.Table) -> pa.Table:
         tok = np.concatenate([np.cumsum(_unpack(b, U), dtype=U) for b in table["tokens"].to_pylist()])
         owner = np.concatenate([_unpack(b, np.uint32) for b in table["owners"].to_pylist()]).astype(np.int64)
-        ids = next(np.cumsum(_unpack(b, np.int64)) for b in table["ids"].to_pylist() if b is not None)
-        n = next(_unpack(b, np.uint32) for b in table["sizes"].to_pylist() if b is not None).astype(np.int64)
+        texts = [(np.cumsum(_unpack(i, np.int64)), _unpack(n, np.uint32).astype(np.int64)) for i, n in zip(table["ids"].to_pylist(), table["sizes"].to_pylist(), strict=True) if i is not None]
+        if not texts:
+            raise RuntimeError("the two readings of the input gave different texts")
+        ids, n = texts[0]  # a fingerprint that occurs twice is of rows that are equal throughout
         held = np.bincount(owner, minlength=len(n))
         stays = (held * 100 >= percent * n) & (n > 0)
         mine = stays[owner]
@@ -138,12 +147,26 @@ def _gather(percent: int):
     return run
 
 
+def _scans_only(docs: DataFrame) -> bool:
+    """Whether a table comes straight from files, so that it can be read twice with the same rows in each task."""
+    plan = docs._jdf.queryExecution().optimizedPlan()
+    while plan.nodeName() in ("Project", "Filter"):
+        plan = plan.children().head()
+    return plan.nodeName().startswith("LogicalRelation") or plan.nodeName().startswith("Relation")
+
+
+def ranges(docs: DataFrame) -> int:
+    """The number of ranges of the hash, a power of two: as the files are sized, at least 64."""
+    size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return 1 << min(16, max(6, (size // RANGE).bit_length()))
+
+
 def shared_tokens(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """Per document: ``n`` distinct shingles, whether enough of them are shared for any link (``stays``), and if so the
     hashes of the shared ones, ascending."""
+    docs = docs if _scans_only(docs) else keep(docs.select("doc_id", "text"))
     texts = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    partitions = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    bits = max(6, (partitions - 1).bit_length())
+    bits = ranges(texts).bit_length() - 1
     local = texts.mapInArrow(_send(k, bits, True), _SENT_SQL)
     sent = texts.mapInArrow(_send(k, bits, False), _SENT_SQL)
     found = sent.groupBy("bucket").applyInArrow(_find_shared, _SENT_SQL)
@@ -220,8 +243,8 @@ def _compare(percent: int):
 def block_links(posts: DataFrame, sets: DataFrame, percent: int, block: int = 256) -> DataFrame:
     """Links among the sets of ``posts(tok, id)`` that share a token, found by comparing blocks of about ``block`` sets:
     rows grow with the number of pairs of blocks, not of sets.  Sets with the same most common token lie together."""
-    common = posts.groupBy("tok").agg(F.count(F.lit(1)).alias("c"))
-    lead = posts.join(common, "tok").groupBy("id").agg(F.max(F.struct("c", "tok")).alias("lead"))
+    common = keep(posts.groupBy("tok").agg(F.count(F.lit(1)).alias("c")))
+    lead = by_key(posts, common, "tok").groupBy("id").agg(F.max(F.struct("c", "tok")).alias("lead"))
     crowd = lead.groupBy("lead").agg(F.ceil(F.count(F.lit(1)) / block).alias("parts"))
     placed = keep(lead.join(crowd, "lead").select("id", F.xxhash64("lead.tok", F.pmod(F.xxhash64("id"), "parts")).alias("block")))
     at = posts.join(placed, "id").select("tok", "block").distinct()
@@ -245,12 +268,15 @@ def links(sets: DataFrame, percent: int = 80, pivots: int = 2, crowd: int = 64)
     done, edges, label = None, None, None
     temporary = [posts]
     for turn in range(pivots + 1):
-        at = posts.withColumn("label", F.col("id")) if label is None else posts.join(label, "id", "left").withColumn("label", F.coalesce("component", "id")).drop("component")
-        span = at.groupBy("tok").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.min(F.struct(F.xxhash64("id", F.lit(turn)), "id", "n", "label")).alias("pivot")).where("low < high")
+        at = posts.withColumn("label", F.col("id")) if label is None else keep(posts.join(label, "id", "left").withColumn("label", F.coalesce("component", "id")).drop("component"))
+        few = F.count(F.lit(1)).alias("c"), F.min("label").alias("low"), F.max("label").alias("high")
+        pivot = F.min(F.struct(F.xxhash64("id", F.lit(turn)), "id", "n", "label")).alias("pivot")
+        span = keep(at.groupBy("tok").agg(*few, pivot).where("low < high").drop("low", "high"))
+        temporary += [span] if label is None else [at, span]
+        open_ = by_key(at, span, "tok")
         if turn < pivots:
-            met = at.join(span, "tok").where("label <> pivot.label").select("id", "n", F.col("pivot.id").alias("other"), F.col("pivot.n").alias("m"))
+            met = open_.where("label <> pivot.label").select("id", "n", F.col("pivot.id").alias("other"), F.col("pivot.n").alias("m"))
         else:
-            open_ = at.join(at.groupBy("tok").agg(F.count(F.lit(1)).alias("c"), F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("tok", "c"), "tok")
             few, many = open_.where(F.col("c") <= crowd), open_.where(F.col("c") > crowd)
             met = few.join(few.select("tok", F.col("id").alias("other"), F.col("n").alias("m"), F.col("label").alias("its")), "tok").where("label < its")
         pairs = met.where((100 * F.least("n", "m")) >= percent * F.greatest("n", "m")).select(F.least("id", "other").alias("a"), F.greatest("id", "other").alias("b")).distinct()

@@ -2,7 +2,7 @@
 
 ``keep`` writes a DataFrame as Parquet below ``spark.checkpoint.dir`` and reads it again: lineage is cut, every
 executor can read the files, and a lost executor costs nothing.  A folder of our own is set only where the session
-names none (tests).
+names none and runs in one process (tests); on a cluster that is an error.
 """
 
 from __future__ import annotations
@@ -22,6 +22,8 @@ def shared_dir(spark: SparkSession) -> str:
     at = spark.sparkContext._jsc.sc().getCheckpointDir()
     if at.isDefined():
         return at.get().rstrip("/")
+    if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
     spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="tilesketch-"))
     return spark.sparkContext._jsc.sc().getCheckpointDir().get().rstrip("/")
 
@@ -53,6 +55,19 @@ def drop(*tables: DataFrame) -> None:
             where.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
 
 
+def by_key(rows: DataFrame, per_key: DataFrame, *keys: str) -> DataFrame:
+    """``rows`` joined with ``per_key``, a kept table of one row a key with the number ``c`` of the key's rows.
+
+    Keys with more rows than a quarter of an even share of the partitions are joined where their rows lie; as their counts
+    add up to the rows, there are at most four for each partition to broadcast.  All other keys are shuffled."""
+    parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    share = (per_key.agg(F.sum("c")).first()[0] or 0) / (4 * parts)
+    hot, cold = per_key.where(F.col("c") > share), per_key.where(F.col("c") <= share)
+    near = rows.join(F.broadcast(hot), list(keys))
+    rest = rows.join(F.broadcast(hot.select(*keys)), list(keys), "left_anti")
+    return near.unionByName(rest.join(cold, list(keys)))
+
+
 def components(edges: DataFrame, rounds: int = 200) -> DataFrame:
     """Smallest reachable id of every vertex of the undirected ``edges(a LONG, b LONG)``: ``(id, component)``.
 
