@@ -220,17 +220,6 @@ def test_encoded_texts_come_back(spark):
     assert sorted((r.doc_id or 0, r.text) for r in back.collect()) == sorted([(i or 0, t or "") for i, t in rows] + [(9, "")])
 
 
-def test_token_counts(spark):
-    from tilesketch.llm import sentencepiece_codec as codec
-    from tilesketch.llm.token_counts import token_counts, vocabulary
-
-    model = codec.model_bytes()
-    rows = [(1, "the then there them 🎉 日本"), (2, None), (3, ""), (4, "antidisestablishment " * 3 + "q" * 700)]
-    vocab = vocabulary(model)
-    want = {i: (len(w), sum(vocab.one(("▁" + x).encode()) for x in w)) for i, t in rows for w in [WORD.findall(t or "")]}
-    assert {r.doc_id: (r.n_pretokens, r.n_tokens) for r in token_counts(docs(spark, rows), model).collect()} == want
-
-
 def whole_unigram(text, scores):
     """Tokens of the best segmentation of the whole normalised text, and the fewest of equals."""
     t = "▁" + text.replace(" ", "▁") if text else ""
@@ -242,6 +231,19 @@ def whole_unigram(text, scores):
     return -best[-1][1]
 
 
+def test_token_counts(spark):
+    from tilesketch.llm import sentencepiece_codec as codec
+    from tilesketch.llm.token_counts import token_counts
+
+    model = codec.model_bytes()
+    rng = random.Random(4)
+    scores = {t: s for t, s, kind in codec.parse(model)["pieces"] if kind in (codec.NORMAL, codec.USER)}
+    rows = [(1, "the then there them 🎉 日本"), (2, None), (3, ""), (4, "antidisestablishment " * 3 + "q" * 700)]
+    rows += [(5, "".join(rng.choice("日本語中文的一是不了人我在有") for _ in range(2000))), (6, "".join(rng.choice("abcdeftion") for _ in range(3000))), (7, "é🎉" * 400 + "=" * 999)]
+    got = {r.doc_id: (r.n_pretokens, r.n_tokens) for r in token_counts(docs(spark, rows), model).collect()}
+    assert got == {i: (len(WORD.findall(t or "")), whole_unigram(t or "", scores)) for i, t in rows}
+
+
 SPACED = ["a  b\nc\td", "\n\n", " ", "   ", "\n", "x;\r\n\r\n  y", "a\x0b \x0cb", " lead and trail ", "▁mark ▁ in\ttext", "日本\n語 🎉 \n", "tab\t\t  " * 50, " " * 700 + "far", "", None]
 
 
