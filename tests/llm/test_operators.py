@@ -96,6 +96,92 @@ def test_templates(spark):
         assert got == {(1, 10, True), (2, 10, False)}
 
 
+def test_templates_with_names_at_sentence_starts(spark):
+    from tilesketch.llm.decontaminate import contaminated
+
+    item = "Tom has 3 red apples in his bag. Tom buys 5 more apples at the shop. Tom gives 2 apples to Anna. How many apples does Tom have now?"
+    other = item.replace("Tom", "Bob").replace("Anna", "Eve").replace("3", "8").replace("5", "11").replace("2", "4")
+    rows = [(1, item), (2, "Read this. " + other), (3, other.replace("Bob gives", "Jim gives")), (4, other.replace("Eve", "Bob")), (5, "Solve this: What is 12 + 30, then?"), (6, "what is 12 + 31"), (7, f"Ann said: {item[:1].lower()}{item[1:]}")]
+    bench = spark.createDataFrame([(1, item), (2, "What is 12 + 30?")], "item_id long, text string")
+    got = {(r.doc_id, r.item_id, r.exact) for r in contaminated(docs(spark, rows), bench).collect()}
+    assert got == {(1, 1, True), (2, 1, False), (5, 2, True), (7, 1, True)}
+
+
+STORIES = [
+    "{A} has {x} red apples in a bag. {A} buys {y} more apples at the old shop. {A} then gives {z} apples to {B}. How many apples does {A} have now?",
+    "Every week {A} drives {x} km to the city of {C} and back again. {B} drives {y} km more than {A} does. How far do they drive in {z} weeks?",
+    "A train leaves {C} at a speed of {x} km an hour while {A} waits for {y} hours at the station with {B}. {B} pays {z} dollars for the two tickets.",
+    "The baker {A} sells {x} loaves of bread and {y} small cakes before noon. {B} bakes {z} loaves in the same time. Who of the two bakes more?",
+]
+
+
+def _filled(rng, story):
+    names = rng.sample(["Tom", "Anna", "Bob", "Eve", "Carl", "Dora", "Finn", "Gina"], 2)
+    numbers = rng.sample(range(2, 90), 3)
+    return story.format(A=names[0], B=names[1], C=rng.choice(["Paris", "Rome", "Oslo", "Lima"]), x=numbers[0], y=numbers[1], z=numbers[2])
+
+
+def _plain_template_match(item, text, size=8, literals=4):
+    """The rule read plainly: all windows of both sides, word by word."""
+    from tilesketch.llm.decontaminate import UNITS
+
+    def tokens(t):
+        out, opens = [], True
+        for m in re.finditer(r"[A-Za-z]+|[0-9]+(?:[.,][0-9]+)*|[.!?\n]", t):
+            w = m[0]
+            if w in ".!?\n":
+                opens = True
+                continue
+            close = out and out[-1][0] == "#" and m.start() - out[-1][3] <= 1
+            kind = "#" if w[0].isdigit() else "%" if close and w.lower() in UNITS else "^" if w[0].isupper() and opens else "@" if w[0].isupper() else ""
+            out.append((kind, w.lower(), opens, m.end()))
+            opens = False
+        return out
+
+    def windows(toks, typed):
+        view = [("" if k == "^" and not typed else "@" if k == "^" else k, w, k == "^") for k, w, _, _ in toks]
+        for i in range(len(view) - size + 1):
+            part = view[i : i + size]
+            if sum(not k for k, _, _ in part) >= literals and (not typed or any(o for _, _, o in part)):
+                yield i, tuple(k or w for k, w, _ in part), [(w if k else None) for k, w, _ in part]
+
+    mine, theirs = tokens(item), tokens(text)
+    total, lines = set(), {}
+    for typed in (False, True):
+        found = {}
+        for i, key, slots in windows(theirs, typed):
+            found.setdefault(key, []).append((i, slots))
+        for i, key, slots in windows(mine, typed):
+            total.add(i)
+            for j, others in found.get(key, ()):
+                places, pairs = lines.setdefault(j - i, (set(), set()))
+                places.add(i)
+                pairs |= {(a, b) for a, b in zip(slots, others, strict=True) if a is not None}
+    sound = lambda pairs: len({a for a, _ in pairs}) == len({b for _, b in pairs}) == len(pairs)
+    return any(sound(pairs) and (2 * len(places) >= len(total) or len(places) + size - 1 >= 13) for places, pairs in lines.values())
+
+
+def test_renamed_problems_against_a_plain_version(spark):
+    from tilesketch.llm.decontaminate import contaminated
+
+    rng = random.Random(8)
+    items = [_filled(rng, s) for s in STORIES]
+    texts, truth = [], {}
+    for n in range(120):
+        which = rng.randrange(len(STORIES))
+        t = _filled(rng, STORIES[which])
+        if n % 3 == 1:  # a swapped name or a word taken out
+            t = t.replace(" the ", " ", 1) if n % 2 else re.sub(r"\b(Tom|Anna|Bob|Eve|Carl|Dora|Finn|Gina)\b", "Hugo", t, count=1)
+        else:
+            truth[n] = which
+        texts.append("Some words before it. " * (n % 2) + t)
+    texts += ["The shop sells apples and bread. Tom has 3 of them in his bag and goes to the station."] * 2
+    got = {(r.doc_id, r.item_id) for r in contaminated(docs(spark, list(enumerate(texts))), spark.createDataFrame(list(enumerate(items)), "item_id long, text string")).collect()}
+    assert got == {(i, j) for i, t in enumerate(texts) for j, item in enumerate(items) if _plain_template_match(item, t)}
+    assert sum((n, which) in got for n, which in truth.items()) >= 0.9 * len(truth)
+    assert not any(i >= 120 for i, _ in got)
+
+
 def test_grid_join(spark):
     from tilesketch.llm.grid_join import near_vectors
 
