@@ -252,6 +252,99 @@ def test_spans_of_several_words_are_seeds(spark):
     assert all(got[i].n_card == 1 and got[i].n_phone == 1 and got[i].n_other == 0 for i in range(12))
 
 
+def _word_spans(text):
+    """Words with a digit or an at sign: start and end of the core, or of each key in it, the context, and whether a key."""
+    from tilesketch.llm.personal_data import SECRET
+
+    def context(start):
+        head = re.split(r"[\x20\x09-\x0D]+", text[:start])
+        return re.sub("[0-9]", "0", head[-2].lower()) if len(head) > 1 else ""
+
+    out = []
+    for m in WORD.finditer(text):
+        if not re.search("[0-9@]", m[0]):
+            continue
+        keys = [(m.start() + k.start(), m.start() + k.end(), k[0]) for k in re.finditer(SECRET, m[0])]
+        core = re.match(r"[\W_]*?(?=[^\W_]|\+|$)", m[0]).end()
+        tail = re.sub(r"[\W_]+$", "", m[0][core:])
+        out += [(*k, context(m.start()), True) for k in keys] or ([(m.start() + core, m.start() + core + len(tail), tail, context(m.start()), False)] if tail else [])
+    return out
+
+
+def _plain_bootstrap(texts, rounds=5, seeds=3, least=0.8):
+    words, graph, known = {}, {}, set()
+    for i, t in texts.items():
+        spans = [tuple(map(int, x.split(":")[1:])) for x in base(t).split(",") if x]
+        for a, b in spans:
+            before = re.split(r"[\x20\x09-\x0D]+", t[:a])
+            known.add(t[a:b])
+            if len(before) > 1 and before[-2]:
+                graph.setdefault(re.sub("[0-9]", "0", before[-2].lower()), set()).add(t[a:b])
+        words[i] = [w for w in _word_spans(t) if not any(a < w[1] and b > w[0] for a, b in spans)]
+        for _, _, value, context, key in words[i]:
+            known |= {value} if key else set()
+            if context:
+                graph.setdefault(context, set()).add(value)
+    score, trusted = dict.fromkeys(known, 1.0), set()
+    for _ in range(rounds):
+        conf = {p: sum(score.get(x, 0.0) for x in v) / (len(v) + 1) for p, v in graph.items()}
+        now = {p for p, v in graph.items() if round(conf[p], 9) >= least and sum(score.get(x, 0.0) >= least for x in v) >= seeds}
+        if now == trusted:
+            break
+        trusted = now
+        wrong = {}
+        for p in trusted:
+            for x in graph[p]:
+                wrong[x] = wrong.get(x, 1.0) * (1 - min(conf[p], 0.999))
+        score = {x: 1.0 if x in known else 1 - wrong.get(x, 1.0) for x in {*known, *wrong}}
+    return {i: {(a, b) for a, b, _, context, key in w if key or context in trusted} for i, w in words.items()}
+
+
+def test_found_spans_against_a_plain_bootstrap(spark):
+    from tilesketch.llm.personal_data import personal_data
+
+    rng = random.Random(11)
+    heads = ["mailto:", "call:", "badge", "room", "the", "staff"]
+    ids = [f"zx{i}q" for i in range(12)]
+
+    def part():
+        n = rng.randrange(1000)
+        kind = rng.random()
+        if kind < 0.3:
+            return f"mailto: u{n}@ex{n}.org"
+        if kind < 0.45:
+            return f"mailto: {rng.choice(ids)}"
+        if kind < 0.6:
+            return f"badge {rng.choice(ids)}"
+        if kind < 0.65:
+            return "badge 7new"
+        if kind < 0.7:
+            return f'token = "{hashlib.md5(str(n).encode()).hexdigest()}"'
+        if kind < 0.75:
+            return f"pin = 77{n}"
+        return f"{rng.choice(heads[3:])} {rng.choice(['9a', 'x1', 'plain', '(b7)', '10.0.0.1'])}"
+
+    texts = {i: " ".join(part() for _ in range(rng.randrange(1, 9))) for i in range(160)}
+    want = _plain_bootstrap(texts)
+    got = {r.doc_id: r for r in personal_data(docs(spark, list(texts.items()))).collect()}
+    for i, t in texts.items():
+        assert {tuple(map(int, x.split(":")[1:])) for x in got[i].spans.split(",") if x.startswith("other")} == want[i], t
+    caught = [(t.index("7new"), t.index("7new") + 4) in want[i] for i, t in texts.items() if "7new" in t]
+    assert caught and all(caught)  # by a context that no seed has, only what the first round found
+
+
+def test_a_million_matches_in_one_text(spark):
+    import time
+
+    from tilesketch.llm.personal_data import personal_data
+
+    n = 1_000_000
+    began = time.time()
+    r = personal_data(docs(spark, [(1, " ".join(map(str, range(n)))), (2, "1.2.3.4 " * 20_000)])).select("doc_id", "n_ip", "n_found").collect()
+    assert {x.doc_id: x.n_ip for x in r} == {1: 0, 2: 20_000}
+    assert time.time() - began < 120
+
+
 def test_chat(spark):
     from tilesketch.llm.chat_format import perspectives, whole_dialogues
 
