@@ -450,20 +450,94 @@ def test_token_counts_keep_white_space(spark):
         assert got == {i: len(x) for (i, _), x in zip(rows, theirs, strict=True)}
 
 
-def test_marginals_are_exact():
+def _all_paths(theta, chain):
     from itertools import product
 
-    from tilesketch.llm.toxicity import marginals
+    begin, up, down, stay = chain
+    move = {(0, 0): 0.0, (0, 1): up, (1, 0): down, (1, 1): stay}
+    return {y: np.exp(begin * y[0] + sum(v * s for v, s in zip(theta, y, strict=True)) + sum(move[p] for p in zip(y, y[1:]))) for y in product((0, 1), repeat=len(theta))}
 
-    rng = np.random.default_rng(2)
-    theta, trans, start = rng.normal(size=(1, 5)), rng.normal(size=(2, 2)), rng.normal(size=2)
-    weight = {y: np.exp(start[y[0]] + sum(theta[0, t] * y[t] for t in range(5)) + sum(trans[y[t], y[t + 1]] for t in range(4))) for y in product((0, 1), repeat=5)}
-    z = sum(weight.values())
-    want = [sum(w for y, w in weight.items() if y[t]) / z for t in range(5)]
-    assert np.allclose(marginals(theta, trans, start, np.array([5]))[0], want)
 
+def test_marginals_are_exact():
+    from tilesketch.llm.toxicity import marginals
 
-@pytest.mark.parametrize("name, label, least", [("quality", "quality", 0.97), ("toxicity", "toxic", 0.97)])
+    rng = np.random.default_rng(2)
+    lens = [5, 1, 3, 6]
+    theta, chain = rng.normal(size=sum(lens)), rng.normal(size=4)
+    m, log_z, moves = marginals(theta, np.repeat(np.arange(4), lens), chain, True)
+    at = 0
+    for i, n in enumerate(lens):
+        weight = _all_paths(theta[at : at + n], chain)
+        z = sum(weight.values())
+        mean = lambda f: sum(w * f(y) for y, w in weight.items()) / z  # noqa: E731, B023
+        assert np.isclose(log_z[i], np.log(z))
+        assert np.allclose(m[at : at + n], [mean(lambda y, t=t: y[t]) for t in range(n)])
+        pairs = [mean(lambda y, p=p: sum(q == p for q in zip(y, y[1:]))) for p in ((0, 1), (1, 0), (1, 1))]
+        assert np.allclose(moves[:, i], [mean(lambda y: y[0]), *pairs])
+        at += n
+
+
+def test_scores_of_documents_against_all_paths(spark):
+    from tilesketch.llm import toxicity
+
+    rng = np.random.default_rng(3)
+    texts = ["Du alte zug hier. So gut\nnun ja", "", None, "ruhig", "zug zug! zug", "ä ö ü"]
+    buckets = np.arange(1, toxicity.BUCKETS)
+    tagger = toxicity.Tagger(buckets, rng.normal(size=len(buckets)).astype(np.float32), -0.3, rng.normal(size=4), np.array([-1.0, 2.0, 0.7]))
+    dense = tagger.dense()
+    got = {r.doc_id: r for r in toxicity.apply(docs(spark, list(enumerate(texts))), tagger).collect()}
+    for i, t in enumerate(texts):
+        data = np.frombuffer((t or "").encode(), np.uint8)
+        top, mass, spans = 0.0, 0.0, []
+        for line in re.finditer(r"[^.!?\n]+", t or ""):
+            words = list(re.finditer(r"[^\W\d_]+", line[0]))
+            feats = toxicity.tokens(np.frombuffer(line[0].encode(), np.uint8), np.array([0, len(line[0].encode())]))[-1] if words else None
+            if not words:
+                continue
+            weight = _all_paths(tagger.bias + toxicity.scores(dense, feats), tagger.chain)
+            z = sum(weight.values())
+            m = [sum(w for y, w in weight.items() if y[k]) / z for k in range(len(words))]
+            top, mass = max(top, *m), mass + sum(m)
+            for k, w in enumerate(words):
+                if m[k] >= 0.5:
+                    at = line.start() + w.start(), line.start() + w.end()
+                    if spans and k and m[k - 1] >= 0.5:
+                        spans[-1] = spans[-1][0], at[1]
+                    else:
+                        spans.append(at)
+        want = 1 / (1 + np.exp(-(tagger.curve @ [1, top, np.log1p(mass)])))
+        assert np.isclose(got[i].score, want), (t, len(data))
+        assert got[i].spans == ",".join(f"{x}:{y}" for x, y in spans)
+
+
+def test_context_tells_what_a_word_alone_does_not():
+    from tilesketch.llm.bytewise import blocks
+    from tilesketch.llm.toxicity import fit
+    import pyarrow as pa
+
+    rng = random.Random(6)
+    fill = [f"w{chr(97 + i % 26)}{chr(97 + i // 26)}" for i in range(80)]
+
+    def text(toxic):
+        words = [rng.choice(fill) for _ in range(rng.randrange(12, 40))]
+        first = rng.randrange(6)
+        words[first:first] = (["du", "zug"] if toxic else ["du", "hund"])
+        words += ["mein", "hund"] if toxic else ["mein", "zug"]
+        return " ".join(words)
+
+    train, test = ([(text(y), y) for y in (rng.random() < 0.3 for _ in range(n))] for n in (900, 300))
+
+    def right(**options):
+        tagger = fit([t for t, _ in train], np.array([float(y) for _, y in train]), **options)
+        _, data, offs = next(blocks([pa.record_batch({"text": pa.array([t for t, _ in test], pa.large_string())})]))
+        top, mass, _ = tagger.tag(data, offs, tagger.dense())
+        return np.mean((tagger.score(top, mass) >= 0.5) == np.array([y for _, y in test]))
+
+    assert right() >= 0.95 and right(linked=False) >= 0.95 and right(context=False) >= 0.95  # either tells the pair
+    assert right(context=False, linked=False) <= 0.85
+
+
+@pytest.mark.parametrize("name, label, least", [("quality", "quality", 0.97), ("toxicity", "toxic", 0.98)])
 def test_classifiers_on_held_out_rows(spark, name, label, least):
     from tilesketch.llm import queries
 

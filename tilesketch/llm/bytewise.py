@@ -85,7 +85,7 @@ def _times(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 def _power(base: int, n: int) -> np.ndarray:
     """The first ``n`` powers of a base, at most a chunk."""
-    if len(_powers.get(base, ())) < n:
+    if len(_powers.get(base, ())) < max(1, n):
         out = np.ones(1, U)
         while len(out) < n:
             out = np.concatenate([out, _fold(_times(out, np.array([pow(base, len(out), PRIME)], U)))])

@@ -1,18 +1,26 @@
 """Toxic spans by a linear-chain conditional random field of two states over the words of a text.
 
 Words are runs of letters (any byte from 0x80 counts as one).  The chain is cut at sentence ends, line feeds and after 64
-words; every word of a text is in one piece.  A word's features are its lower-case form and its first four, five and six
-bytes, and weights of the two states and of their four transitions are trained by conditional likelihood.
-
-The labels of documents become labels of words so: on a bounded sample of labelled training documents, features that
-stand almost only in toxic documents are taken if many of them hold it, and then greedily for the toxic documents that are left, and a
-word of a toxic document that carries a taken feature counts as toxic.  Forward-backward gives each word's marginal; the
-pieces without any feature all look alike and come from a table by length.  A logistic curve over the largest marginal and
-the expected number of toxic words, fitted on the same sample, gives the document's score; runs of words over one half
-are its spans (code points, end exclusive).
-
-Defined results: null and empty texts get the score of a text without toxic words; without labels of either class every
-score is that of the prior; other columns are ignored; repeated rows each have a row.
+words; every word of a text is in one piece.  A word's features are its lower-case form, its first four, five and six
+bytes, and the words before and after it in its piece, each hashed to one of ``BUCKETS`` weights; features of fewer than
+``least`` training documents have none.
+
+Labels belong to documents, so the labels of words are hidden: in a clean document every word is clean, in a toxic one at
+least one word is toxic.  Training climbs the likelihood of just that.  Paths are scored against the clean path, so the
+chance that a piece is clean is one over its sum Z over all paths, and that of a document the product over its pieces.  The
+expectation step is forward-backward: of a toxic document it gives the expected features of all paths but the clean one.
+Climbing starts where words and prefixes weigh
+what their documents say of them, so that it settles on common causes and not on rare words.  In closed form a document's gradient is its expected features times -1 if it is clean, and times ``p / (1 - p)``, p being
+the chance that all of it is clean, if it is toxic.
+
+A logistic curve over the largest marginal and the expected number of toxic words, fitted on the same sample, gives the
+document's score; runs of words over one half are its spans (code points, end exclusive).
+
+The sample is of at most ``bound`` labelled documents and ``most`` bytes; both are taken by hash of the id, whole texts.
+
+Defined results: null and empty texts get the score of a text without words; without labels of both classes every score is
+that of the prior; other columns are ignored; repeated rows each have a row; no rows give no rows.  A very long text costs
+about 150 bytes of memory a byte.
 """
 
 from __future__ import annotations
@@ -24,242 +32,214 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tilesketch.llm.bytewise import LETTER, LOWER, U, blocks, ranged, runs, sums
+from tilesketch.llm.bytewise import LETTER, LOWER, U, blocks, mapped, mix, ranged, runs, sums
 
 PIECE = 64
 PREFIXES = (4, 5, 6)
+BUCKETS = 1 << 20
+OWN, WIDTH = 1 + len(PREFIXES), 3 + len(PREFIXES)
 _CUT = np.zeros(256, bool)
 _CUT[[10, 33, 46, 63]] = True
 
 
 def tokens(data: np.ndarray, offs: np.ndarray):
-    """Start, end, text number, piece number of each word, and its features (one column each; 0: none)."""
-    data = LOWER[data]
-    s, e, doc = runs(LETTER[data], offs)
+    """Start, end, text number and piece number of each word, and its features as buckets (one row each; 0: none)."""
+    data = mapped(LOWER, data)
+    s, e, doc = runs(mapped(LETTER, data), offs)
     total = sums(data)
-    feats = np.zeros((len(s), 1 + len(PREFIXES)), U)
-    feats[:, 0] = ranged(total, s, e)
-    for i, size in enumerate(PREFIXES):
-        long = np.flatnonzero(e - s > size)
-        feats[long, 1 + i] = ranged(total, s[long], s[long] + size) ^ U(0x5851F42D4C957F2D + size)
+    feats = np.zeros((WIDTH, len(s)), np.int32)
     if not len(s):
         return s, e, doc, doc, feats
-    cuts = np.concatenate([[0], np.cumsum(_CUT[data])])
+    cuts = np.concatenate([[0], np.cumsum(mapped(_CUT, data))])
     new = np.ones(len(s), bool)
     new[1:] = (doc[1:] != doc[:-1]) | (cuts[s[1:]] > cuts[e[:-1]])
     start = np.maximum.accumulate(np.where(new, np.arange(len(s)), 0))
     new |= (np.arange(len(s)) - start) % PIECE == 0
+    bucket = lambda h: (h % U(BUCKETS - 1)).astype(np.int32) + 1
+    word = ranged(total, s, e)
+    feats[0] = bucket(word)
+    for i, size in enumerate(PREFIXES):
+        long = np.flatnonzero(e - s > size)
+        feats[1 + i, long] = bucket(ranged(total, s[long], s[long] + size) ^ U(0x5851F42D4C957F2D + size))
+    inner = np.flatnonzero(~new)
+    feats[OWN, inner] = bucket(mix(word[inner - 1] ^ U(0x0B)))
+    feats[OWN + 1, inner - 1] = bucket(mix(word[inner] ^ U(0x0A)))
     return s, e, doc, np.cumsum(new) - 1, feats
 
 
-def marginals(theta: np.ndarray, trans: np.ndarray, start: np.ndarray, lens: np.ndarray, stats: bool = False):
-    """Forward-backward over padded pieces: ``theta[piece, place]`` is the score of the toxic state over the clean one;
-    ``trans`` 2 x 2 and ``start`` 2 are scores.  Marginals of the toxic state; with ``stats`` also expected transitions."""
-    p, n = theta.shape
-    emit = np.exp(np.clip(np.stack([np.zeros_like(theta), theta], 2), -30, 30))
-    move = np.exp(trans)
-    fwd, back = np.zeros((p, n, 2)), np.ones((p, n, 2))
-    x = emit[:, 0] * np.exp(start)
-    fwd[:, 0] = x / x.sum(1, keepdims=True)
-    for t in range(1, n):
-        x = emit[:, t] * (fwd[:, t - 1] @ move)
-        fwd[:, t] = x / x.sum(1, keepdims=True)
-    for t in range(n - 2, -1, -1):
-        x = (emit[:, t + 1] * back[:, t + 1]) @ move.T
-        x = x / x.sum(1, keepdims=True)
-        back[:, t] = np.where((t + 1 < lens)[:, None], x, 1.0)
-    both = fwd * back
-    out = (both / both.sum(2, keepdims=True))[:, :, 1]
-    if not stats:
-        return out
-    pairs = fwd[:, :-1, :, None] * move * (emit * back)[:, 1:, None, :]
-    pairs /= np.maximum(pairs.sum((2, 3), keepdims=True), 1e-300)
-    pairs *= (np.arange(1, n)[None, :] < lens[:, None])[:, :, None, None]
-    return out, pairs.sum((0, 1))
-
-
-def padded(values: np.ndarray, piece: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Pieces as rows: the matrix, the place of each value in it, and the lengths.  ``piece`` ascends without gaps."""
+def marginals(theta: np.ndarray, piece: np.ndarray, chain: np.ndarray, pairs: bool = False):
+    """Forward-backward over all pieces at once.  ``theta`` is each word's score of the toxic state over the clean one;
+    ``chain`` holds the scores of a toxic start and of the moves clean to toxic, toxic to clean and toxic to toxic.
+    ``piece`` ascends without gaps.  Gives each word's marginal and each piece's log Z; with ``pairs`` also the expected
+    number of each of the four for each piece."""
     lens = np.bincount(piece)
-    first = np.cumsum(lens) - lens
-    place = np.arange(len(piece)) - first[piece]
-    out = np.zeros((len(lens), max(1, lens.max(initial=1))))
-    out[piece, place] = values
-    return out, place, lens
+    order = np.argsort(-lens, kind="stable")
+    first = (np.cumsum(lens) - lens)[order]
+    live = [int(x) for x in np.searchsorted(-lens[order], -np.arange(lens.max(initial=0)), "left")]
+    emit = np.exp(np.clip(theta, -30, 30))
+    begin, up, down, stay = np.exp(chain)
+    seen, log_z = np.zeros(len(theta)), np.zeros(len(lens))
+    for t, n in enumerate(live):
+        at = first[:n] + t
+        f = seen[at - 1] if t else None
+        clean = 1 - f + f * down if t else 1.0
+        toxic = emit[at] * ((1 - f) * up + f * stay if t else begin)
+        z = clean + toxic
+        seen[at] = toxic / z
+        log_z[order[:n]] += np.log(z)
+    out, moves = seen.copy(), np.zeros((4, len(lens)))
+    after = np.ones(len(lens))  # of each piece: how much better the rest goes from the toxic state than from the clean one
+    for t in range(len(live) - 2, -1, -1):
+        n = live[t + 1]
+        at = first[:n] + t
+        f, w = seen[at], emit[at + 1] * after[:n]
+        if pairs:
+            each = (1 - f) * up * w, f * down, f * stay * w
+            whole = 1 - f + each[0] + each[1] + each[2]
+            for i in range(3):
+                moves[1 + i, order[:n]] += each[i] / whole
+        after[:n] = (down + stay * w) / (1 + up * w)
+        out[at] = f * after[:n] / (f * after[:n] + 1 - f)
+    if not pairs:
+        return out, log_z
+    moves[0, order] = out[first]
+    return out, log_z, moves
 
 
 @dataclass
 class Tagger:
-    """Sorted feature keys with weights, the chain's scores and the curve over a document's summary."""
+    """Weights by bucket (those that are not zero), the chain's scores and the curve over a document's summary."""
 
-    keys: np.ndarray
+    buckets: np.ndarray
     weights: np.ndarray
     bias: float
-    trans: np.ndarray
-    start: np.ndarray
+    chain: np.ndarray
     curve: np.ndarray
 
-    def __post_init__(self):
-        self.hit = np.zeros(1 << 20, bool)
-        self.hit[(self.keys & U((1 << 20) - 1)).astype(np.int64)] = True
-        self.plain = [np.zeros(0), *(marginals(np.full((1, n), self.bias), self.trans, self.start, np.array([n]))[0] for n in range(1, PIECE + 1))]
-        self.plain_max, self.plain_sum = np.array([x.max(initial=0) for x in self.plain]), np.array([x.sum() for x in self.plain])
-
-    def scores(self, feats: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Each word's score for the toxic state, and whether it has a feature."""
-        out = np.full(len(feats), self.bias)
-        some = np.zeros(len(feats), bool)
-        if len(self.keys):
-            for c in range(feats.shape[1]):
-                near = np.flatnonzero(self.hit[(feats[:, c] & U((1 << 20) - 1)).astype(np.int64)])
-                at = np.minimum(np.searchsorted(self.keys, feats[near, c]), len(self.keys) - 1)
-                near, at = near[self.keys[at] == feats[near, c]], at[self.keys[at] == feats[near, c]]
-                out[near] += self.weights[at]
-                some[near] = True
-        return out, some
-
-    def tag(self, data: np.ndarray, offs: np.ndarray):
-        """Per text: largest marginal and expected number; and the words over one half (start, end, text number)."""
+    def dense(self) -> np.ndarray:
+        out = np.zeros(BUCKETS, np.float32)
+        out[self.buckets] = self.weights
+        return out
+
+    def tag(self, data: np.ndarray, offs: np.ndarray, dense: np.ndarray):
+        """Per text: largest marginal and expected number; and the words over one half (start, end, text number, number)."""
         n = len(offs) - 1
         s, e, doc, piece, feats = tokens(data, offs)
         top, mass = np.zeros(n), np.zeros(n)
-        if not len(s):
-            return top, mass, (s, e, doc, piece)
-        theta, some = self.scores(feats)
-        lens = np.bincount(piece)
-        owner = doc[np.cumsum(lens) - lens]
-        live = np.zeros(len(lens), bool)
-        live[piece[some]] = True
-        np.maximum.at(top, owner[~live], self.plain_max[lens[~live]])
-        mass += np.bincount(owner[~live], self.plain_sum[lens[~live]], minlength=n)
-        words = np.flatnonzero(live[piece])
-        if not len(words):
-            return top, mass, (s[:0], e[:0], doc[:0], piece[:0])
-        own = np.cumsum(live)[piece[words]] - 1
-        matrix, place, sizes = padded(theta[words], own)
-        m = marginals(matrix, self.trans, self.start, sizes)[own, place]
-        np.maximum.at(top, doc[words], m)
-        mass += np.bincount(doc[words], m, minlength=n)
-        bad = words[m >= 0.5]
+        if len(s):
+            m, _ = marginals(self.bias + scores(dense, feats), piece, self.chain)
+            np.maximum.at(top, doc, m)
+            mass = np.bincount(doc, m, minlength=n)
+        else:
+            m = np.zeros(0)
+        bad = np.flatnonzero(m >= 0.5)
         return top, mass, (s[bad], e[bad], doc[bad], bad)
 
     def score(self, top: np.ndarray, mass: np.ndarray) -> np.ndarray:
-        x = np.stack([np.ones_like(top), top, np.log1p(mass)], 1) @ self.curve
+        x = summary(top, mass) @ self.curve
         return 1 / (1 + np.exp(-np.clip(x, -500, 500)))
 
 
-def _once(key: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct (key, document) pairs, by key."""
-    order = np.lexsort((owner, key))
-    key, owner = key[order], owner[order]
-    new = np.ones(len(key), bool)
-    new[1:] = (key[1:] != key[:-1]) | (owner[1:] != owner[:-1])
-    return key[new], owner[new]
-
-
-def taken_features(parts: list, toxic: np.ndarray, precision: float = 0.9, least: int = 5, common: float = 0.02) -> np.ndarray:
-    """Features of at least the ``common`` share of the toxic documents; then, greedily, those of the toxic documents that
-    are left.  Blocks of texts are gone through twice, so that only the features of toxic documents are held."""
-    found = [_once(f[toxic[d] == 1].reshape(-1), np.repeat(d[toxic[d] == 1], f.shape[1])) for d, _, f in _each(parts)]
-    key, owner = (np.concatenate(x) for x in zip(*found, strict=True))
-    key, owner = key[key != 0], owner[key != 0]
-    values, count = np.unique(key, return_counts=True)
-    values = values[count >= least]
-    near = np.zeros(1 << 20, bool)
-    near[(values & U((1 << 20) - 1)).astype(np.int64)] = True
-    boxes = [(key, owner)]
-    for d, _, f in _each(parts):
-        clean = toxic[d] == 0
-        k, o = f[clean].reshape(-1), np.repeat(d[clean], f.shape[1])
-        maybe = near[(k & U((1 << 20) - 1)).astype(np.int64)]
-        k, o = k[maybe], o[maybe]
-        maybe = np.isin(k, values)
-        boxes.append(_once(k[maybe], o[maybe]))
-    key, owner = (np.concatenate(x) for x in zip(*boxes, strict=True))
-    values, at, count = np.unique(key, return_inverse=True, return_counts=True)
-    bad = np.bincount(at, toxic[owner], minlength=len(values))
-    good = np.flatnonzero((bad >= least) & (bad / count >= precision))
-    rank = np.full(len(values), -1)
-    rank[good] = np.arange(len(good))
-    use = (rank[at] >= 0) & (toxic[owner] == 1)
-    at, owner = rank[at[use]], owner[use]
-    open_, out = toxic.astype(bool).copy(), []
-    for i in np.flatnonzero(bad[good] >= max(least, common * toxic.sum())):
-        out.append(values[good[i]])
-        open_[owner[at == i]] = False
-    while len(good):
-        gain = np.bincount(at, open_[owner], minlength=len(good))
-        best = int(np.argmax(gain))
-        if gain[best] < least:
-            break
-        out.append(values[good[best]])
-        open_[owner[at == best]] = False
-    return np.unique(np.array(out, U))
-
-
-def _each(parts: list):
-    """Text numbers, piece numbers and features of the words, block by block; numbers go on from block to block."""
-    texts = pieces = 0
-    for _, data, offs in parts:
-        _, _, d, p, f = tokens(data, offs)
-        yield d + texts, p + pieces, f
-        texts, pieces = texts + len(offs) - 1, pieces + (int(p[-1]) + 1 if len(p) else 0)
-
-
-def fit(texts: list[str], toxic: np.ndarray, steps: int = 100, ridge: float = 1e-3, pieces: int = 2000, precision: float = 0.9, least: int = 5) -> Tagger:
-    """Train on whole texts with their labels, the chain on about ``pieces`` pieces with taken features and as many without.
-    Equal texts count once."""
+def scores(dense: np.ndarray, feats: np.ndarray) -> np.ndarray:
+    out = np.zeros(feats.shape[1])
+    for row in feats:
+        out += dense[row]
+    return out
+
+
+def summary(top: np.ndarray, mass: np.ndarray) -> np.ndarray:
+    return np.stack([np.ones_like(top), top, np.log1p(mass)], 1)
+
+
+def counts(parts: list, toxic: np.ndarray, batch: int) -> np.ndarray:
+    """How many clean and how many toxic texts hold each bucket; batches are gone through one at a time."""
+    out = np.zeros((2, BUCKETS), np.int64)
+    for i, (_, _, doc, _, feats) in enumerate(parts):
+        for row in feats:
+            key = np.unique(doc.astype(np.int64) * BUCKETS + row)
+            is_toxic = toxic[i * batch + key // BUCKETS] == 1
+            for c in (0, 1):
+                out[c] += np.bincount(key[is_toxic == c] % BUCKETS, minlength=BUCKETS)
+    out[:, 0] = 0
+    return out
+
+
+def first_guess(held: np.ndarray, toxic: np.ndarray) -> np.ndarray:
+    """Where expectation starts: the lower bound of each feature's log odds in toxic over clean documents, if positive."""
+    odds = np.log((held[1] + 0.5) / (held[0] + 0.5)) - np.log((toxic.sum() + 0.5) / ((1 - toxic).sum() + 0.5))
+    return np.maximum(0.0, odds - 1.64 * np.sqrt(1 / (held[0] + 0.5) + 1 / (held[1] + 0.5)))
+
+
+def fit(texts: list[str], toxic: np.ndarray, epochs: int = 12, batch: int = 64, rate: float = 0.02, ridge: float = 1e-4, least: int = 10, start: float = 1.0, context: bool = True, linked: bool = True) -> Tagger:
+    """Train on whole texts with their labels; equal texts count once.  ``context`` and ``linked`` switch off the features
+    of neighbours and the moves of the chain, to show what they add."""
     seen: dict[str, int] = {}
     for t, y in zip(texts, toxic, strict=True):
         seen.setdefault(t or "", int(y))
     texts, toxic = list(seen), np.array(list(seen.values()), float)
-    parts = list(blocks([pa.record_batch({"text": pa.array(texts, pa.large_string())})] if texts else [], 1 << 20))
-    rate = float(np.clip(toxic.mean() if len(toxic) else 0.5, 1e-3, 1 - 1e-3))
-    flat = Tagger(np.zeros(0, U), np.zeros(0), -8.0, np.zeros((2, 2)), np.zeros(2), np.array([np.log(rate / (1 - rate)), 0.0, 0.0]))
+    prior = float(np.clip(toxic.mean() if len(toxic) else 0.5, 1e-3, 1 - 1e-3))
+    flat = Tagger(np.zeros(0, np.int64), np.zeros(0, np.float32), -8.0, np.zeros(4), np.array([np.log(prior / (1 - prior)), 0.0, 0.0]))
     if not len(texts) or toxic.min() == toxic.max():
         return flat
-    keys = taken_features(parts, toxic, precision, least)
-    if not len(keys):
-        return flat
-    with_, without = [], []
-    for d, p, f in _each(parts):
-        at = np.minimum(np.searchsorted(keys, f), len(keys) - 1)
-        at = np.where(keys[at] == f, at, -1)
-        some = np.zeros(int(p[-1] - p[0]) + 1 if len(p) else 0, bool)
-        some[p[(at >= 0).any(1)] - (p[0] if len(p) else 0)] = True
-        for box, live in ((with_, some), (without, ~some)):
-            few = np.flatnonzero(live)
-            few = few[:: max(1, -(-len(few) * len(parts) // pieces))]
-            use = np.isin(p - (p[0] if len(p) else 0), few)
-            box.append((at[use], p[use], ((at[use] >= 0).any(1) & (toxic[d[use]] == 1)).astype(float)))
-    which, piece, gold = (np.concatenate(x) for x in zip(*with_, *without, strict=True))
-    order = np.argsort(piece, kind="stable")
-    which, piece, gold = which[order], piece[order], gold[order]
-    words, own = np.arange(len(piece)), np.unique(piece, return_inverse=True)[1]
-    y, place, lens = padded(gold, own)
-    mask = np.arange(y.shape[1])[None, :] < lens[:, None]
-    y1, both = y[:, :-1], mask[:, 1:]
-    seen_moves = np.array([[((1 - y1) * (1 - y[:, 1:]) * both).sum(), ((1 - y1) * y[:, 1:] * both).sum()], [(y1 * (1 - y[:, 1:]) * both).sum(), (y1 * y[:, 1:] * both).sum()]])
-    seen_start = np.array([(1 - y[:, 0]).sum(), y[:, 0].sum()])
-    row, col = np.nonzero(which >= 0)
-    feature = which[row, col]
-    k = len(keys)
-    w = np.concatenate([np.zeros(k), [-4.0], np.zeros(4), np.zeros(2)])
-    decay = ridge * len(lens) * np.concatenate([np.full(k, 0.1), [0.1], np.full(6, 10.0)])
-    m1, m2 = np.zeros_like(w), np.zeros_like(w)
-    for step in range(1, steps + 1):
-        theta = np.full(len(words), w[k])
-        np.add.at(theta, row, w[feature])
-        matrix, _, _ = padded(theta, own)
-        m, moves = marginals(matrix, w[k + 1 : k + 5].reshape(2, 2), w[k + 5 :], lens, True)
-        gap = gold - m[own, place]
-        grad = np.concatenate([np.bincount(feature, gap[row], minlength=k), [gap.sum()], (seen_moves - moves).reshape(-1), seen_start - [(1 - m[:, 0]).sum(), m[:, 0].sum()]]) - decay * w
-        m1, m2 = 0.9 * m1 + 0.1 * grad, 0.99 * m2 + 0.01 * grad**2
-        w += 0.15 * (m1 / (1 - 0.9**step)) / (np.sqrt(m2 / (1 - 0.99**step)) + 1e-9)
-    tagger = Tagger(keys, w[:k], float(w[k]), w[k + 1 : k + 5].reshape(2, 2), w[k + 5 :], flat.curve)
-    top, mass = (np.concatenate(x) for x in zip(*(tagger.tag(data, offs)[:2] for _, data, offs in parts), strict=True))
-    x = np.stack([np.ones_like(top), top, np.log1p(mass)], 1)
-    curve = np.zeros(3)
+
+    rng = np.random.default_rng(7)
+    order = rng.permutation(len(texts))
+    texts, toxic = [texts[i] for i in order], toxic[order]
+    batches = []
+    for i in range(0, len(texts), batch):
+        _, data, offs = next(iter(blocks([pa.record_batch({"text": pa.array(texts[i : i + batch], pa.large_string())})], 1 << 40)))
+        made = tokens(data, offs)
+        if not context:
+            made[-1][OWN:] = 0
+        batches.append(made)
+    held = counts(batches, toxic, batch)
+    own = np.zeros(BUCKETS, bool)
+    for *_, feats in batches:
+        own[feats[:OWN]] = True
+    names, inverse = np.flatnonzero(held.sum(0) >= least), np.zeros(BUCKETS, np.int32)
+    inverse[names] = np.arange(1, len(names) + 1)
+    batches = [(doc, piece, inverse[feats]) for _, _, doc, piece, feats in batches]
+
+    k = len(names) + 1
+    w = np.zeros(k + 5)  # weights, then the bias and the chain; number 0 stands for no feature
+    w[1:k] = start * first_guess(held[:, names], toxic) * own[names]
+    w[k : k + 2] = -6.0, -1.0
+    w[k + 2 :] = -1.0, 0.0, 0.0
+    fixed = np.zeros(k + 5, bool)
+    fixed[0] = True
+    if not linked:
+        w[k + 1 :], fixed[k + 1 :] = 0.0, True
+    m1, m2, step = np.zeros_like(w), np.zeros_like(w), 0
+    for _ in range(epochs):
+        for b in rng.permutation(len(batches)):
+            doc, piece, feats = batches[b]
+            y = toxic[b * batch : (b + 1) * batch]
+            if not len(doc):
+                continue
+            marginal, log_z, moves = marginals(w[k] + scores(w, feats), piece, w[k + 1 :], True)
+            owner = doc[np.flatnonzero(np.diff(piece, prepend=-1))]
+            some = np.maximum(-np.expm1(-np.bincount(owner, log_z, minlength=len(y))), 1e-9)
+            pull = np.where(y == 1, (1 - some) / some, -1.0)
+            each = pull[doc] * marginal
+            grad = np.zeros_like(w)
+            for row in feats:
+                grad[:k] += np.bincount(row, each, minlength=k)
+            grad[k] = each.sum()
+            grad[k + 1 :] = (moves * pull[owner]).sum(1)
+            grad = grad / len(y) - ridge * w
+            grad[fixed] = 0
+            step += 1
+            m1, m2 = 0.9 * m1 + 0.1 * grad, 0.99 * m2 + 0.01 * grad**2
+            w += rate * (m1 / (1 - 0.9**step)) / (np.sqrt(m2 / (1 - 0.99**step)) + 1e-8)
+
+    keep = np.abs(w[1:k]) > 1e-3
+    tagger = Tagger(names[keep], w[1:k][keep].astype(np.float32), float(w[k]), w[k + 1 :].copy(), flat.curve)
+    top, mass = np.zeros(len(texts)), np.zeros(len(texts))
+    for b, (doc, piece, feats) in enumerate(batches):
+        m, _ = marginals(w[k] + scores(w, feats), piece, w[k + 1 :]) if len(doc) else (np.zeros(0), None)
+        np.maximum.at(top, doc + b * batch, m)
+        mass += np.bincount(doc + b * batch, m, minlength=len(texts))
+    x, curve = summary(top, mass), np.zeros(3)
     for _ in range(50):
         p = 1 / (1 + np.exp(-np.clip(x @ curve, -500, 500)))
         curve += np.linalg.solve((x * (p * (1 - p))[:, None]).T @ x + 0.01 * np.eye(3), x.T @ (toxic - p) - 0.01 * curve)
@@ -271,23 +251,28 @@ def held_out():
     return F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 0, F.lit(False))
 
 
-def training_sample(docs: DataFrame, labels: DataFrame, bound: int) -> tuple[list[str], np.ndarray]:
-    """At most ``bound`` labelled documents outside the held-out fifth, by hash of their id, and their labels."""
+def training_sample(docs: DataFrame, labels: DataFrame, bound: int, most: int = 24 << 20) -> tuple[list[str], np.ndarray]:
+    """At most ``bound`` labelled documents outside the held-out fifth, of at most ``most`` bytes together, by hash of
+    their id, and their labels.  Only sizes come to the driver first."""
     known = labels.where(~held_out() & F.col("toxic").isin(0, 1)).select(F.col("doc_id").cast("long").alias("id"), F.col("toxic").alias("y"))
-    there = known.count()
-    part = min(1.0, 0.95 * bound / max(1, there))
+    part = min(1.0, 0.95 * bound / max(1, known.count()))
     chosen = known.where(F.pmod(F.xxhash64("id"), F.lit(1 << 20)) < int(part * (1 << 20))).limit(bound)
-    rows = docs.join(F.broadcast(chosen), docs["doc_id"].cast("long") == F.col("id")).select("id", F.col("text").cast("string").alias("text"), "y").limit(bound).collect()
-    rows.sort(key=lambda r: (r.id, r.text or ""))
-    return [r.text or "" for r in rows], np.array([r.y for r in rows], float)
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    there = docs.select(F.col("doc_id").cast("long").alias("id"), text.alias("text")).join(F.broadcast(chosen), "id")
+    sizes = there.select("id", F.xxhash64("id").alias("h"), F.octet_length("text").alias("size")).limit(2 * bound).toArrow().sort_by("h")
+    inside = np.cumsum(sizes["size"].to_numpy().astype(np.int64)) <= most
+    ids = docs.sparkSession.createDataFrame([(i,) for i in set(sizes["id"].filter(pa.array(inside)).to_pylist())], "id long")
+    rows = there.join(F.broadcast(ids), "id", "left_semi").limit(2 * bound).toArrow().sort_by([("id", "ascending"), ("text", "ascending")])
+    return rows["text"].to_pylist(), rows["y"].to_numpy().astype(float)
 
 
 def apply(docs: DataFrame, tagger: Tagger) -> DataFrame:
     """``doc_id, score, spans`` (``start:end`` of runs of toxic words, comma-joined)."""
 
     def run(batches):
+        dense = tagger.dense()
         for part, data, offs in blocks(batches):
-            top, mass, (s, e, doc, at) = tagger.tag(data, offs)
+            top, mass, (s, e, doc, at) = tagger.tag(data, offs, dense)
             spans = [""] * len(top)
             if len(s):
                 points = np.concatenate([[0], np.cumsum((data & 0xC0) != 0x80)])
@@ -302,6 +287,7 @@ def apply(docs: DataFrame, tagger: Tagger) -> DataFrame:
 
 
 def toxicity_scores(docs: DataFrame, labels: DataFrame, bound: int = 4_000) -> DataFrame:
-    """``doc_id, held_out, score, predicted, spans``; trained on at most ``bound`` labelled documents."""
+    """``doc_id, held_out, score, predicted, spans``; trained on at most ``bound`` labelled documents and 24 MB of
+    them."""
     tagger = fit(*training_sample(docs, labels, bound))
     return apply(docs, tagger).select("doc_id", held_out().alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), "spans")
