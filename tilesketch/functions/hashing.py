@@ -9,10 +9,19 @@ from __future__ import annotations
 import hashlib
 from dataclasses import dataclass
 
+import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 PRIME = 2**31 - 1  # a*id + b stays below 2^62 + 2^31
+LARGE = 2**61 - 1  # for ids from PRIME on; products are taken by halves of 31 bits
+
+
+def prime_for(largest: int) -> int:
+    """The modulus for ids up to ``largest``: ids must lie below it, else two of them share every hash."""
+    if largest >= LARGE:
+        raise ValueError("ids must be below 2^61 - 1")
+    return PRIME if largest < PRIME else LARGE
 
 
 def draw(*key) -> int:
@@ -39,7 +48,24 @@ def family(reps: int = 10, seed: int = 42, prime: int = PRIME) -> Family:
 
 def affine(x: Column, a: int | Column, b: int | Column, prime: int = PRIME) -> Column:
     a, b = (F.lit(v).cast("long") if isinstance(v, int) else v for v in (a, b))
-    return (a * x + b) % F.lit(prime).cast("long")
+    p = F.lit(prime).cast("long")
+    x = F.pmod(x, p)
+    if prime <= PRIME:
+        return (a * x + b) % p
+    if prime != LARGE:
+        raise ValueError("the modulus is at most 2^31 - 1, or 2^61 - 1")
+    low = F.lit(2**31 - 1).cast("long")
+    a1, a0, x1, x0 = F.shiftright(a, 31), a.bitwiseAND(low), F.shiftright(x, 31), x.bitwiseAND(low)
+    middle = (a1 * x0 + a0 * x1) % p  # below 2^62 before the remainder; times 2^31 is a turn of the 61 bits
+    turned = F.shiftleft(middle.bitwiseAND(F.lit(2**30 - 1).cast("long")), 31) + F.shiftright(middle, 30)
+    return (((2 * (a1 * x1)) % p + turned) % p + ((a0 * x0) % p + b) % p) % p
+
+
+def np_affine(x: np.ndarray, a: int, b: int, prime: int = PRIME) -> np.ndarray:
+    """The same over an array."""
+    if prime <= PRIME:
+        return (a * (x % prime) + b) % prime
+    return np.array([(a * v + b) % prime for v in x.tolist()], np.int64)
 
 
 def cell(h_row: Column, h_col: Column, prime: int = PRIME) -> Column:

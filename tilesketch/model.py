@@ -20,7 +20,7 @@ SCHEMAS = {
     "tile_cols": _schema(("tile_id", L), ("col_id", L)),
     "tile_cells": _schema(("tile_id", L), ("row_id", L), ("col_id", L)),
     "sketch": _schema(("tile_id", L), ("hashes", T.ArrayType(T.ArrayType(L)))),
-    "selection": _schema(("step", I), ("tile_id", L), ("estimate", D), ("gain", L), ("error", L), ("rel_error", D), ("n_checked", I), ("elapsed_ms", L)),
+    "selection": _schema(("step", I), ("tile_id", L), ("estimate", D), ("gain", L), ("error", L), ("rel_error", D), ("n_checked", I), ("elapsed_ms", L), ("n_cells", L), ("n_hashes", L)),
 }
 
 
@@ -73,6 +73,13 @@ class Pool:
         c = self.tile_cols.groupBy("tile_id").agg(F.count(F.lit(1)).alias("n_c"))
         return r.join(c, "tile_id").select("tile_id", "n_r", "n_c", (F.col("n_r") * F.col("n_c")).alias("size"))
 
+    def largest_id(self) -> int:
+        """The largest row or column id."""
+        from pyspark.sql import functions as F
+
+        sides = [(self.tile_cells, "row_id"), (self.tile_cells, "col_id")] if self.tile_cells is not None else [(self.tile_rows, "row_id"), (self.tile_cols, "col_id")]
+        return max(df.agg(F.max(c)).first()[0] or 0 for df, c in sides)
+
     def only(self, tile_ids: DataFrame) -> Pool:
         """The patterns of ``tile_ids(tile_id)``."""
         keep = lambda df: None if df is None else df.join(tile_ids, "tile_id", "left_semi")

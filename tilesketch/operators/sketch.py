@@ -71,7 +71,7 @@ def walked(pool: Pool, fam: Family, k: int, cutoff: int | None = None) -> DataFr
         r, c = (np.array(table[n][0].as_py(), np.int64) for n in ("r", "c"))
         out = []
         for ar, br, ac, bc in maps:
-            hr, hc = np.sort((ar * r + br) % p), np.sort((ac * c + bc) % p)
+            hr, hc = np.sort(hashing.np_affine(r, ar, br, p)), np.sort(hashing.np_affine(c, ac, bc, p))
             bound, found = top, np.zeros(0, np.int64)
             twice = np.concatenate([hr, hr + p])
             for i in range(0, len(hc), 256):
@@ -89,6 +89,50 @@ def walked(pool: Pool, fam: Family, k: int, cutoff: int | None = None) -> DataFr
     return sides.groupBy("tile_id").applyInArrow(walk, "tile_id long, hashes array<array<long>>")
 
 
+def _smallest(rows: np.ndarray, cols: np.ndarray, k: int, top: int, p: int, slack: float = 4.0) -> np.ndarray:
+    """The k smallest distinct differences below ``top``, of ascending row and column hashes: those below a bound that
+    about ``slack * k`` of them meet, and below four times the bound where that gives fewer."""
+    twice = np.concatenate([rows, rows + p])
+    want = min(k, len(rows) * len(cols))
+    bound = min(top, int(slack * k * p / max(1, len(rows) * len(cols))) + 1)
+    while True:
+        a, b = np.searchsorted(twice, cols), np.searchsorted(twice, np.minimum(cols + bound, cols + p))
+        n = b - a
+        at = np.repeat(a - np.cumsum(n) + n, n) + np.arange(n.sum())
+        found = np.unique(twice[at] - np.repeat(cols, n))[:k]
+        if len(found) >= want or bound >= top:
+            return found
+        bound = min(top, bound * 4)
+
+
+def local_lists(rows: list[np.ndarray], cols: list[np.ndarray], row_ids: np.ndarray, col_ids: np.ndarray, fam: Family, k: int, cutoff: int | None = None, loose: bool = False) -> np.ndarray:
+    """The lists of patterns that the driver holds, as [tile, repetition, place] padded with the prime.  ``rows`` and
+    ``cols`` are places in the ids; ids are hashed and ranked once for each repetition, whatever the number of patterns.
+    ``loose``: rows and columns are those of single cells."""
+    p = fam.prime
+    top = p if cutoff is None else min(cutoff, p)
+    out = np.full((len(rows), fam.reps, k), p, np.int64)
+    for j, (ar, br, ac, bc) in enumerate(fam.maps):
+        hr, hc = hashing.np_affine(row_ids, ar, br, p), hashing.np_affine(col_ids, ac, bc, p)
+        for i, (r, c) in enumerate(zip(rows, cols, strict=True)):
+            if loose:
+                low = (hr[r] - hc[c]) % p
+                low = np.unique(low[low < top])[:k]
+            else:
+                low = _smallest(np.sort(hr[r]), np.sort(hc[c]), k, top, p)
+            out[i, j, : len(low)] = low
+    return out
+
+
+def as_array(lists: DataFrame, ids: np.ndarray, fam: Family, k: int) -> np.ndarray:
+    """The lists of the tiles ``ids`` in the form of ``local_lists``."""
+    out = np.full((len(ids), fam.reps, k), fam.prime, np.int64)
+    got = lists.select("tile_id", F.posexplode("hashes").alias("rep", "h")).select("tile_id", "rep", F.posexplode("h").alias("place", "h")).toArrow()
+    tile, rep, place, h = (got.column(i).to_numpy() for i in range(4))
+    out[np.searchsorted(ids, tile), rep, place] = h
+    return out
+
+
 def build(pool: Pool, fam: Family, k: int = 30, strategy: str | None = None, cutoff: int | None = None) -> DataFrame:
     """``(tile_id, hashes)``: for each repetition the k smallest distinct hashes, ascending."""
     strategy = strategy or ("enumerate" if pool.tile_cells is not None else "band")

@@ -10,6 +10,8 @@ from __future__ import annotations
 
 import itertools
 import time
+from collections.abc import Callable
+from dataclasses import dataclass
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -18,7 +20,7 @@ from pyspark.sql import functions as F
 from tilesketch.functions import estimate, hashing
 from tilesketch.model import SCHEMAS, Matrix, Pool
 from tilesketch.operators import cover, sketch
-from tilesketch.session import cut
+from tilesketch.session import cut, tables
 
 LOCAL_CELLS = 60_000_000
 
@@ -27,7 +29,8 @@ LOCAL_CELLS = 60_000_000
 
 
 class LocalState:
-    """Weights of the cells (+1 uncovered one, -1 uncovered zero, 0 covered) and the cells of each tile."""
+    """Weights of the cells (+1 uncovered one, -1 uncovered zero, 0 covered) as one matrix, and of each tile its rows and
+    columns, or its cells where it is no outer product.  Cells of outer products are never listed."""
 
     def __init__(self, matrix: Matrix, pool: Pool):
         def flat(df: DataFrame, *c: str) -> np.ndarray:
@@ -35,47 +38,69 @@ class LocalState:
             return np.stack([got.column(i).to_numpy() for i in range(len(c))], 1)
 
         ones = flat(matrix.ones, "row_id", "col_id")
-        if pool.tile_cells is not None:
+        self.loose = pool.tile_cells is not None
+        if self.loose:
             cells = flat(pool.tile_cells, "tile_id", "row_id", "col_id")
             sides = cells[:, [0, 1]], cells[:, [0, 2]]
         else:
             sides = flat(pool.tile_rows, "tile_id", "row_id"), flat(pool.tile_cols, "tile_id", "col_id")
         self.ids = np.unique(sides[0][:, 0])
-        rows, cols = (np.unique(np.concatenate([ones[:, i], s[:, 1]])) for i, s in enumerate(sides))
-        self.shape = len(rows), len(cols)
-        self.w = np.full(self.shape[0] * self.shape[1], -1, np.int8)
-        self.w[np.searchsorted(rows, ones[:, 0]) * self.shape[1] + np.searchsorted(cols, ones[:, 1])] = 1
+        self.row_ids, self.col_ids = (np.unique(np.concatenate([ones[:, i], s[:, 1]])) for i, s in enumerate(sides))
+        self.w = np.full((len(self.row_ids), len(self.col_ids)), -1, np.int8)
+        self.w[np.searchsorted(self.row_ids, ones[:, 0]), np.searchsorted(self.col_ids, ones[:, 1])] = 1
         self.error = len(ones)
 
         def split(side, values):
             side = side[np.argsort(side[:, 0], kind="stable")]
-            return np.split(np.searchsorted(values, side[:, 1]).astype(np.int64), np.flatnonzero(np.diff(side[:, 0])) + 1)
+            return np.split(np.searchsorted(values, side[:, 1]), np.flatnonzero(np.diff(side[:, 0])) + 1)
+
+        self.rows, self.cols = split(sides[0], self.row_ids), split(sides[1], self.col_ids)
+        self.size = np.array([len(r) * (1 if self.loose else len(c)) for r, c in zip(self.rows, self.cols, strict=True)], np.int64)
+        self.read = 0  # cells that exact gains have looked at
+        self.alone = self.all_gains()
+        self.zeros = (self.size - self.alone) // 2
+        self.members: tuple[np.ndarray, np.ndarray] | None = None
 
-        r, c = split(sides[0], rows), split(sides[1], cols)
-        join = (lambda x, y: x * self.shape[1] + y) if pool.tile_cells is not None else (lambda x, y: (x[:, None] * self.shape[1] + y).reshape(-1))
-        self.cells = [join(x, y) for x, y in zip(r, c, strict=True)]
-        size = np.array([len(x) for x in self.cells])
-        self.flat, self.start = np.concatenate(self.cells), np.cumsum(size) - size
-        self.size = size
-        start = self.all_gains()
-        self.alone, self.zeros = start, (size - start) // 2
+    def at(self, i: int):
+        return (self.rows[i], self.cols[i]) if self.loose else np.ix_(self.rows[i], self.cols[i])
 
     def all_gains(self) -> np.ndarray:
-        return np.add.reduceat(self.w[self.flat], self.start, dtype=np.int64)
+        return np.array([self.gain(i) for i in range(len(self.ids))], np.int64)
 
     def gain(self, i: int) -> int:
-        return int(self.w[self.cells[i]].sum(dtype=np.int64))
-
-    def pick(self, i: int) -> None:
-        self.error -= self.gain(i)
-        self.w[self.cells[i]] = 0
+        self.read += int(self.size[i])
+        return int(self.w[self.at(i)].sum(dtype=np.int64))
+
+    def pick(self, i: int) -> np.ndarray:
+        """Take a tile; the weights that its cells had."""
+        before = self.w[self.at(i)]
+        self.error -= int(before.sum(dtype=np.int64))
+        self.w[self.at(i)] = 0
+        return before
+
+    def losses(self, i: int, before: np.ndarray) -> np.ndarray:
+        """What each tile's gain loses by the cells that tile i has newly covered: only those rows and columns are looked
+        at, as a product of the tiles' members with the changed weights."""
+        if self.loose:
+            changed = np.zeros_like(self.w)
+            changed[self.at(i)] = before
+            return np.array([changed[self.at(j)].sum(dtype=np.int64) for j in range(len(self.ids))], np.int64)
+        if self.members is None:
+            self.members = tuple(np.zeros((n, len(self.ids)), np.float32) for n in self.w.shape)
+            for j, (r, c) in enumerate(zip(self.rows, self.cols, strict=True)):
+                self.members[0][r, j] = self.members[1][c, j] = 1
+        live_rows, live_cols = (before != 0).any(1), (before != 0).any(0)
+        before = before[np.ix_(live_rows, live_cols)].astype(np.float32 if before.size < 1 << 24 else np.float64)
+        self.read += before.size
+        r, c = self.members[0][self.rows[i][live_rows]], self.members[1][self.cols[i][live_cols]]
+        return np.rint(((before.T @ r) * c).sum(0)).astype(np.int64)
 
 
 class SparkState:
     """The same counts on tables: uncovered ones, covered zeros, and the catalogue."""
 
-    def __init__(self, matrix: Matrix, pool: Pool):
-        self.matrix, self.pool, self.picks = matrix, pool, 0
+    def __init__(self, matrix: Matrix, pool: Pool, cut: Callable[[DataFrame], DataFrame]):
+        self.matrix, self.pool, self.picks, self.cut = matrix, pool, 0, cut
         self.catalogue = cut(cover.profile(matrix, pool))
         self.open = cut(matrix.ones)
         self.paid = self.open.limit(0)
@@ -94,21 +119,24 @@ class SparkState:
         cells = one.cells().select("row_id", "col_id").distinct()
         new = self.open.join(cells, ["row_id", "col_id"], "left_semi").withColumn("weight", F.lit(1))
         zero = cells.join(self.matrix.ones, ["row_id", "col_id"], "left_anti").join(self.paid, ["row_id", "col_id"], "left_anti").withColumn("weight", F.lit(-1))
-        changed = cut(new.unionByName(zero))
+        changed = self.cut(new.unionByName(zero))
         self.open = self.open.join(changed.where("weight = 1").drop("weight"), ["row_id", "col_id"], "left_anti")
         self.paid = self.paid.unionByName(changed.where("weight = -1").drop("weight"))
         self.picks += 1
         self.error -= gain
         if self.picks % 10 == 0:
-            self.open, self.paid = cut(self.open), cut(self.paid)
+            self.open, self.paid = self.cut(self.open), self.cut(self.paid)
         return changed
 
 
 def _fits(matrix: Matrix, pool: Pool, local_cells: int) -> bool:
-    if not local_cells:
+    """Whether the matrix, the entries of the patterns and the tables of their members stay within the bound."""
+    if not local_cells or matrix.cells > 4 * local_cells:
         return False
-    t = pool.tiles().agg(F.sum("size").alias("s")).first().s or 0
-    return t <= local_cells and matrix.cells <= 4 * local_cells
+    if pool.tile_cells is not None:
+        return pool.tile_cells.count() <= local_cells
+    n = pool.tile_rows.agg(F.count(F.lit(1)).alias("n"), F.countDistinct("tile_id").alias("t")).first()
+    return n.n + pool.tile_cols.count() <= local_cells and n.t * (matrix.n_rows + matrix.n_cols) <= 4 * local_cells
 
 
 def _trace(spark: SparkSession, rows: list[tuple]) -> DataFrame:
@@ -116,11 +144,15 @@ def _trace(spark: SparkSession, rows: list[tuple]) -> DataFrame:
 
 
 class _Log:
+    """Rows of the trace.  ``n_cells`` and ``n_hashes`` count the work of a step: cells read for exact gains and hash values
+    compared for estimates (null where tables are distributed)."""
+
     def __init__(self, matrix: Matrix):
         self.rows, self.cells, self.began = [], matrix.cells, time.time()
 
-    def add(self, tile: int, score: float | None, gain: int, error: int, checked: int) -> None:
-        self.rows.append((len(self.rows) + 1, int(tile), None if score is None else float(score), int(gain), int(error), error / self.cells, checked, int(1000 * (time.time() - self.began))))
+    def add(self, tile: int, score: float | None, gain: int, error: int, checked: int, n_cells: int | None = None, n_hashes: int | None = None) -> None:
+        took = int(1000 * (time.time() - self.began))
+        self.rows.append((len(self.rows) + 1, int(tile), None if score is None else float(score), int(gain), int(error), error / self.cells, checked, took, n_cells, n_hashes))
 
 
 def _feasible(matrix: Matrix, pool: Pool) -> None:
@@ -131,71 +163,92 @@ def _feasible(matrix: Matrix, pool: Pool) -> None:
 # --- the hashed selector ------------------------------------------------------------------------------------------------
 
 
-def hashed(matrix: Matrix, pool: Pool, max_tiles: int | None = 200, sketch_k: int = 30, reps: int = 10, max_checks: int = 30, seed: int = 42, mode: str = "exact", small: str = "exact", merge: str = "union", tie: str = "gain", on_fail: str = "next", verify: bool = True, goal: str = "budget", estimator: str = "k", strategy: str | None = None, cutoff: int | None = None, prime: int = hashing.PRIME, lists: DataFrame | None = None, local_cells: int = LOCAL_CELLS) -> DataFrame:
+@dataclass(frozen=True)
+class Rules:
+    """How the hashed selector estimates, verifies and stops."""
+
+    max_tiles: int | None = 200
+    sketch_k: int = 30
+    max_checks: int = 30
+    mode: str = "exact"
+    small: str = "exact"
+    merge: str = "union"
+    tie: str = "gain"
+    on_fail: str = "next"
+    verify: bool = True
+    estimator: str = "k"
+
+
+def hashed(matrix: Matrix, pool: Pool, max_tiles: int | None = 200, sketch_k: int = 30, reps: int = 10, max_checks: int = 30, seed: int = 42, mode: str = "exact", small: str = "exact", merge: str = "union", tie: str = "gain", on_fail: str = "next", verify: bool = True, goal: str = "budget", estimator: str = "k", strategy: str | None = None, cutoff: int | None = None, prime: int | None = None, lists: DataFrame | None = None, local_cells: int = LOCAL_CELLS) -> DataFrame:
     """Picks by estimated joint size, verified on the best ``max_checks`` candidates of a step.
 
     ``mode`` "inexact" subtracts a tile's own zeros from its score.  ``on_fail`` "next" goes on to the next candidate when
-    one doesn't lower the error, "stop" ends there.  ``goal`` "cover" runs without a budget until no one is left.
+    one doesn't lower the error, "stop" ends there.  ``goal`` "cover" runs without a budget until no one is left.  Without
+    a ``prime`` the modulus follows the largest id.
     """
     if goal == "cover":
         _feasible(matrix, pool)
         max_tiles = None
-    spark = matrix.ones.sparkSession
-    lists = cut(lists if lists is not None else sketch.build(pool, hashing.family(reps, seed, prime), sketch_k, strategy, cutoff))
-    how = {"small": small, "estimator": estimator}
+    rules = Rules(max_tiles, sketch_k, max_checks, mode, small, merge, tie, on_fail, verify, estimator)
     log = _Log(matrix)
     if _fits(matrix, pool, local_cells):
-        _hashed_local(matrix, pool, lists, log, max_tiles, sketch_k, reps, max_checks, mode, merge, tie, on_fail, verify, prime, how)
-    else:
-        _hashed_spark(matrix, pool, lists, log, max_tiles, sketch_k, reps, max_checks, mode, merge, tie, on_fail, verify, prime, how)
-    return _trace(spark, log.rows)
+        state = LocalState(matrix, pool)
+        fam = hashing.family(reps, seed, prime or hashing.prime_for(max(state.row_ids.max(initial=0), state.col_ids.max(initial=0))))
+        if lists is None and strategy is None:
+            held = sketch.local_lists(state.rows, state.cols, state.row_ids, state.col_ids, fam, sketch_k, cutoff, state.loose)
+        else:
+            held = sketch.as_array(lists if lists is not None else sketch.build(pool, fam, sketch_k, strategy, cutoff), state.ids, fam, sketch_k)
+        hashed_local(state, held, log, rules, fam.prime)
+        return _trace(matrix.ones.sparkSession, log.rows)
+    with tables() as cut:
+        fam = hashing.family(reps, seed, prime or hashing.prime_for(pool.largest_id()))
+        lists = cut(lists if lists is not None else sketch.build(pool, fam, sketch_k, strategy, cutoff))
+        _hashed_spark(matrix, pool, lists, log, rules, fam, cut)
+    return _trace(matrix.ones.sparkSession, log.rows)
 
 
-def _hashed_local(matrix, pool, lists, log, max_tiles, k, reps, max_checks, mode, merge, tie, on_fail, verify, prime, how):
-    state = LocalState(matrix, pool)
-    held = np.full((len(state.ids), reps, k), prime, np.int64)
-    for r in lists.collect():
-        at = np.searchsorted(state.ids, r.tile_id)
-        for j, h in enumerate(r.hashes):
-            held[at, j, : len(h)] = h
+def hashed_local(state: LocalState, held: np.ndarray, log: _Log, rules: Rules, prime: int) -> None:
+    """The loop on the driver; ``held`` holds the lists as [tile, repetition, place], padded with the prime."""
     left = np.ones(len(state.ids), bool)
-    first = int(np.lexsort((state.ids, -state.alone))[0])
-    if state.alone[first] <= 0:
+    first = int(np.lexsort((state.ids, -state.alone))[0]) if len(state.ids) else -1
+    if first < 0 or state.alone[first] <= 0:
         return
-    chosen = held[first].copy()
+    joint = estimate.Joint(held, first, rules.sketch_k, prime, rules.merge, rules.small, rules.estimator)
     left[first] = False
-    gain = state.gain(first)
+    gain = int(state.alone[first])
     state.pick(first)
-    log.add(state.ids[first], None, gain, state.error, 1)
-    while (max_tiles is None or len(log.rows) < max_tiles) and left.any() and state.error:
-        at = np.flatnonzero(left)
-        sizes = estimate.np_size(estimate.np_merge(chosen[None], held[at], k, prime, merge), k, prime, **how)
-        score = np.nanmedian(sizes, 1) if how["small"] == "discard" else np.median(sizes, 1)
-        if mode == "inexact":
+    log.add(state.ids[first], None, gain, state.error, 1, int(state.size.sum()), 0)
+    while (rules.max_tiles is None or len(log.rows) < rules.max_tiles) and left.any() and state.error:
+        at, read = np.flatnonzero(left), state.read
+        score = joint.scores()[at]
+        if rules.mode == "inexact":
             score = score - state.zeros[at]
         score = np.where(np.isnan(score), -np.inf, score)
-        order = np.lexsort((state.ids[at], -state.alone[at], -score) if tie == "gain" else (state.ids[at], -score))
-        if how["small"] == "discard":
+        order = np.lexsort((state.ids[at], -state.alone[at], -score) if rules.tie == "gain" else (state.ids[at], -score))
+        if rules.small == "discard":
             order = order[np.isfinite(score[order])]
         found = None
-        for checked, o in enumerate(order[: max_checks if verify else 1], 1):
+        for checked, o in enumerate(order[: rules.max_checks if rules.verify else 1], 1):
             gain = state.gain(int(at[o]))
-            if gain > 0 or not verify:
+            if gain > 0 or not rules.verify:
                 found = int(at[o]), float(score[o]), gain, checked
                 break
-            if on_fail == "stop":
+            if rules.on_fail == "stop":
                 break
         if found is None:
             return
         i, value, gain, checked = found
         state.pick(i)
         left[i] = False
-        chosen = estimate.np_merge(chosen, held[i], k, prime, merge)
-        log.add(state.ids[i], value, gain, state.error, checked if verify else 0)
+        compared = joint.add(i)
+        log.add(state.ids[i], value, gain, state.error, checked if rules.verify else 0, state.read - read, compared)
 
 
-def _hashed_spark(matrix, pool, lists, log, max_tiles, k, reps, max_checks, mode, merge, tie, on_fail, verify, prime, how):
-    state = SparkState(matrix, pool)
+def _hashed_spark(matrix: Matrix, pool: Pool, lists: DataFrame, log: _Log, rules: Rules, fam: hashing.Family, cut: Callable) -> None:
+    spark, k, reps, prime = matrix.ones.sparkSession, rules.sketch_k, fam.reps, fam.prime
+    max_tiles, max_checks, mode, merge, tie, on_fail, verify = rules.max_tiles, rules.max_checks, rules.mode, rules.merge, rules.tie, rules.on_fail, rules.verify
+    how = {"small": rules.small, "estimator": rules.estimator}
+    state = SparkState(matrix, pool, cut)
     held = lists.join(state.catalogue.select("tile_id", (F.col("ones") - F.col("zeros")).alias("alone"), "zeros"), "tile_id").repartition("tile_id").persist()
     first = state.catalogue.select("tile_id", (F.col("ones") - F.col("zeros")).alias("alone")).orderBy(F.desc("alone"), "tile_id").first()
     if first is None or first.alone <= 0:
@@ -208,7 +261,7 @@ def _hashed_spark(matrix, pool, lists, log, max_tiles, k, reps, max_checks, mode
     while (max_tiles is None or len(log.rows) < max_tiles) and state.error:
         own = F.array(*(F.array(*(F.lit(v).cast("long") for v in h)).cast("array<bigint>") for h in chosen))
         value = estimate.score(own, F.col("hashes"), k, prime, how=merge, **how)
-        ranked = held.where(~F.col("tile_id").isin(taken)).select("tile_id", "alone", "hashes", (value - (F.col("zeros") if mode == "inexact" else F.lit(0))).alias("score")).where("score is not null")
+        ranked = _without(held, taken).select("tile_id", "alone", "hashes", (value - (F.col("zeros") if mode == "inexact" else F.lit(0))).alias("score")).where("score is not null")
         ties = [F.desc("alone"), F.col("tile_id")] if tie == "gain" else [F.col("tile_id")]
         best = ranked.orderBy(F.desc("score"), *ties).limit(max_checks if verify else 1).collect()
         if not best:
@@ -231,6 +284,12 @@ def _hashed_spark(matrix, pool, lists, log, max_tiles, k, reps, max_checks, mode
     held.unpersist()
 
 
+def _without(tiles: DataFrame, taken: list[int]) -> DataFrame:
+    """The tiles that are not taken; the picks go to every task, eight bytes each."""
+    gone = tiles.sparkSession.createDataFrame([(int(i),) for i in taken], "tile_id long")
+    return tiles.join(F.broadcast(gone), "tile_id", "left_anti")
+
+
 def restarts(matrix: Matrix, pool: Pool, seeds: list[int], **options) -> DataFrame:
     """``seed, n_picks, error, rel_error`` of the last step for several hash seeds."""
     out = None
@@ -259,7 +318,7 @@ def greedy(matrix: Matrix, pool: Pool, max_tiles: int | None = 200, goal: str =
             raise ValueError("stale gains are bounds for patterns inside the matrix only")
         gains, left = state.alone.copy(), np.ones(len(state.ids), bool)
         while (max_tiles is None or len(log.rows) < max_tiles) and left.any():
-            checked = int(left.sum())
+            checked, read = int(left.sum()), state.read
             if lazy:
                 checked = 0
                 while True:
@@ -275,20 +334,23 @@ def greedy(matrix: Matrix, pool: Pool, max_tiles: int | None = 200, goal: str =
             if gains[i] <= 0:
                 break
             g = int(gains[i])
-            before = state.w[state.cells[i]].copy() if incremental and not lazy else None
-            state.pick(i)
+            before = state.pick(i)
             left[i] = False
-            if before is not None:
-                changed = np.zeros(len(state.w), np.int8)
-                changed[state.cells[i]] = before
-                gains = gains - np.add.reduceat(changed[state.flat], state.start, dtype=np.int64)
-            log.add(state.ids[i], None, g, state.error, checked)
+            if incremental and not lazy:
+                gains = gains - state.losses(i, before)
+            log.add(state.ids[i], None, g, state.error, checked, state.read - read, 0)
         return _trace(matrix.ones.sparkSession, log.rows)
-    state = SparkState(matrix, pool)
+    with tables() as cut:
+        _greedy_spark(matrix, pool, log, max_tiles, cut)
+    return _trace(matrix.ones.sparkSession, log.rows)
+
+
+def _greedy_spark(matrix: Matrix, pool: Pool, log: _Log, max_tiles: int | None, cut: Callable) -> None:
+    state = SparkState(matrix, pool, cut)
     gains = state.catalogue.select("tile_id", (F.col("ones") - F.col("zeros")).alias("gain"))
     taken: list[int] = []
     while max_tiles is None or len(taken) < max_tiles:
-        best = gains.where(~F.col("tile_id").isin(taken) if taken else F.lit(True)).orderBy(F.desc("gain"), "tile_id").first()
+        best = _without(gains, taken).orderBy(F.desc("gain"), "tile_id").first()
         if best is None or best.gain <= 0:
             break
         changed = state.pick(best.tile_id, best.gain)
@@ -300,7 +362,14 @@ def greedy(matrix: Matrix, pool: Pool, max_tiles: int | None = 200, goal: str =
             met = pool.tile_cols.join(changed, "col_id").join(pool.tile_rows, ["tile_id", "row_id"])
         loss = met.groupBy("tile_id").agg(F.sum("weight").alias("loss"))
         gains = cut(gains.join(loss, "tile_id", "left").select("tile_id", (F.col("gain") - F.coalesce("loss", F.lit(0))).alias("gain")))
-    return _trace(matrix.ones.sparkSession, log.rows)
+
+
+def _in_order(matrix: Matrix, state: LocalState, order: np.ndarray) -> DataFrame:
+    rows = []
+    for step, i in enumerate(order, 1):
+        state.pick(int(i))
+        rows.append((step, int(state.ids[i]), int(state.alone[i]), int(state.error), state.error / matrix.cells))
+    return matrix.ones.sparkSession.createDataFrame(rows, "step int, tile_id long, gain long, error long, rel_error double")
 
 
 def _path(matrix: Matrix, pool: Pool, order: DataFrame) -> DataFrame:
@@ -308,8 +377,11 @@ def _path(matrix: Matrix, pool: Pool, order: DataFrame) -> DataFrame:
     return order.join(path, "step").select("step", "tile_id", "gain", "error", "rel_error")
 
 
-def static_rank(matrix: Matrix, pool: Pool, max_tiles: int = 200) -> DataFrame:
+def static_rank(matrix: Matrix, pool: Pool, max_tiles: int = 200, local_cells: int = LOCAL_CELLS) -> DataFrame:
     """Tiles by their standalone gain, never scored again, never stopped: ``step, tile_id, gain, error, rel_error``."""
+    if _fits(matrix, pool, local_cells):
+        state = LocalState(matrix, pool)
+        return _in_order(matrix, state, np.lexsort((state.ids, -state.alone))[:max_tiles])
     best = cover.profile(matrix, pool).select("tile_id", (F.col("ones") - F.col("zeros")).alias("gain")).orderBy(F.desc("gain"), "tile_id").limit(max_tiles)
     return _path(matrix, pool, cut(_numbered(best, F.desc("gain"), "tile_id")))
 
@@ -336,6 +408,8 @@ def brute_force(matrix: Matrix, pool: Pool, size: int, most: int = 15) -> DataFr
     best = (state.error, ())
     for n in range(1, min(size, len(state.ids)) + 1):
         for some in itertools.combinations(range(len(state.ids)), n):
-            cells = np.unique(np.concatenate([state.cells[i] for i in some]))
-            best = min(best, (state.error - int(state.w[cells].sum(dtype=np.int64)), tuple(int(state.ids[i]) for i in some)), key=lambda b: (b[0], len(b[1]), b[1]))
+            hit = np.zeros(state.w.shape, bool)
+            for i in some:
+                hit[state.at(i)] = True
+            best = min(best, (state.error - int(state.w[hit].sum(dtype=np.int64)), tuple(int(state.ids[i]) for i in some)), key=lambda b: (b[0], len(b[1]), b[1]))
     return matrix.ones.sparkSession.createDataFrame([(len(best[1]), ",".join(map(str, best[1])), best[0])], "n_picks int, tiles string, error long")

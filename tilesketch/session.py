@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -14,6 +16,8 @@ def shared_dir(spark: SparkSession) -> str:
         return named.rstrip("/")
     at = spark.sparkContext._jsc.sc().getCheckpointDir()
     if not at.isDefined():
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="tilesketch-"))
         at = spark.sparkContext._jsc.sc().getCheckpointDir()
     return at.get().rstrip("/")
@@ -24,3 +28,22 @@ def cut(df: DataFrame) -> DataFrame:
     path = f"{shared_dir(df.sparkSession)}/cut-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+@contextmanager
+def tables() -> Iterator[Callable[[DataFrame], DataFrame]]:
+    """``cut`` for intermediate tables that nothing reads after the block; they are removed at its end."""
+    made: list[tuple[SparkSession, str]] = []
+
+    def kept(df: DataFrame) -> DataFrame:
+        path = f"{shared_dir(df.sparkSession)}/cut-{uuid.uuid4().hex}"
+        made.append((df.sparkSession, path))
+        df.write.parquet(path)
+        return df.sparkSession.read.schema(df.schema).parquet(path)
+
+    try:
+        yield kept
+    finally:
+        for spark, path in made:
+            where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
