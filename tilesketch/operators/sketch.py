@@ -48,8 +48,8 @@ def banded(pool: Pool, fam: Family, k: int, cutoff: int | None = None, slack: fl
     done = None
     while True:
         todo = cut(todo.withColumn("nb", F.greatest(F.lit(1), F.floor(F.lit(p) / F.col("w"))).cast("long")).withColumn("bw", F.ceil(F.lit(p) / F.col("nb")).cast("long")))
-        rows = _hashed(pool.tile_rows, fam, "row").join(todo.select("tile_id", "nb", "bw", "w"), "tile_id").select("tile_id", "rep", F.floor(F.col("h") / F.col("bw")).cast("long").alias("bucket"), F.col("h").alias("hr"), "w")
-        at = F.floor(F.col("h") / F.col("bw")).cast("long")
+        at = ((F.col("h") - F.col("h") % F.col("bw")) / F.col("bw")).cast("long")
+        rows = _hashed(pool.tile_rows, fam, "row").join(todo.select("tile_id", "nb", "bw", "w"), "tile_id").select("tile_id", "rep", at.alias("bucket"), F.col("h").alias("hr"), "w")
         cols = _hashed(pool.tile_cols, fam, "col").join(todo.select("tile_id", "nb", "bw"), "tile_id").select("tile_id", "rep", F.col("h").alias("hc"), F.explode(F.array_distinct(F.array(*((at + i) % F.col("nb") for i in range(3))))).alias("bucket"))
         met = rows.join(cols, ["tile_id", "rep", "bucket"]).select("tile_id", "rep", hashing.cell(F.col("hr"), F.col("hc"), p).alias("h"), "w").where("h < w").drop("w")
         lists = cut(_nest(met, k, fam.reps))

@@ -78,6 +78,13 @@ class LocalState:
         self.w[self.at(i)] = 0
         return before
 
+    def prepare(self) -> None:
+        """The tables of members that ``losses`` multiplies."""
+        if self.members is None and not self.loose:
+            self.members = tuple(np.zeros((n, len(self.ids)), np.float32) for n in self.w.shape)
+            for j, (r, c) in enumerate(zip(self.rows, self.cols, strict=True)):
+                self.members[0][r, j] = self.members[1][c, j] = 1
+
     def losses(self, i: int, before: np.ndarray) -> np.ndarray:
         """What each tile's gain loses by the cells that tile i has newly covered: only those rows and columns are looked
         at, as a product of the tiles' members with the changed weights."""
@@ -85,10 +92,7 @@ class LocalState:
             changed = np.zeros_like(self.w)
             changed[self.at(i)] = before
             return np.array([changed[self.at(j)].sum(dtype=np.int64) for j in range(len(self.ids))], np.int64)
-        if self.members is None:
-            self.members = tuple(np.zeros((n, len(self.ids)), np.float32) for n in self.w.shape)
-            for j, (r, c) in enumerate(zip(self.rows, self.cols, strict=True)):
-                self.members[0][r, j] = self.members[1][c, j] = 1
+        self.prepare()
         live_rows, live_cols = (before != 0).any(1), (before != 0).any(0)
         before = before[np.ix_(live_rows, live_cols)].astype(np.float32 if before.size < 1 << 24 else np.float64)
         self.read += before.size
@@ -316,35 +320,47 @@ def greedy(matrix: Matrix, pool: Pool, max_tiles: int | None = 200, goal: str =
         state = LocalState(matrix, pool)
         if lazy and (state.zeros > 0).any():
             raise ValueError("stale gains are bounds for patterns inside the matrix only")
-        gains, left = state.alone.copy(), np.ones(len(state.ids), bool)
-        while (max_tiles is None or len(log.rows) < max_tiles) and left.any():
-            checked, read = int(left.sum()), state.read
-            if lazy:
-                checked = 0
-                while True:
-                    i = int(np.argmax(np.where(left, gains, np.iinfo(np.int64).min)))
-                    now = state.gain(i)
-                    checked += 1
-                    if now == gains[i]:
-                        break
-                    gains[i] = now
-            elif not incremental and log.rows:
-                gains = state.all_gains()
-            i = int(np.argmax(np.where(left, gains, np.iinfo(np.int64).min)))
-            if gains[i] <= 0:
-                break
-            g = int(gains[i])
-            before = state.pick(i)
-            left[i] = False
-            if incremental and not lazy:
-                gains = gains - state.losses(i, before)
-            log.add(state.ids[i], None, g, state.error, checked, state.read - read, 0)
+        greedy_local(state, log, max_tiles, incremental, lazy)
         return _trace(matrix.ones.sparkSession, log.rows)
     with tables() as cut:
         _greedy_spark(matrix, pool, log, max_tiles, cut)
     return _trace(matrix.ones.sparkSession, log.rows)
 
 
+def greedy_local(state: LocalState, log: _Log, max_tiles: int | None, incremental: bool, lazy: bool) -> None:
+    """The loop on the driver."""
+    gains, left = state.alone.copy(), np.ones(len(state.ids), bool)
+    lowest = np.iinfo(np.int64).min
+    while (max_tiles is None or len(log.rows) < max_tiles) and left.any():
+        checked, read = int(left.sum()), state.read
+        if lazy:
+            checked = 0
+            while True:
+                i = int(np.argmax(np.where(left, gains, lowest)))
+                now = state.gain(i)
+                checked += 1
+                if now == gains[i]:
+                    break
+                gains[i] = now
+        elif not incremental and log.rows:
+            gains = state.all_gains()
+        i = int(np.argmax(np.where(left, gains, lowest)))
+        if gains[i] <= 0:
+            break
+        g = int(gains[i])
+        before = state.pick(i)
+        left[i] = False
+        if incremental and not lazy:
+            gains = gains - state.losses(i, before)
+        log.add(state.ids[i], None, g, state.error, checked, state.read - read, 0)
+
+
+def static_local(state: LocalState, log: _Log, max_tiles: int) -> None:
+    for i in np.lexsort((state.ids, -state.alone))[:max_tiles].tolist():
+        state.pick(i)
+        log.add(state.ids[i], None, state.alone[i], state.error, 0, int(state.size[i]), 0)
+
+
 def _greedy_spark(matrix: Matrix, pool: Pool, log: _Log, max_tiles: int | None, cut: Callable) -> None:
     state = SparkState(matrix, pool, cut)
     gains = state.catalogue.select("tile_id", (F.col("ones") - F.col("zeros")).alias("gain"))
@@ -364,14 +380,6 @@ def _greedy_spark(matrix: Matrix, pool: Pool, log: _Log, max_tiles: int | None,
         gains = cut(gains.join(loss, "tile_id", "left").select("tile_id", (F.col("gain") - F.coalesce("loss", F.lit(0))).alias("gain")))
 
 
-def _in_order(matrix: Matrix, state: LocalState, order: np.ndarray) -> DataFrame:
-    rows = []
-    for step, i in enumerate(order, 1):
-        state.pick(int(i))
-        rows.append((step, int(state.ids[i]), int(state.alone[i]), int(state.error), state.error / matrix.cells))
-    return matrix.ones.sparkSession.createDataFrame(rows, "step int, tile_id long, gain long, error long, rel_error double")
-
-
 def _path(matrix: Matrix, pool: Pool, order: DataFrame) -> DataFrame:
     path = cover.error_path(matrix, pool.only(order.select("tile_id")), order)
     return order.join(path, "step").select("step", "tile_id", "gain", "error", "rel_error")
@@ -381,7 +389,9 @@ def static_rank(matrix: Matrix, pool: Pool, max_tiles: int = 200, local_cells: i
     """Tiles by their standalone gain, never scored again, never stopped: ``step, tile_id, gain, error, rel_error``."""
     if _fits(matrix, pool, local_cells):
         state = LocalState(matrix, pool)
-        return _in_order(matrix, state, np.lexsort((state.ids, -state.alone))[:max_tiles])
+        log = _Log(matrix)
+        static_local(state, log, max_tiles)
+        return _trace(matrix.ones.sparkSession, log.rows).select("step", "tile_id", "gain", "error", "rel_error")
     best = cover.profile(matrix, pool).select("tile_id", (F.col("ones") - F.col("zeros")).alias("gain")).orderBy(F.desc("gain"), "tile_id").limit(max_tiles)
     return _path(matrix, pool, cut(_numbered(best, F.desc("gain"), "tile_id")))
 

@@ -23,9 +23,9 @@ def read(spark: SparkSession, path: str, fmt: str, schema: T.StructType | str |
 
 
 def edges(spark: SparkSession, path: str, sep: str = ",") -> DataFrame:
-    """``ones`` from a text file with one ``row,col`` pair a line."""
+    """``ones`` from a text file with one ``row,col`` pair a line; lines that are no pair of numbers are passed over."""
     parts = F.split("value", sep)
-    return require(spark.read.text(path).select(parts[0].cast("long").alias("row_id"), parts[1].cast("long").alias("col_id")).dropna().distinct(), "ones")
+    return require(spark.read.text(path).select(F.get(parts, F.lit(0)).try_cast("long").alias("row_id"), F.get(parts, F.lit(1)).try_cast("long").alias("col_id")).dropna().distinct(), "ones")
 
 
 def baskets(spark: SparkSession, path: str, sep: str = " ") -> DataFrame:

@@ -41,7 +41,8 @@ def sessions(df: DataFrame, gap: str = "30 minutes") -> DataFrame:
 
 
 def with_dim(df: DataFrame, dim: DataFrame, on: str) -> DataFrame:
-    return df.join(F.broadcast(dim), on)
+    """A stream joined with a table; whether the table is broadcast is left to its size."""
+    return df.join(dim, on)
 
 
 def running_sketch(df: DataFrame, key: str, row: str, col: str, fam: Family, k: int) -> DataFrame:
@@ -72,8 +73,17 @@ def run_once(df: DataFrame, mode: str = "append", each: Callable[[DataFrame, int
 
 
 def reselect(df: DataFrame, choose: Callable[[DataFrame], DataFrame], sink: Callable[[DataFrame, int], None]) -> None:
-    """After each batch, select again on all cells so far: ``choose`` gets the accumulated batch."""
-    run_once(df, each=lambda batch, i: sink(choose(batch), i))
+    """After each batch, select again on all cells so far.  Each batch's cells are a part of one table in the shared folder,
+    written over when a batch is run again; ``choose`` gets the distinct cells of all parts."""
+    spark = df.sparkSession
+    folder = f"{shared_dir(spark)}/cells-{uuid.uuid4().hex}"
+
+    def each(batch: DataFrame, i: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/batch={i}")
+        every = batch.sparkSession.read.schema(batch.schema).option("basePath", folder).parquet(folder)
+        sink(choose(every.select(*batch.columns).distinct()), i)
+
+    run_once(df, each=each)
 
 
 def hourly_counts(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -13,7 +13,7 @@ from tilesketch.functions import estimate, hashing
 from tilesketch.model import Matrix, Pool
 from tilesketch.operators import cover, sketch
 from tilesketch.operators.candidates import association, itemsets, redescriptions, synthetic
-from tilesketch.plans import apps, metrics, select
+from tilesketch.plans import apps, metrics, select, timing
 from tilesketch.sources import tables
 
 K, REPS, SUPPORT, TAU = 10, 3, 0.01, 0.2
@@ -158,6 +158,12 @@ def _times(spark: SparkSession, d: str, budgets=(10, 25, 50, 100, 200), sizes=SI
     return spark.createDataFrame(out, "axis string, value int, method string, n_picks int, seconds double")
 
 
+def _race(spark: SparkSession, d: str, name: str = "embed_high", tau: float = 0.3, budgets: tuple[int, ...] = (50, 200)) -> DataFrame:
+    """The three methods and the greedy one that scores every tile anew, over one prepared state."""
+    m, _ = tables.matrix(spark, d, name)
+    return timing.race(m, association.association(m, tau), budgets)
+
+
 def _wider(spark: SparkSession, d: str) -> Matrix:
     """Terms of at least five documents."""
     return tables.from_labels(tables.doc_term_band(spark, d, 0.0, 1.0, 5), "row_id", "item")[0]
@@ -287,6 +293,11 @@ def queries() -> dict[str, Query]:
         "w4_noise": lambda s, d: _experiment(s, d, "noise", [0.05, 0.1, 0.2, 0.3], INEXACT),
         "w5_size": lambda s, d: _experiment(s, d, "size", SIZES, INEXACT),
         "w6_time": _times,
+        "w6_race": _race,
+        "w6_race_terms": lambda s, d: _race(s, d, "doc_term_mid", 0.5),
+        "w6_race_wide": lambda s, d: _race(s, d, "doc_term_wide", 0.5),
+        "w6_speed_up": lambda s, d: timing.speed_up(_race(s, d), slow="recompute"),
+        "cost_counters": lambda s, d: timing.costs(select.hashed(*_embed(s, d), mode="inexact")),
         "w7_redesc": lambda s, d: _redescription_set(s, d).select("step", "q_left", "q_right", "gain", "error"),
         "w8_tiling": lambda s, d: plain(apps.tiling(tables.matrix(s, d, "doc_term_all")[0], 0.3, 1000)[0]),
         "w8_tiling_brand": lambda s, d: plain(apps.tiling(tables.matrix(s, d, "order_brand")[0], SUPPORT, 1000)[0]),
