@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from tilesketch.llm import decontaminate as leaks
 from tilesketch.llm import line_dedup, ngram_join, quality, sentencepiece_codec
-from tilesketch.llm.scratch import keep
+from tilesketch.llm.scratch import drop, keep
 
 
 def _without(docs: DataFrame, ids: DataFrame) -> DataFrame:
@@ -27,7 +27,7 @@ def _without(docs: DataFrame, ids: DataFrame) -> DataFrame:
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    model = quality.fit_on_labels(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"), "quality")
+    model = quality.fit_on_labels(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"), "quality")  # of 200,000 labelled rows at most
     return quality.accepted(docs, model, least=0.3)
 
 
@@ -62,7 +62,8 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The rows of the last stage, from the table ``documents``."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for i, (_, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
+        before, docs = docs, stage(spark, docs, sf_dir)
         if i < len(STAGES) - 1:
             docs = keep(docs)
+            drop(before)  # removes what ``keep`` wrote, never an input
     return docs
