@@ -11,8 +11,8 @@ their first ``n - need(n) + 1`` tokens have one in common.  Three orders are use
 
 Which tokens are shared is counted over all texts: each task sorts the tokens of about two million, packs them by range
 of the hash into byte planes, and one task for each range finds the tokens that more than one text holds.  The number of
-ranges follows the size of the input: a range holds the tokens of about ``RANGE`` bytes of it up to 32 GB, 128 MB at 8 TB
-and 800 MB at 100 TB.  A token that is frequent in a task is sent once from it, however many
+ranges follows the size of the input: a range holds the tokens of about ``RANGE`` bytes of it up to 8 GB, 64 MB at 8 TB
+and 400 MB at 100 TB.  A token that is frequent in a task is sent once from it, however many
 texts hold it.  Texts are read twice, and what the two readings send is matched by a fingerprint of the texts it came from;
 an input that is more than a scan of files is written to a table first, and a fingerprint without its texts is an error.
 
@@ -41,7 +41,7 @@ from pyspark.sql import functions as F
 from tilesketch.llm.bytewise import U, blocks, lists, shingle_sets, trim
 from tilesketch.llm.scratch import by_key, components, drop, keep, release
 
-FLUSH, RANGE = 1 << 21, 1 << 23
+FLUSH, RANGE = 1 << 21, 1 << 21
 _ANY = (1 << 32) - 1  # stands for a token that several texts of one task hold
 
 
@@ -159,7 +159,7 @@ def ranges(docs: DataFrame) -> int:
     """The number of ranges of the hash, a power of two, by the size of the files: one for each ``RANGE`` bytes up to 2^12
     ranges, and beyond that as the square root, so that what a task sends to a range does not get too small."""
     size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
-    bits = max(4, (size // RANGE).bit_length())
+    bits = max(6, (size // RANGE).bit_length())
     return 1 << (bits if bits <= 12 else min(18, 12 + (bits - 12) // 2))
 
 
