@@ -45,6 +45,10 @@ class Matrix:
     def cells(self) -> int:
         return self.n_rows * self.n_cols
 
+    def transposed(self) -> Matrix:
+        turned = self.ones.selectExpr("col_id as row_id", "row_id as col_id")
+        return Matrix(turned, self.n_cols, self.n_rows)
+
 
 @dataclass
 class Pool:

@@ -34,8 +34,15 @@ def as_pool(matrix: Matrix, columns: DataFrame, rule: str = "majority") -> Pool:
     return Pool(rows, cut(cols), dominated=rule == "all")
 
 
-def association(matrix: Matrix, tau: float, rule: str = "majority") -> Pool:
-    return as_pool(matrix, cut(association_columns(matrix, tau)), rule)
+def association(matrix: Matrix, tau: float, rule: str = "majority", axis: str = "cols") -> Pool:
+    """One tile for each column, or with ``axis`` "rows" for each row: the same on the transposed matrix."""
+    if axis == "cols":
+        return as_pool(matrix, cut(association_columns(matrix, tau)), rule)
+    if axis != "rows":
+        raise ValueError("axis is 'cols' or 'rows'")
+    pool = association(matrix.transposed(), tau, rule)
+    turn = lambda df, a, b: df.withColumnRenamed(a, b)
+    return Pool(turn(pool.tile_cols, "col_id", "row_id"), turn(pool.tile_rows, "row_id", "col_id"), dominated=pool.dominated)
 
 
 def restart_walk_columns(matrix: Matrix, restart: float = 0.15, steps: int = 4, keep: int = 8, least: float = 1e-4) -> DataFrame:

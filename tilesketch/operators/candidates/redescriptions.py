@@ -52,6 +52,20 @@ def as_pool(pairs: DataFrame, left: DataFrame, right: DataFrame, columns: DataFr
     return Pool(a.join(b, ["tile_id", "row_id"], "left_semi"), cols, labels=labels, dominated=True)
 
 
+
+def from_query_pair(left: DataFrame, q_left: str, cols_left: list[int], right: DataFrame, q_right: str, cols_right: list[int], entity: str, tile_id: int = 1, offset: int = 0) -> Pool:
+    """The pattern of one pair of queries, each a SQL predicate over its view: rows are the entities for which both hold,
+    columns those of both queries, the right view's moved by ``offset``.  No row holds both: an empty pool."""
+    rows = left.where(q_left).select(F.col(entity).cast("long").alias("row_id")).distinct()
+    rows = rows.join(right.where(q_right).select(F.col(entity).cast("long").alias("row_id")), "row_id", "left_semi")
+    rows = rows.where("row_id is not null").select(F.lit(tile_id).cast("long").alias("tile_id"), "row_id")
+    cols = sorted(set(cols_left) | {c + offset for c in cols_right})
+    spark = left.sparkSession
+    cols = spark.createDataFrame([(tile_id, c) for c in cols], "tile_id long, col_id long").join(rows.select("tile_id").distinct(), "tile_id", "left_semi")
+    labels = spark.createDataFrame([(tile_id, f"{q_left} ~ {q_right}")], "tile_id long, label string")
+    return Pool(rows, cols, labels=labels)
+
+
 def union_matrix(pool: Pool, n_rows: int, n_cols: int) -> Matrix:
     """The matrix that all patterns of the pool make together."""
     return Matrix(pool.cells().select("row_id", "col_id").distinct(), n_rows, n_cols)

@@ -98,14 +98,48 @@ def _size(k: int, prime: int) -> str:
     return f"CASE WHEN count(*) < {k} THEN count(*)::DOUBLE ELSE {float(k)}::DOUBLE / ((max(h) + 1) / {float(prime)}::DOUBLE) END"
 
 
-def hashed(head: list[str], fam: Family, k: int, picks: int, max_checks: int, inexact: bool, tie: str = "alone DESC, ", verify: bool = True) -> str:
-    parts = [*head, *CELLS, lists(fam, k), "p1 AS (SELECT tile_id, gain, NULL::DOUBLE AS estimate, 1 AS n_checked FROM alone WHERE gain > 0 ORDER BY gain DESC, tile_id LIMIT 1)"]
+def union_cells() -> list[str]:
+    """``cells`` of patterns that are no outer product: those of a tile and of the next id together."""
+    moved = "SELECT tile_id - 1, row_id, col_id, w FROM base WHERE tile_id - 1 IN (SELECT tile_id FROM base)"
+    return [CELLS[0].replace("cells AS", "base AS", 1), f"cells AS (SELECT tile_id, row_id, col_id, w FROM base UNION {moved})", CELLS[1]]
+
+
+def _uniform(*keys: str) -> str:
+    return f"(('0x' || substr(md5(concat_ws('|', {', '.join(keys)})), 1, 13))::BIGINT / {float(2**52)}::DOUBLE)"
+
+
+def planted(n_rows: int, n_cols: int, n_orig: int, copies: int, p: float, move: float, use: str, noise: float, seed: int) -> list[str]:
+    """``trows, tcols, ones, shape`` of planted patterns on the first order and part keys."""
+    out = [
+        f"ids AS (SELECT 'r' AS side, id FROM (SELECT DISTINCT o_orderkey AS id FROM orders ORDER BY 1 LIMIT {n_rows}) UNION ALL SELECT 'c', id FROM (SELECT DISTINCT p_partkey AS id FROM part ORDER BY 1 LIMIT {n_cols}))",
+        f"every AS (SELECT side, range AS t, id, {_uniform(repr(str(seed)), 'side', 'range', 'id')} < {p!r}::DOUBLE AS one FROM ids CROSS JOIN range({n_orig}))",
+        "n AS (SELECT side, t, count(*) AS n FROM every WHERE one GROUP BY ALL)",
+        f"moves AS (SELECT side, t, range AS c, id, one, n, row_number() OVER (PARTITION BY side, t, range, one ORDER BY {_uniform(repr(str(seed)), repr('') + ' || side || ' + repr('m'), 't', 'range', 'id')}, id) AS place FROM every JOIN n USING (side, t) CROSS JOIN range(1, {copies + 1}))",
+        f"drawn AS (SELECT side, t AS tile_id, id FROM every WHERE one UNION ALL SELECT side, {n_orig} + t * {copies} + c - 1, id FROM moves WHERE (place <= floor(n * {move}::DOUBLE + 0.5)) <> one)",
+        "whole AS (SELECT tile_id FROM drawn GROUP BY tile_id HAVING count(DISTINCT side) = 2)",
+        "trows AS (SELECT tile_id, id AS row_id FROM drawn SEMI JOIN whole USING (tile_id) WHERE side = 'r')",
+        "tcols AS (SELECT tile_id, id AS col_id FROM drawn SEMI JOIN whole USING (tile_id) WHERE side = 'c')",
+        f"clean AS (SELECT DISTINCT row_id, col_id FROM trows JOIN tcols USING (tile_id){f' WHERE tile_id < {n_orig}' if use == 'orig' else ''})",
+    ]
+    if noise:
+        out.append(f"flips AS (SELECT r.id AS row_id, c.id AS col_id FROM ids r, ids c WHERE r.side = 'r' AND c.side = 'c' AND {_uniform(repr(str(seed)), repr('n'), 'r.id', 'c.id')} < {noise}::DOUBLE)")
+        out.append("ones AS (SELECT * FROM clean ANTI JOIN flips USING (row_id, col_id) UNION ALL SELECT * FROM flips ANTI JOIN clean USING (row_id, col_id))")
+    else:
+        out.append("ones AS (SELECT * FROM clean)")
+    out.append("shape AS (SELECT count_if(side = 'r') AS n_rows, count_if(side = 'c') AS n_cols, (SELECT count(*) FROM ones) AS n_ones FROM ids)")
+    return [x.replace(" AS (", " AS MATERIALIZED (", 1) for x in out]
+
+
+def hashed(head: list[str], fam: Family, k: int, picks: int, max_checks: int, inexact: bool, tie: str = "alone DESC, ", verify: bool = True, union: bool = True, discard: bool = False, cells: list[str] | None = None) -> str:
+    join, distinct = ("UNION", "DISTINCT ") if union else ("UNION ALL", "")
+    size = _size(k, fam.prime).replace("count(*)::DOUBLE", "NULL::DOUBLE") if discard else _size(k, fam.prime)
+    parts = [*head, *(cells or CELLS), lists(fam, k), "p1 AS (SELECT tile_id, gain, NULL::DOUBLE AS estimate, 1 AS n_checked FROM alone WHERE gain > 0 ORDER BY gain DESC, tile_id LIMIT 1)"]
     for i in range(2, picks + 1):
         ids = ", ".join(f"(SELECT tile_id FROM p{j})" for j in range(1, i))
-        parts.append(f"q{i} AS (SELECT rep, h FROM (SELECT rep, h, row_number() OVER (PARTITION BY rep ORDER BY h) AS n FROM (SELECT DISTINCT rep, h FROM low WHERE tile_id IN ({ids}))) WHERE n <= {k})")
-        both = f"SELECT tile_id, rep, h FROM low WHERE tile_id NOT IN ({ids}) UNION SELECT tile_id, rep, h FROM (SELECT DISTINCT tile_id FROM low WHERE tile_id NOT IN ({ids})) CROSS JOIN q{i}"
-        parts.append(f"e{i} AS (SELECT tile_id, rep, {_size(k, fam.prime)} AS e FROM (SELECT *, row_number() OVER (PARTITION BY tile_id, rep ORDER BY h) AS n FROM ({both})) WHERE n <= {k} GROUP BY tile_id, rep)")
-        parts.append(f"s{i} AS (SELECT tile_id, median(e) - {'any_value(zeros)' if inexact else '0'} AS estimate, any_value(gain) AS alone FROM e{i} JOIN alone USING (tile_id) GROUP BY tile_id)")
+        parts.append(f"q{i} AS (SELECT rep, h FROM (SELECT rep, h, row_number() OVER (PARTITION BY rep ORDER BY h) AS n FROM (SELECT {distinct}rep, h FROM low WHERE tile_id IN ({ids}))) WHERE n <= {k})")
+        both = f"SELECT tile_id, rep, h FROM low WHERE tile_id NOT IN ({ids}) {join} SELECT tile_id, rep, h FROM (SELECT DISTINCT tile_id FROM low WHERE tile_id NOT IN ({ids})) CROSS JOIN q{i}"
+        parts.append(f"e{i} AS (SELECT tile_id, rep, {size} AS e FROM (SELECT *, row_number() OVER (PARTITION BY tile_id, rep ORDER BY h) AS n FROM ({both})) WHERE n <= {k} GROUP BY tile_id, rep)")
+        parts.append(f"s{i} AS (SELECT tile_id, median(e) - {'any_value(zeros)' if inexact else '0'} AS estimate, any_value(gain) AS alone FROM e{i} JOIN alone USING (tile_id) GROUP BY tile_id{' HAVING median(e) IS NOT NULL' if discard else ''})")
         parts.append(f"r{i} AS (SELECT *, row_number() OVER (ORDER BY estimate DESC, {tie}tile_id) AS place FROM s{i} ORDER BY place LIMIT {max_checks if verify else 1})")
         parts.append(f"p{i} AS (SELECT tile_id, gain, estimate, {'place' if verify else '0'} AS n_checked FROM (SELECT r.tile_id, r.estimate, r.place, coalesce(sum(w) FILTER (WHERE v.row_id IS NULL), 0)::BIGINT AS gain FROM r{i} r JOIN cells c USING (tile_id) LEFT JOIN (SELECT DISTINCT row_id, col_id FROM cells WHERE tile_id IN ({ids})) v USING (row_id, col_id) GROUP BY ALL){' WHERE gain > 0' if verify else ''} ORDER BY place LIMIT 1)")
     return _finish(parts, picks, "estimate, gain, error::BIGINT AS error, error / (n_rows * n_cols) AS rel_error, CAST(n_checked AS INTEGER) AS n_checked")

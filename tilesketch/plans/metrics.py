@@ -20,6 +20,12 @@ def jaccard(both: Column, left: Column, right: Column) -> Column:
     return both / (left + right - both)
 
 
+def support(matrix: Matrix, pool: Pool) -> DataFrame:
+    """``tile_id, n_r, support``: rows of each pattern over all rows of the matrix."""
+    rows = pool.tile_rows if pool.tile_rows is not None else pool.tile_cells.select("tile_id", "row_id").distinct()
+    return rows.groupBy("tile_id").agg(F.count(F.lit(1)).alias("n_r")).withColumn("support", F.col("n_r") / F.lit(matrix.n_rows))
+
+
 def best_prefix(trace: DataFrame) -> DataFrame:
     """One row: ``best_step, best_error``, the least error on the path and the first step that has it."""
     return trace.agg(F.min(F.struct("error", "step")).alias("m")).select(F.col("m.step").alias("best_step"), F.col("m.error").alias("best_error"))

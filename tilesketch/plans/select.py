@@ -14,7 +14,7 @@ from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tilesketch.functions import estimate, hashing
@@ -183,16 +183,27 @@ class Rules:
     estimator: str = "k"
 
 
-def hashed(matrix: Matrix, pool: Pool, max_tiles: int | None = 200, sketch_k: int = 30, reps: int = 10, max_checks: int = 30, seed: int = 42, mode: str = "exact", small: str = "exact", merge: str = "union", tie: str = "gain", on_fail: str = "next", verify: bool = True, goal: str = "budget", estimator: str = "k", strategy: str | None = None, cutoff: int | None = None, prime: int | None = None, lists: DataFrame | None = None, local_cells: int = LOCAL_CELLS) -> DataFrame:
+def zero_lists(matrix: Matrix, pool: Pool, fam: hashing.Family, k: int) -> DataFrame:
+    """``tile_id, hashes`` over the zeros of each pattern; patterns without a zero have no row."""
+    zeros = pool.cells().join(matrix.ones, ["row_id", "col_id"], "left_anti").select("tile_id", "row_id", "col_id")
+    return sketch.build(Pool(tile_cells=zeros), fam, k)
+
+
+def hashed(matrix: Matrix, pool: Pool, max_tiles: int | None = 200, sketch_k: int = 30, reps: int = 10, max_checks: int = 30, seed: int = 42, mode: str = "exact", small: str = "exact", merge: str = "union", tie: str = "gain", on_fail: str = "next", verify: bool = True, goal: str = "budget", estimator: str = "k", strategy: str | None = None, cutoff: int | None = None, prime: int | None = None, lists: DataFrame | None = None, local_cells: int = LOCAL_CELLS, zero_penalty: str = "own") -> DataFrame:
     """Picks by estimated joint size, verified on the best ``max_checks`` candidates of a step.
 
     ``mode`` "inexact" subtracts a tile's own zeros from its score.  ``on_fail`` "next" goes on to the next candidate when
-    one doesn't lower the error, "stop" ends there.  ``goal`` "cover" runs without a budget until no one is left.  Without
+    one doesn't lower the error, "stop" ends there.  ``zero_penalty`` "sketched", in the inexact case, charges a zero that
+    several patterns share once: a second list over the zeros of each pattern gives the joint number of zeros in place of a
+    pattern's own.  ``goal`` "cover" runs without a budget until no one is left.  Without
     a ``prime`` the modulus follows the largest id.
     """
     if goal == "cover":
         _feasible(matrix, pool)
         max_tiles = None
+    if zero_penalty not in ("own", "sketched"):
+        raise ValueError("zero_penalty is 'own' or 'sketched'")
+    shared = mode == "inexact" and zero_penalty == "sketched"
     rules = Rules(max_tiles, sketch_k, max_checks, mode, small, merge, tie, on_fail, verify, estimator)
     log = _Log(matrix)
     if _fits(matrix, pool, local_cells):
@@ -202,22 +213,26 @@ def hashed(matrix: Matrix, pool: Pool, max_tiles: int | None = 200, sketch_k: in
             held = sketch.local_lists(state.rows, state.cols, state.row_ids, state.col_ids, fam, sketch_k, cutoff, state.loose)
         else:
             held = sketch.as_array(lists if lists is not None else sketch.build(pool, fam, sketch_k, strategy, cutoff), state.ids, fam, sketch_k)
-        hashed_local(state, held, log, rules, fam.prime)
+        zeros = sketch.as_array(zero_lists(matrix, pool, fam, sketch_k), state.ids, fam, sketch_k) if shared else None
+        hashed_local(state, held, log, rules, fam.prime, zeros)
         return _trace(matrix.ones.sparkSession, log.rows)
     with tables() as cut:
         fam = hashing.family(reps, seed, prime or hashing.prime_for(pool.largest_id()))
         lists = cut(lists if lists is not None else sketch.build(pool, fam, sketch_k, strategy, cutoff))
-        _hashed_spark(matrix, pool, lists, log, rules, fam, cut)
+        zeros = cut(zero_lists(matrix, pool, fam, sketch_k)) if shared else None
+        _hashed_spark(matrix, pool, lists, log, rules, fam, cut, zeros)
     return _trace(matrix.ones.sparkSession, log.rows)
 
 
-def hashed_local(state: LocalState, held: np.ndarray, log: _Log, rules: Rules, prime: int) -> None:
-    """The loop on the driver; ``held`` holds the lists as [tile, repetition, place], padded with the prime."""
+def hashed_local(state: LocalState, held: np.ndarray, log: _Log, rules: Rules, prime: int, zeros: np.ndarray | None = None) -> None:
+    """The loop on the driver; ``held`` holds the lists as [tile, repetition, place], padded with the prime, ``zeros`` those
+    of the patterns' zeros."""
     left = np.ones(len(state.ids), bool)
     first = int(np.lexsort((state.ids, -state.alone))[0]) if len(state.ids) else -1
     if first < 0 or state.alone[first] <= 0:
         return
     joint = estimate.Joint(held, first, rules.sketch_k, prime, rules.merge, rules.small, rules.estimator)
+    shared = None if zeros is None else estimate.Joint(zeros, first, rules.sketch_k, prime, "union", "exact", rules.estimator)
     left[first] = False
     gain = int(state.alone[first])
     state.pick(first)
@@ -226,7 +241,7 @@ def hashed_local(state: LocalState, held: np.ndarray, log: _Log, rules: Rules, p
         at, read = np.flatnonzero(left), state.read
         score = joint.scores()[at]
         if rules.mode == "inexact":
-            score = score - state.zeros[at]
+            score = score - (state.zeros[at] if shared is None else shared.scores()[at])
         score = np.where(np.isnan(score), -np.inf, score)
         order = np.lexsort((state.ids[at], -state.alone[at], -score) if rules.tie == "gain" else (state.ids[at], -score))
         if rules.small == "discard":
@@ -244,28 +259,36 @@ def hashed_local(state: LocalState, held: np.ndarray, log: _Log, rules: Rules, p
         i, value, gain, checked = found
         state.pick(i)
         left[i] = False
-        compared = joint.add(i)
+        compared = joint.add(i) + (0 if shared is None else shared.add(i))
         log.add(state.ids[i], value, gain, state.error, checked if rules.verify else 0, state.read - read, compared)
 
 
-def _hashed_spark(matrix: Matrix, pool: Pool, lists: DataFrame, log: _Log, rules: Rules, fam: hashing.Family, cut: Callable) -> None:
+def _hashed_spark(matrix: Matrix, pool: Pool, lists: DataFrame, log: _Log, rules: Rules, fam: hashing.Family, cut: Callable, zeros: DataFrame | None = None) -> None:
     spark, k, reps, prime = matrix.ones.sparkSession, rules.sketch_k, fam.reps, fam.prime
     max_tiles, max_checks, mode, merge, tie, on_fail, verify = rules.max_tiles, rules.max_checks, rules.mode, rules.merge, rules.tie, rules.on_fail, rules.verify
     how = {"small": rules.small, "estimator": rules.estimator}
     state = SparkState(matrix, pool, cut)
-    held = lists.join(state.catalogue.select("tile_id", (F.col("ones") - F.col("zeros")).alias("alone"), "zeros"), "tile_id").repartition("tile_id").persist()
+    held = lists.join(state.catalogue.select("tile_id", (F.col("ones") - F.col("zeros")).alias("alone"), "zeros"), "tile_id")
+    if zeros is not None:
+        none = F.array(*(F.array().cast("array<bigint>") for _ in range(reps)))
+        held = held.join(zeros.withColumnRenamed("hashes", "zero_hashes"), "tile_id", "left").withColumn("zero_hashes", F.coalesce("zero_hashes", none))
+    held = held.repartition("tile_id").persist()
     first = state.catalogue.select("tile_id", (F.col("ones") - F.col("zeros")).alias("alone")).orderBy(F.desc("alone"), "tile_id").first()
     if first is None or first.alone <= 0:
         return
     taken = [first.tile_id]
-    row = held.where(F.col("tile_id") == first.tile_id).select("hashes").first()
+    both = ["hashes"] + (["zero_hashes"] if zeros is not None else [])
+    row = held.where(F.col("tile_id") == first.tile_id).select(*both).first()
     chosen = [list(h) for h in row.hashes] if row else [[] for _ in range(reps)]
+    shared = [list(h) for h in row.zero_hashes] if row and zeros is not None else [[] for _ in range(reps)]
     state.pick(first.tile_id, first.alone)
     log.add(first.tile_id, None, first.alone, state.error, 1)
     while (max_tiles is None or len(log.rows) < max_tiles) and state.error:
-        own = F.array(*(F.array(*(F.lit(v).cast("long") for v in h)).cast("array<bigint>") for h in chosen))
-        value = estimate.score(own, F.col("hashes"), k, prime, how=merge, **how)
-        ranked = _without(held, taken).select("tile_id", "alone", "hashes", (value - (F.col("zeros") if mode == "inexact" else F.lit(0))).alias("score")).where("score is not null")
+        value = estimate.score(_literal(chosen), F.col("hashes"), k, prime, how=merge, **how)
+        charge = F.lit(0) if mode != "inexact" else F.col("zeros")
+        if zeros is not None:
+            charge = estimate.score(_literal(shared), F.col("zero_hashes"), k, prime, estimator=rules.estimator)
+        ranked = _without(held, taken).select("tile_id", "alone", *both, (value - charge).alias("score")).where("score is not null")
         ties = [F.desc("alone"), F.col("tile_id")] if tie == "gain" else [F.col("tile_id")]
         best = ranked.orderBy(F.desc("score"), *ties).limit(max_checks if verify else 1).collect()
         if not best:
@@ -284,10 +307,17 @@ def _hashed_spark(matrix: Matrix, pool: Pool, lists: DataFrame, log: _Log, rules
         state.pick(r.tile_id, gains[r.tile_id])
         taken.append(r.tile_id)
         chosen = [sorted(set(a) | set(b))[:k] if merge == "union" else sorted([*a, *b])[:k] for a, b in zip(chosen, r.hashes, strict=True)]
+        if zeros is not None:
+            shared = [sorted(set(a) | set(b))[:k] for a, b in zip(shared, r.zero_hashes, strict=True)]
         log.add(r.tile_id, r.score, gains[r.tile_id], state.error, checked if verify else 0)
     held.unpersist()
 
 
+def _literal(lists: list[list[int]]) -> Column:
+    """Lists, one a repetition, as an array column."""
+    return F.array(*(F.array(*(F.lit(v).cast("long") for v in h)).cast("array<bigint>") for h in lists))
+
+
 def _without(tiles: DataFrame, taken: list[int]) -> DataFrame:
     """The tiles that are not taken; the picks go to every task, eight bytes each."""
     gone = tiles.sparkSession.createDataFrame([(int(i),) for i in taken], "tile_id long")

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from tilesketch import oracles as sql
 from tilesketch.functions import estimate, hashing
+from tilesketch.functions.sql import bottom_k
 from tilesketch.model import Matrix, Pool
 from tilesketch.operators import cover, sketch
 from tilesketch.operators.candidates import association, itemsets, redescriptions, synthetic
@@ -18,6 +19,7 @@ from tilesketch.sources import tables
 
 K, REPS, SUPPORT, TAU = 10, 3, 0.01, 0.2
 FAM = hashing.family(REPS, 42)
+SEEDS = [1, 2, 3]
 Query = Callable[[SparkSession, str], DataFrame]
 TRACE = ("step", "tile_id", "estimate", "gain", "error", "rel_error", "n_checked")
 
@@ -52,9 +54,14 @@ def _first_picks(pool: Pool, n: int) -> Pool:
     return pool.only(ids)
 
 
-def _grid(spark: SparkSession, d: str, use: str = "orig", noise: float = 0.1, density: float = 0.3, move: float = 0.1, shape: tuple[int, int] = (100, 120), seed: int = 1, originals: int = 20) -> tuple[Matrix, Pool]:
+def _grid(spark: SparkSession, d: str, use: str = "orig", noise: float = 0.1, density: float = 0.3, move: float = 0.1, shape: tuple[int, int] = (100, 120), seed: int = 1, originals: int = 20, how: str = "crossed") -> tuple[Matrix, Pool]:
     rows, cols = synthetic.grid(spark, d, *shape)
-    return synthetic.planted(rows, cols, originals, 5, density, move, use, noise, seed)
+    return synthetic.planted(rows, cols, originals, 5, density, move, use, noise, seed, how=how)
+
+
+def _grid_sql(use: str = "orig", noise: float = 0.1, density: float = 0.3, move: float = 0.1, seed: int = 1, originals: int = 20) -> list[str]:
+    p = synthetic.calibrate(density, originals, 5, move, use)
+    return sql.planted(100, 120, originals, 5, p, move, use, noise, seed)
 
 
 def _views(spark: SparkSession, d: str):
@@ -183,10 +190,11 @@ def full_queries() -> dict[str, Query]:
         "hashed_small_modulus_full": hashed(_embed, mode="inexact", prime=10007),
         "hashed_tie_id_full": hashed(_brand_full, tie="id"),
         "hashed_cover_full": hashed(_nations, goal="cover"),
-        "hashed_concat": hashed(_brand_full, merge="concat"),
-        "hashed_discard": hashed(_embed, mode="inexact", small="discard"),
-        "hashed_cells": hashed(lambda s, d: (_embed(s, d)[0], _union_pool(_embed(s, d)[1])), mode="inexact"),
-        "restarts": lambda s, d: select.restarts(*_brand_full(s, d), seeds=[1, 2, 3]),
+        "hashed_concat_full": hashed(_brand_full, merge="concat"),
+        "hashed_discard_full": hashed(_embed, mode="inexact", small="discard"),
+        "hashed_shared_zeros_full": hashed(_embed, mode="inexact", zero_penalty="sketched"),
+        "hashed_cells_full": hashed(lambda s, d: (_embed(s, d)[0], _union_pool(_embed(s, d)[1])), mode="inexact"),
+        "restarts_full": lambda s, d: select.restarts(*_brand_full(s, d), seeds=[1, 2, 3]),
         "greedy_exact_full": greedy(_brand_full),
         "greedy_exact_distributed_full": greedy(_brand_full, local_cells=0),
         "greedy_recompute_full": greedy(_brand_full, incremental=False),
@@ -219,6 +227,10 @@ def queries() -> dict[str, Query]:
         "hashed_small_modulus": lambda s, d: trace(select.hashed(*_embed(s, d), **small, mode="inexact", prime=10007)),
         "hashed_tie_id": lambda s, d: trace(select.hashed(*_brand(s, d), **small, tie="id")),
         "hashed_cover": lambda s, d: plain(select.hashed(*_nations(s, d), sketch_k=K, reps=REPS, goal="cover")),
+        "hashed_concat": lambda s, d: trace(select.hashed(*_brand(s, d), **small, merge="concat")),
+        "hashed_discard": lambda s, d: trace(select.hashed(*_embed(s, d), **small, mode="inexact", small="discard")),
+        "hashed_cells": lambda s, d: trace(_hashed_cells(s, d, **small)),
+        "restarts": lambda s, d: select.restarts(*_brand(s, d), seeds=SEEDS, **small),
         "greedy_exact": lambda s, d: plain(select.greedy(*_brand(s, d), max_tiles=4)),
         "greedy_exact_distributed": lambda s, d: plain(select.greedy(*_brand(s, d), max_tiles=4, local_cells=0)),
         "greedy_recompute": lambda s, d: plain(select.greedy(*_brand(s, d), max_tiles=4, incremental=False)),
@@ -255,12 +267,19 @@ def queries() -> dict[str, Query]:
         "itemset_rows": lambda s, d: _brand(s, d)[1].tile_rows.select("tile_id", "row_id"),
         "closed_itemsets": lambda s, d: _itemset_rows(itemsets.closed(itemsets.level_itemsets(tables.matrix(s, d, "order_brand")[0], SUPPORT, 2))),
         "maximal_itemsets": lambda s, d: _itemset_rows(itemsets.maximal(itemsets.level_itemsets(tables.matrix(s, d, "order_brand")[0], SUPPORT, 2))),
+        "closed_itemsets_pages": lambda s, d: _itemset_rows(itemsets.closed(itemsets.level_itemsets(tables.matrix(s, d, "page_token")[0], 0.3, 2))),
+        "maximal_itemsets_pages": lambda s, d: _itemset_rows(itemsets.maximal(itemsets.level_itemsets(tables.matrix(s, d, "page_token")[0], 0.3, 2))),
+        "itemset_support": lambda s, d: metrics.support(*_brand(s, d)),
+        "assoc_tiles_all_pages": lambda s, d: association.association(tables.matrix(s, d, "page_token")[0], 0.8, "all").tile_rows.select("tile_id", "row_id"),
+        "assoc_rows": lambda s, d: association.association(tables.matrix(s, d, "nation_region")[0], 0.5, axis="rows").tile_cols.select("tile_id", "col_id"),
         "assoc_cols": lambda s, d: association.association_columns(tables.matrix(s, d, "embed_high")[0], TAU),
         "assoc_tiles": lambda s, d: _embed(s, d)[1].tile_rows.select("tile_id", "row_id"),
         "assoc_tiles_all": lambda s, d: _embed(s, d, "all")[1].tile_rows.select("tile_id", "row_id"),
         "walk_tiles": lambda s, d: association.restart_walk(tables.matrix(s, d, "embed_high")[0]).tile_cols.select("tile_id", "col_id"),
         "redesc_pairs": _redescriptions,
         "union_matrix": _union_matrix,
+        "query_pair": lambda s, d: _query_pair(s, d),
+        "bottom_k": lambda s, d: _bottom_k(s, d),
         "redesc_tiles": lambda s, d: redescriptions.best_pairs(_redescriptions(s, d), 40),
         "hash_axis": lambda s, d: tables.matrix(s, d, "nation_region")[0].ones.select("row_id", "col_id", *(hashing.affine(F.col("row_id"), ar, br).alias(f"r{i}") for i, (ar, br, _, _) in enumerate(FAM.maps))),
         "hash_cell": lambda s, d: tables.matrix(s, d, "nation_region")[0].ones.select("row_id", "col_id", *(hashing.cell(hashing.affine(F.col("row_id"), ar, br), hashing.affine(F.col("col_id"), ac, bc)).alias(f"h{i}") for i, (ar, br, ac, bc) in enumerate(FAM.maps))),
@@ -283,6 +302,7 @@ def queries() -> dict[str, Query]:
         "syn_tiles": lambda s, d: _syn(s, d),
         "syn_copies": lambda s, d: _grid(s, d, noise=0.0)[1].tile_rows.groupBy("tile_id").agg(F.count(F.lit(1)).alias("n_r")),
         "syn_noise": lambda s, d: metrics.density(_grid(s, d)[0]),
+        "syn_noise_drawn": lambda s, d: metrics.density(_grid(s, d, how="drawn")[0]),
         "syn_density": lambda s, d: metrics.density(_grid(s, d, noise=0.0)[0]),
         "syn_exact": lambda s, d: cover.coverable(*_grid(s, d, use="all", noise=0.0)),
         "planted_hits": lambda s, d: metrics.planted_precision(select.greedy(*_grid(s, d), max_tiles=20), s.range(20).select(F.col("id").alias("tile_id"))),
@@ -328,6 +348,24 @@ def _brute(spark, d):
     return select.brute_force(m, pool.only(select.static_rank(m, pool, 15).select("tile_id")), 3)
 
 
+def _hashed_cells(spark, d, **options):
+    m, pool = _embed(spark, d)
+    return select.hashed(m, _union_pool(pool), mode="inexact", **options)
+
+
+def _query_pair(spark, d):
+    """Rows and columns of one pair of queries: long documents, and those that labels call good."""
+    docs, labels = tables.table(spark, d, "documents", "doc_id", "n_chars"), tables.table(spark, d, "labels", "doc_id", "quality")
+    return redescriptions.from_query_pair(docs, "n_chars >= 1000", [0], labels, "quality = 1", [0], "doc_id", offset=1).cells()
+
+
+def _bottom_k(spark, d):
+    """The lowest hashes of the users of each type of event."""
+    ar, br, _, _ = FAM.maps[0]
+    e = tables.table(spark, d, "events", "event_type", "user_id").select("event_type", hashing.affine(F.col("user_id"), ar, br).alias("h"))
+    return bottom_k(e, "h", K, "event_type").select("event_type", F.array_join(F.transform("lowest", lambda h: h.cast("string")), ",").alias("lowest"))
+
+
 def _setcover(spark, d, **options):
     s = tables.table(spark, d, "lineitem", "l_suppkey", "l_partkey").select(F.col("l_suppkey").alias("set_id"), F.col("l_partkey").alias("element"))
     return select.greedy(*itemsets.from_sets(s), **(options or {"max_tiles": 4})).select("step", "tile_id", "gain", "error")
@@ -498,6 +536,32 @@ def oracle_sql() -> dict[str, str]:
         "score_inexact": _with([*EMBED, *sql.CELLS], f"SELECT tile_id, median(e) - any_value(zeros) AS score FROM (SELECT tile_id, rep, {sql._size(K, FAM.prime)} AS e FROM (SELECT *, row_number() OVER (PARTITION BY tile_id, rep ORDER BY h) AS n FROM (SELECT tile_id, rep, h FROM low WHERE tile_id > f UNION SELECT t.tile_id, q.rep, q.h FROM (SELECT DISTINCT tile_id FROM low WHERE tile_id > f) t CROSS JOIN (SELECT rep, h FROM low WHERE tile_id = f) q)) WHERE n <= {K} GROUP BY tile_id, rep) JOIN alone USING (tile_id) GROUP BY tile_id".replace("tile_id > f", "tile_id > (SELECT min(tile_id) FROM low)").replace("tile_id = f", "tile_id = (SELECT min(tile_id) FROM low)"), sql.lists(FAM, K)),
         "union_matrix": _with(_REDESC, "SELECT n_rows, n_cols, n_ones, n_ones / (n_rows * n_cols) AS density FROM (SELECT (SELECT count(*) FROM documents) AS n_rows, (SELECT count(*) FROM (SELECT pred FROM lefts UNION SELECT pred FROM rights)) AS n_cols, count(*) AS n_ones FROM both_hold)", top, "both_hold AS (SELECT DISTINCT l.entity_id, unnest([q_left, q_right]) AS pred FROM top JOIN lefts l ON l.pred = q_left JOIN rights r ON r.pred = q_right AND r.entity_id = l.entity_id)"),
     }
+    noisy, clean = _grid_sql(), _grid_sql(noise=0.0)
+    shown = "SELECT n_rows, n_cols, n_ones, n_ones / (n_rows * n_cols) AS density FROM shape"
+    pages = [*sql.matrix("page_token"), *sql.pair_pool(0.3)]
+    ends = [sql.hashed(BRAND, hashing.family(REPS, s), K, 4, 30, False) for s in SEEDS]
+    runs = " UNION ALL ".join(f"SELECT min(rel_error) AS rel_error FROM ({sql.greedy(_grid_sql(seed=s), 20)})" for s in SEEDS)
+    one_item = " s WHERE j IS NOT NULL OR NOT EXISTS (SELECT 1 FROM sets t WHERE t.j IS NOT NULL AND (t.i = s.i OR t.j = s.i)"
+    o |= {
+        "hashed_concat": sql.hashed(BRAND, FAM, K, 4, 30, False, union=False),
+        "hashed_discard": sql.hashed(EMBED, FAM, K, 4, 30, True, discard=True),
+        "hashed_cells": sql.hashed(EMBED, FAM, K, 4, 30, True, cells=sql.union_cells()),
+        "restarts": " UNION ALL ".join(f"SELECT {s} AS seed, max(step) AS n_picks, max_by(error, step) AS error, max_by(rel_error, step) AS rel_error FROM ({end})" for s, end in zip(SEEDS, ends, strict=True)),
+        "closed_itemsets_pages": _with(pages, sets + one_item + " AND t.support = s.support)"),
+        "maximal_itemsets_pages": _with(pages, sets + one_item + ")"),
+        "itemset_support": _with(BRAND, "SELECT tile_id, count(*) AS n_r, count(*) / any_value(n_rows) AS support FROM trows CROSS JOIN shape GROUP BY tile_id"),
+        "assoc_tiles_all_pages": _with([*sql.matrix("page_token"), *sql.association_pool(0.8, "all")], "SELECT tile_id, row_id FROM trows"),
+        "assoc_rows": _with([sql.matrix("nation_region")[0], sql.matrix("nation_region")[1], "real AS (SELECT row_id, col_id FROM pairs JOIN dict USING (item))", "ones AS (SELECT col_id AS row_id, row_id AS col_id FROM real)", *sql.association_pool(0.5)], "SELECT tile_id, row_id AS col_id FROM trows"),
+        "query_pair": "SELECT 1::BIGINT AS tile_id, doc_id AS row_id, c AS col_id FROM documents CROSS JOIN (SELECT unnest([0, 1])::BIGINT AS c) WHERE n_chars >= 1000 AND doc_id IN (SELECT doc_id FROM labels WHERE quality = 1)",
+        "bottom_k": f"SELECT event_type, string_agg(h, ',' ORDER BY h) AS lowest FROM (SELECT *, row_number() OVER (PARTITION BY event_type ORDER BY h) AS n FROM (SELECT DISTINCT event_type, ({FAM.maps[0][0]}::BIGINT * user_id + {FAM.maps[0][1]}) % {FAM.prime} AS h FROM events)) WHERE n <= {K} GROUP BY event_type",
+        "suggest_k": _with([*BRAND, *sql.CELLS], "SELECT CAST(greatest(10, least(100, quantile_disc(size, 0.1))) AS INTEGER) AS k FROM alone"),
+        "syn_copies": _with(clean, "SELECT tile_id, count(*) AS n_r FROM trows GROUP BY tile_id"),
+        "syn_noise": _with(noisy, shown),
+        "syn_density": _with(clean, shown),
+        "syn_exact": _with([*_grid_sql("all", 0.0), *sql.CELLS], "SELECT n AS missing, n = 0 AS coverable FROM (SELECT count(*) AS n FROM ones ANTI JOIN cells USING (row_id, col_id))"),
+        "planted_hits": f"SELECT count(*) AS n_picks, count_if(tile_id < 20) AS n_planted, count_if(tile_id < 20) / count(*) AS share FROM ({sql.greedy(noisy, 20)})",
+        "avg_runs": f"SELECT 'greedy' AS method, count(*) AS n_runs, avg(rel_error) AS mean_error, stddev_samp(rel_error) AS sd_error FROM ({runs})",
+    }
     o["hashed_exact_distributed"] = o["hashed_exact"]
     o |= {f"greedy_{x}": o["greedy_exact"] for x in ("exact_distributed", "recompute", "lazy")}
     from tilesketch.relational import oracle_sql as more
