@@ -86,9 +86,27 @@ def reselect(df: DataFrame, choose: Callable[[DataFrame], DataFrame], sink: Call
     run_once(df, each=each)
 
 
-def hourly_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """``hour, n_events, n_users`` of the stream of distinct cells hour by user, in complete mode."""
-    src = spark.readStream.schema(spark.read.parquet(f"{sf_dir}/events.parquet").schema).parquet(f"{sf_dir}/events.parquet*")
-    per = src.select(F.floor(F.unix_timestamp("ts") / 3600).alias("hour"), "user_id").groupBy("hour", "user_id").agg(F.count(F.lit(1)).alias("n"))
-    name = run_once(per, "complete")
-    return spark.table(name).groupBy("hour").agg(F.sum("n").alias("n_events"), F.count(F.lit(1)).alias("n_users"))
+def hourly_counts(spark: SparkSession, sf_dir: str, path: str | None = None, max_files: int | None = None) -> DataFrame:
+    """``hour, n_events, n_users`` of the stream of cells hour by user.  Each batch leaves its counts of cells as a part of one
+    table in the shared folder, written over when the batch is run again, so neither a state nor the driver holds the cells;
+    a cell that several batches meet is summed at the end."""
+    path = path or f"{sf_dir}/events.parquet"
+    source = spark.readStream.schema(spark.read.parquet(path).schema)
+    src = (source.option("maxFilesPerTrigger", max_files) if max_files else source).parquet(f"{path}*")
+    cells = src.select(F.floor(F.unix_timestamp("ts") / 3600).alias("hour"), "user_id")
+    folder = f"{shared_dir(spark)}/cells-{uuid.uuid4().hex}"
+    schema = cells.schema.add("n", "long", False)
+
+    def each(batch: DataFrame, i: int) -> None:
+        batch.groupBy("hour", "user_id").agg(F.count(F.lit(1)).alias("n")).write.mode("overwrite").parquet(f"{folder}/batch={i}")
+
+    run_once(cells, each=each)
+    # no batch ran over an empty input: then there is no folder
+    parts = spark.read.schema(schema).option("basePath", folder).parquet(f"{folder}/batch=*") if _exists(spark, folder) else spark.createDataFrame([], schema)
+    whole = parts.groupBy("hour", "user_id").agg(F.sum("n").alias("n"))
+    return whole.groupBy("hour").agg(F.sum("n").alias("n_events"), F.count(F.lit(1)).alias("n_users"))
+
+
+def _exists(spark: SparkSession, path: str) -> bool:
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(where)
