@@ -15,3 +15,10 @@ def test_hours_of_a_stream_leave_no_cells_on_the_driver(spark, tmp_path):
     assert {tuple(r) for r in hourly_counts(spark, str(tmp_path)).collect()} == want
     assert {t.name for t in spark.catalog.listTables()} == held
     assert {tuple(r) for r in hourly_counts(spark, str(tmp_path), max_files=1).collect()} == want
+
+
+def test_bitmap_of_keys_in_several_buckets(spark):
+    from tilesketch.relational import _bitmap
+
+    pairs = spark.createDataFrame([(1, 5), (1, 5 + 32768), (1, 5 + 65536), (1, 5), (2, 0), (2, 32767), (2, 32768)], "l_suppkey long, l_partkey long")
+    assert {(r.l_suppkey, r.parts) for r in _bitmap(pairs).collect()} == {(1, 3), (2, 3)}
