@@ -22,3 +22,35 @@ def test_bitmap_of_keys_in_several_buckets(spark):
 
     pairs = spark.createDataFrame([(1, 5), (1, 5 + 32768), (1, 5 + 65536), (1, 5), (2, 0), (2, 32767), (2, 32768)], "l_suppkey long, l_partkey long")
     assert {(r.l_suppkey, r.parts) for r in _bitmap(pairs).collect()} == {(1, 3), (2, 3)}
+
+
+def test_itemsets_are_chosen_by_classes_of_rows(spark):
+    from tilesketch import workloads
+    from tilesketch.functions import hashing
+    from tilesketch.model import Pool
+    from tilesketch.operators import sketch
+    from tilesketch.operators.candidates import itemsets
+    from tilesketch.plans import select
+
+    m, pool = workloads._brand_full(spark, SF)
+    rows = pool.tile_rows.count()
+    plain = Pool(pool.tile_rows, pool.tile_cols, dominated=True)
+    fam = hashing.family(2, 7)
+    lists = lambda df: {r.tile_id: r.hashes for r in df.collect()}
+    assert lists(sketch.build(pool, fam, 5)) == lists(sketch.build(plain, fam, 5, "enumerate"))
+    assert lists(sketch.build(pool, fam, 5, cutoff=1000)) == lists(sketch.build(plain, fam, 5, "enumerate", 1000))
+    assert {tuple(r) for r in pool.tiles().collect()} == {tuple(r) for r in plain.tiles().collect()}
+    picks = lambda t: [tuple(r) for r in t.select("step", "tile_id", "estimate", "gain", "error", "rel_error", "n_checked").orderBy("step").collect()]
+    want = picks(select.greedy(m, plain))
+    for o in ({}, {"incremental": False}, {"lazy": True}):
+        assert [x[:6] for x in picks(select.greedy(m, pool, **o))] == [x[:6] for x in want]
+    assert picks(select.greedy(m, pool, 3, local_cells=0)) == [(*x[:6], 0) for x in want[:3]]
+    for o in ({}, {"merge": "concat"}, {"tie": "id"}):
+        assert picks(select.hashed(m, pool, 8, 10, 3, **o)) == picks(select.hashed(m, plain, 8, 10, 3, strategy="band", **o))
+    # what the exact state holds is one row of each class, here and in a copy of the table with many times the rows
+    state = select._state(m, pool)
+    assert len(state.row_ids) == m.ones.groupBy("row_id").agg(F.array_sort(F.collect_list("col_id")).alias("i")).select("i").distinct().count()
+    assert sum(len(r) for r in state.rows) < rows and select._fits(m, pool, 200_000)
+    few = itemsets.as_pool(m, itemsets.level_itemsets(m, 0.05, 1).where("support < 10000").orderBy("tile_id").limit(3))
+    assert few.tile_rows.count() == sum(r.n_r for r in few.tiles().collect())
+    assert picks(select.greedy(m, few, 2))[0][4] == m.ones.count() - max(r.size for r in few.tiles().collect())

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilesketch.model import Matrix, Pool
+from tilesketch.operators.baskets import ItemsetPool, baskets, classes
 from tilesketch.session import cut
 
 
@@ -15,10 +16,10 @@ def itemsets(matrix: Matrix, min_support: float, max_len: int | None = None) ->
     """``tile_id, items array<long> (ascending), support`` of the itemsets in at least ``min_support`` of the rows."""
     from pyspark.ml.fpm import FPGrowth
 
-    baskets = matrix.ones.groupBy("row_id").agg(F.collect_list("col_id").alias("items"))
-    present = baskets.count()
+    held = baskets(matrix)
+    present = held.count()
     need = math.ceil(min_support * matrix.n_rows - 1e-9)
-    found = FPGrowth(itemsCol="items", minSupport=min(1.0, need / max(1, present)), minConfidence=1.0).fit(baskets).freqItemsets
+    found = FPGrowth(itemsCol="items", minSupport=min(1.0, need / max(1, present)), minConfidence=1.0).fit(held).freqItemsets
     found = found.where(F.col("freq") >= need).select(F.array_sort("items").alias("items"), F.col("freq").alias("support"))
     if max_len is not None:
         found = found.where(F.size("items") <= max_len)
@@ -26,18 +27,19 @@ def itemsets(matrix: Matrix, min_support: float, max_len: int | None = None) ->
 
 
 def level_itemsets(matrix: Matrix, min_support: float, max_len: int | None = 2) -> DataFrame:
-    """The same rows as ``itemsets`` up to a length (None: until a level is empty), level by level with joins; no model is
-    built."""
+    """The same rows as ``itemsets`` up to a length (None: until a level is empty), level by level with joins over the distinct
+    baskets; no model is built."""
     need = math.ceil(min_support * matrix.n_rows - 1e-9)
-    ones = matrix.ones
-    freq = cut(ones.groupBy("col_id").agg(F.count(F.lit(1)).alias("support")).where(F.col("support") >= need))
-    held = ones.join(freq.select("col_id"), "col_id", "left_semi")
+    ones = cut(classes(matrix).select(F.monotonically_increasing_id().alias("row_id"), "n", "items")).select("row_id", "n", F.explode("items").alias("col_id"))
+    freq = cut(ones.groupBy("col_id").agg(F.sum("n").alias("support")).where(F.col("support") >= need))
+    ones = ones.join(F.broadcast(freq.select("col_id")), "col_id", "left_semi")
+    held = ones.select("row_id", "col_id")
     out = freq.select(F.array("col_id").alias("items"), "support")
-    rows = held.select("row_id", F.array("col_id").alias("items"))
+    rows = ones.select("row_id", "n", F.array("col_id").alias("items"))
     size = 1
     while max_len is None or size < max_len:
-        rows = rows.join(held, "row_id").where(F.col("col_id") > F.element_at("items", -1)).select("row_id", F.concat("items", F.array("col_id")).alias("items"))
-        level = cut(rows.groupBy("items").agg(F.count(F.lit(1)).alias("support")).where(F.col("support") >= need))
+        rows = rows.join(held, "row_id").where(F.col("col_id") > F.element_at("items", -1)).select("row_id", "n", F.concat("items", F.array("col_id")).alias("items"))
+        level = cut(rows.groupBy("items").agg(F.sum("n").alias("support")).where(F.col("support") >= need))
         if level.isEmpty():
             break
         rows = cut(rows.join(level.select("items"), "items", "left_semi"))
@@ -55,10 +57,9 @@ def tile_key(items):
 
 
 def as_pool(matrix: Matrix, sets: DataFrame) -> Pool:
-    """Rows by relational division: a row supports a set when it holds as many of its items as the set has."""
-    items = sets.select("tile_id", F.size("items").alias("n"), F.explode("items").alias("col_id"))
-    rows = items.join(matrix.ones, "col_id").groupBy("tile_id", "n", "row_id").agg(F.count(F.lit(1)).alias("c")).where("c = n").select("tile_id", "row_id")
-    return Pool(cut(rows), cut(items.select("tile_id", "col_id")), dominated=True)
+    """Rows by relational division: a row supports a set when it holds as many of its items as the set has.  It is done over
+    the distinct baskets, and rows are listed only for those who ask for them."""
+    return ItemsetPool(matrix, cut(sets.select("tile_id", F.explode("items").alias("col_id"))))
 
 
 def closed(sets: DataFrame) -> DataFrame:
