@@ -54,3 +54,12 @@ def test_itemsets_are_chosen_by_classes_of_rows(spark):
     few = itemsets.as_pool(m, itemsets.level_itemsets(m, 0.05, 1).where("support < 10000").orderBy("tile_id").limit(3))
     assert few.tile_rows.count() == sum(r.n_r for r in few.tiles().collect())
     assert picks(select.greedy(m, few, 2))[0][4] == m.ones.count() - max(r.size for r in few.tiles().collect())
+
+
+def test_builtin_sketches_take_one_pass(spark):
+    from tilesketch import workloads
+    from tilesketch.plans import metrics
+
+    _, pool = workloads._brand(spark, SF)
+    both = {r.tile_id: r.theta for r in metrics.builtin_sizes(pool, "hll", theta="theta").collect()}
+    assert both == {r.tile_id: r.estimate for r in metrics.builtin_sizes(pool, "theta").collect()}

@@ -67,8 +67,10 @@ def estimate_accuracy(pool: Pool, k: int = 30, reps: int = 10, seed: int = 42, s
     return own.join(pool.tiles().select("tile_id", "size"), "tile_id").withColumn("ratio", F.col("estimate") / F.col("size"))
 
 
-def builtin_sizes(pool: Pool, kind: str = "hll") -> DataFrame:
-    """``tile_id, estimate`` by Spark's own sketches over the cells."""
-    key = F.xxhash64("row_id", "col_id")
-    make = {"approx": F.approx_count_distinct(key).cast("double"), "hll": F.hll_sketch_estimate(F.hll_sketch_agg(key)).cast("double"), "theta": F.theta_sketch_estimate(F.theta_sketch_agg(key)).cast("double")}[kind]
-    return pool.cells().groupBy("tile_id").agg(make.alias("estimate"))
+def builtin_sizes(pool: Pool, kind: str = "hll", **more: str) -> DataFrame:
+    """``tile_id, estimate`` by Spark's own sketches over the cells; ``more`` names further columns and their kinds, made in
+    the same pass."""
+    cells = pool.cells().select("tile_id", F.xxhash64("row_id", "col_id").alias("key"))
+    key = F.col("key")
+    make = {"approx": F.approx_count_distinct(key).cast("double"), "hll": F.hll_sketch_estimate(F.hll_sketch_agg(key)).cast("double"), "theta": F.theta_sketch_estimate(F.theta_sketch_agg(key)).cast("double")}
+    return cells.groupBy("tile_id").agg(make[kind].alias("estimate"), *(make[k].alias(name) for name, k in more.items()))
