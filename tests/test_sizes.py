@@ -63,3 +63,43 @@ def test_builtin_sketches_take_one_pass(spark):
     _, pool = workloads._brand(spark, SF)
     both = {r.tile_id: r.theta for r in metrics.builtin_sizes(pool, "hll", theta="theta").collect()}
     assert both == {r.tile_id: r.estimate for r in metrics.builtin_sizes(pool, "theta").collect()}
+
+
+def test_many_sets_fit_the_driver_by_their_entries(spark):
+    import numpy as np
+
+    from tilesketch.operators.candidates import itemsets
+    from tilesketch.plans import select
+
+    rng = np.random.default_rng(3)
+    pairs = {(int(s), int(e)) for s, e in zip(rng.integers(0, 400, 1200), rng.integers(0, 400, 1200), strict=True)}
+    m, pool = itemsets.from_sets(spark.createDataFrame(sorted(pairs), "set_id long, element long"))
+    assert select._fits(m, pool, 2000)
+    got = select.greedy(m, pool, goal="cover", local_cells=2000).orderBy("step").collect()
+    held, open_ = {}, {e for _, e in pairs}
+    for s, e in pairs:
+        held.setdefault(s, set()).add(e)
+    for r in got:
+        best = min(held, key=lambda s: (-len(held[s] & open_), s))
+        assert (r.tile_id, r.gain) == (best, len(held[best] & open_))
+        open_ -= held[best]
+    assert not open_
+
+
+def test_losses_by_lists_and_by_tables_are_the_gains(spark):
+    import numpy as np
+
+    from tilesketch.model import Matrix, Pool
+    from tilesketch.plans import select
+
+    rng = np.random.default_rng(5)
+    frame = lambda a, names: spark.createDataFrame([tuple(map(int, x)) for x in a], ", ".join(f"{n} long" for n in names))
+    for share in (0.05, 0.6):
+        m = Matrix(frame(np.argwhere(rng.random((30, 12)) < 0.5), ("row_id", "col_id")), 30, 12)
+        rows, cols = rng.random((20, 30)) < share, rng.random((20, 12)) < 0.5
+        rows[:, 0] = cols[:, 0] = True
+        state = select.LocalState(m, Pool(frame(np.argwhere(rows), ("tile_id", "row_id")), frame(np.argwhere(cols), ("tile_id", "col_id"))))
+        gains = state.alone.copy()
+        for i in (3, 7, 11):
+            gains = gains - state.losses(i, state.pick(i))
+            assert gains.tolist() == state.all_gains().tolist()
