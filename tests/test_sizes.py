@@ -103,3 +103,37 @@ def test_losses_by_lists_and_by_tables_are_the_gains(spark):
         for i in (3, 7, 11):
             gains = gains - state.losses(i, state.pick(i))
             assert gains.tolist() == state.all_gains().tolist()
+
+
+def test_association_by_counts_is_the_join(spark, monkeypatch):
+    from tilesketch.model import Matrix
+    from tilesketch.operators.candidates import association
+    from tilesketch.sources import tables
+
+    m, _ = tables.matrix(spark, SF, "embed_high")
+    got = lambda df: {tuple(r) for r in df.collect()}
+    plans = []
+    for wide, counts in ((association.WIDE, 200), (0, 0)):
+        monkeypatch.setattr(association, "WIDE", wide)
+        monkeypatch.setattr(association, "COUNTS", counts)
+        cols = association.association_columns(Matrix(m.ones, m.n_rows, m.n_cols), 0.2).cache()
+        n = cols.count()
+        monkeypatch.setattr(association, "COUNTS", n if counts else 0)
+        rows = [association.rows_for(Matrix(m.ones, m.n_rows, m.n_cols), cols, rule) for rule in ("majority", "all")]
+        plans.append((got(cols), *map(got, rows)))
+    assert plans[0] == plans[1] and plans[0][1] and "MapInArrow" in association._rows_by_counts(m, cols, "all")._jdf.queryExecution().toString()
+
+
+def test_race_runs_once_to_the_largest_budget(spark):
+    from tilesketch.operators.candidates import association
+    from tilesketch.plans import select, timing
+    from tilesketch.sources import tables
+
+    m, _ = tables.matrix(spark, SF, "embed_high")
+    pool = association.association(m, 0.2)
+    rows = {(r.method, r.budget): r for r in timing.race(m, pool, (2, 6)).collect()}
+    for budget in (2, 6):
+        want = select.greedy(m, pool, budget).orderBy("step").collect()
+        for method in ("greedy", "recompute"):
+            assert (rows[method, budget].n_picks, rows[method, budget].rel_error) == (len(want), want[-1].rel_error)
+    assert all(rows[x, 2].select_s <= rows[x, 6].select_s and rows[x, 2].n_cells <= rows[x, 6].n_cells for x, _ in rows)
