@@ -137,3 +137,48 @@ def test_race_runs_once_to_the_largest_budget(spark):
         for method in ("greedy", "recompute"):
             assert (rows[method, budget].n_picks, rows[method, budget].rel_error) == (len(want), want[-1].rel_error)
     assert all(rows[x, 2].select_s <= rows[x, 6].select_s and rows[x, 2].n_cells <= rows[x, 6].n_cells for x, _ in rows)
+
+
+def test_labelled_pairs_are_run_once(spark, tmp_path):
+    from tilesketch.sources import tables
+
+    (tmp_path / "runs").mkdir()
+
+    def noted(batches, at=str(tmp_path / "runs")):
+        import uuid
+
+        open(f"{at}/{uuid.uuid4().hex}", "w").close()
+        yield from batches
+
+    rows = [(1, "b"), (1, "a"), (1, "a"), (2, "c"), (None, "d"), (3, None), (2, "ä")]
+    pairs = spark.createDataFrame(rows, "r long, item string").coalesce(1).mapInArrow(noted, "r long, item string")
+    m, names = tables.from_labels(pairs, "r", "item")
+    assert sorted(map(tuple, names.collect())) == [(0, "a"), (1, "b"), (2, "c"), (3, "d"), (4, "ä")]
+    assert sorted(map(tuple, m.ones.collect())) == [(1, 0), (1, 1), (2, 2), (2, 4)] and (m.n_rows, m.n_cols) == (2, 4)
+    assert len(list((tmp_path / "runs").iterdir())) == 1
+
+
+def test_lists_of_many_itemsets_come_from_their_low_cells(spark, monkeypatch):
+    from tilesketch.functions import hashing
+    from tilesketch.model import Pool
+    from tilesketch.operators import baskets, sketch
+    from tilesketch.operators.candidates import itemsets
+    from tilesketch.sources import tables
+
+    m, _ = tables.matrix(spark, SF, "doc_term_all")
+    sets = itemsets.itemsets(m, 0.4)
+    assert {(tuple(r["items"]), r.support) for r in sets.collect()} == {(tuple(r["items"]), r.support) for r in itemsets.level_itemsets(m, 0.4, None).collect()}
+    pool = itemsets.as_pool(m, sets)
+    assert sets.count() > 20 and max(len(r["items"]) for r in pool.used().collect()) <= pool.sides()[1].size < m.n_cols
+    fam = hashing.family(3, 5)
+    lists = lambda df: {r.tile_id: r.hashes for r in df.collect()}
+    want = lists(sketch.build(Pool(pool.tile_rows, pool.tile_cols, dominated=True), fam, 6, "enumerate"))
+    assert lists(sketch.build(pool, fam, 6)) == want
+    cells = spark.sparkContext.accumulator(0)
+    whole = baskets._fullest
+    monkeypatch.setattr(baskets, "_fullest", lambda *a: (lambda f: lambda t: (cells.add(t.num_rows), f(t))[1])(whole(*a)))
+    assert lists(sketch.build(pool, fam, 6)) == want and 0 < cells.value < 3 * 6 * sets.count()
+    monkeypatch.setattr(baskets, "_fullest", whole)
+    monkeypatch.setattr(baskets, "PART", 40)
+    monkeypatch.setattr(baskets, "TABLE", 50)
+    assert lists(baskets.lists(pool, fam, 6, slack=0.5)) == want

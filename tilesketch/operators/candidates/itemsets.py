@@ -4,11 +4,12 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilesketch.model import Matrix, Pool
-from tilesketch.operators.baskets import ItemsetPool, baskets, classes
+from tilesketch.operators.baskets import FEW_COLUMNS, ItemsetPool, baskets, classes, limited
 from tilesketch.session import cut
 
 
@@ -16,10 +17,14 @@ def itemsets(matrix: Matrix, min_support: float, max_len: int | None = None) ->
     """``tile_id, items array<long> (ascending), support`` of the itemsets in at least ``min_support`` of the rows."""
     from pyspark.ml.fpm import FPGrowth
 
-    held = baskets(matrix)
-    present = held.count()
+    held = baskets(matrix).select("items")
     need = math.ceil(min_support * matrix.n_rows - 1e-9)
-    found = FPGrowth(itemsCol="items", minSupport=min(1.0, need / max(1, present)), minConfidence=1.0).fit(held).freqItemsets
+    often = held.select(F.explode("items").alias("col_id")).groupBy("col_id").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= need).select("col_id")
+    cols = often.limit(FEW_COLUMNS + 1).toArrow().column(0).to_numpy()
+    if len(cols) <= FEW_COLUMNS:
+        held = cut(limited(held, np.sort(cols)))  # the others are in no frequent set
+    present = held.count()
+    found = FPGrowth(itemsCol="items", minSupport=min(1.0, max(0.0, need - 0.5) / max(1, present)), minConfidence=1.0).fit(held).freqItemsets
     found = found.where(F.col("freq") >= need).select(F.array_sort("items").alias("items"), F.col("freq").alias("support"))
     if max_len is not None:
         found = found.where(F.size("items") <= max_len)
