@@ -182,3 +182,16 @@ def test_lists_of_many_itemsets_come_from_their_low_cells(spark, monkeypatch):
     monkeypatch.setattr(baskets, "PART", 40)
     monkeypatch.setattr(baskets, "TABLE", 50)
     assert lists(baskets.lists(pool, fam, 6, slack=0.5)) == want
+
+
+def test_recomputed_gains_weigh_equal_rows(spark):
+    from tilesketch.model import Matrix
+    from tilesketch.operators.candidates import itemsets
+    from tilesketch.plans import select
+
+    pairs = [(r, c) for r in range(60) for c in ((0, 1, 2) if r % 3 else (1, 3))]
+    m = Matrix(spark.createDataFrame(pairs, "row_id long, col_id long"), 60, 4)
+    state = select._state(m, itemsets.as_pool(m, itemsets.level_itemsets(m, 0.1, None)))
+    assert state.all_gains().tolist() == state.alone.tolist() == [state.gain(i) for i in range(len(state.ids))]
+    state.pick(0)
+    assert state.all_gains().tolist() == [state.gain(i) for i in range(len(state.ids))]
