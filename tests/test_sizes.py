@@ -195,3 +195,31 @@ def test_recomputed_gains_weigh_equal_rows(spark):
     assert state.all_gains().tolist() == state.alone.tolist() == [state.gain(i) for i in range(len(state.ids))]
     state.pick(0)
     assert state.all_gains().tolist() == [state.gain(i) for i in range(len(state.ids))]
+
+
+def test_redescriptions_are_chosen_by_bitmaps(spark, monkeypatch):
+    from tilesketch import workloads
+    from tilesketch.model import Matrix, Pool
+    from tilesketch.operators.candidates import redescriptions
+    from tilesketch.plans import select
+
+    left, right = workloads._views(spark, SF)
+    both = redescriptions.met(left, right)
+    found = redescriptions.redescriptions(left, right, 0.4, 20, both)
+    pairs = redescriptions.best_pairs(found, 30).cache()
+    pool = redescriptions.as_pool(pairs, left, right, workloads._pred_names(left, right), both)
+    m = redescriptions.union_matrix(pool, 200, 1000)
+    plain_pool = Pool(pool.tile_rows, pool.tile_cols, dominated=True)
+    plain_matrix = Matrix(m.ones, m.n_rows, m.n_cols)
+    assert isinstance(select._state(m, pool), select.PackedState) and not isinstance(select._state(plain_matrix, plain_pool), select.PackedState)
+    picks = lambda t: [tuple(r) for r in t.select("step", "tile_id", "estimate", "gain", "error", "rel_error", "n_checked").orderBy("step").collect()]
+    for o in ({}, {"sketch_k": 5, "reps": 3, "cutoff": 10**8}, {"merge": "concat"}):
+        assert picks(select.hashed(m, pool, **o)) == picks(select.hashed(plain_matrix, plain_pool, **o))
+    for o in ({}, {"incremental": False}, {"lazy": True}):
+        assert picks(select.greedy(m, pool, **o)) == picks(select.greedy(plain_matrix, plain_pool, **o))
+    # rows beyond what a table of rows and columns may take still fit as bits
+    assert select._fits(m, pool, 2000) and not select._fits(plain_matrix, plain_pool, 2000)
+    exploded = right.select(F.explode("preds").alias("pred"), "entity_id")
+    want = sorted(map(tuple, found.collect()))
+    monkeypatch.setattr(redescriptions, "PAIRS", 100)
+    assert sorted(map(tuple, redescriptions.redescriptions(left, exploded, 0.4, 20).collect())) == want and want
