@@ -223,3 +223,51 @@ def test_redescriptions_are_chosen_by_bitmaps(spark, monkeypatch):
     want = sorted(map(tuple, found.collect()))
     monkeypatch.setattr(redescriptions, "PAIRS", 100)
     assert sorted(map(tuple, redescriptions.redescriptions(left, exploded, 0.4, 20).collect())) == want and want
+
+
+def test_labels_of_few_keys_are_the_bits_of_a_row(spark, monkeypatch):
+    from tilesketch.operators.baskets import classes, few_classes
+    from tilesketch.sources import tables
+
+    facts = spark.createDataFrame([(1, 10), (1, 11), (1, 10), (2, 12), (2, 13), (3, 99), (4, None), (None, 14), (5, 14), (5, 10), (6, 10), (7, 10)], "row_id long, key int")
+    few = [(10, "b"), (10, "b"), (11, "a"), (12, "é"), (13, None), (14, "a"), (15, "unused"), (None, "c")]
+    stray = [(10, "b"), (11, "a"), (12, "d"), (14, "null row only"), (14, "a")]
+    many = [(10 + i % 5, f"x{i}") for i in range(70)]
+    classed = lambda m: {(tuple(r["items"]), r.n) for r in classes(m).collect()}
+    for keys in (few, stray, many, []):
+        keys = spark.createDataFrame(keys, "key int, item string")
+        want, names = tables.from_labels(facts.join(keys, "key").select("row_id", "item"), "row_id", "item")
+        for small in (tables.SMALL, 0):
+            monkeypatch.setattr(tables, "SMALL", small)
+            got, named = tables.from_keys(facts, keys)
+            assert (got.n_rows, got.n_cols) == (want.n_rows, want.n_cols)
+            assert sorted(got.ones.collect()) == sorted(want.ones.collect())
+            assert {tuple(r) for r in named.collect()} == {tuple(r) for r in names.collect()}
+            assert classed(got) == classed(want)
+            n, held = few_classes(got)
+            assert {(tuple(x), int(k)) for x, k in zip(held.to_pylist(), n, strict=True)} == classed(want)
+        monkeypatch.undo()
+
+
+def test_few_classes_are_mined_by_the_driver(spark, monkeypatch):
+    from tilesketch.operators import baskets
+    from tilesketch.operators.candidates import itemsets
+    from tilesketch.sources import tables
+
+    m, _ = tables.matrix(spark, SF, "order_brand")
+    got = lambda **o: {(r.tile_id, tuple(r["items"]), r.support) for r in itemsets.level_itemsets(m, 0.004, **o).collect()}
+    asked = []
+    monkeypatch.setattr(itemsets, "_mined", lambda *a, mined=itemsets._mined: asked.append(a) or mined(*a))
+    whole, pairs = got(max_len=None), got(max_len=2)
+    pool = itemsets.as_pool(m, itemsets.level_itemsets(m, 0.004, None))
+    supports, ones = pool.supports(), pool.column_counts()
+    assert len(asked) == 3 and "classes" not in m.cache  # no table of classes, no worker
+    assert {s for _, i, s in whole if len(i) == 1} == set(ones.tolist()) and sorted(supports) == sorted(s for _, _, s in whole)
+    monkeypatch.setattr(itemsets, "MOST_READ", 0)
+    assert got(max_len=None) == whole
+    monkeypatch.setattr(baskets, "SMALL", 0)
+    m = tables.matrix(spark, SF, "order_brand")[0]
+    m.cache.pop("few classes")
+    assert got(max_len=None) == whole and got(max_len=2) == pairs
+    plain = itemsets.as_pool(m, itemsets.level_itemsets(m, 0.004, None))
+    assert plain.supports().tolist() == supports.tolist() and plain.column_counts().tolist() == ones.tolist()

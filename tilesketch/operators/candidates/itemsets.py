@@ -5,13 +5,16 @@ from __future__ import annotations
 import math
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilesketch.model import Matrix, Pool
-from tilesketch.operators.baskets import FEW_COLUMNS, ItemsetPool, baskets, classes, limited
+from tilesketch.operators.baskets import FEW_COLUMNS, ItemsetPool, baskets, classes, few_classes, limited
 from tilesketch.session import cut
 
+MOST_READ = 1_000_000_000  # cells that the driver looks at before tasks do the mining
+
 
 def itemsets(matrix: Matrix, min_support: float, max_len: int | None = None) -> DataFrame:
     """``tile_id, items array<long> (ascending), support`` of the itemsets in at least ``min_support`` of the rows."""
@@ -33,8 +36,14 @@ def itemsets(matrix: Matrix, min_support: float, max_len: int | None = None) ->
 
 def level_itemsets(matrix: Matrix, min_support: float, max_len: int | None = 2) -> DataFrame:
     """The same rows as ``itemsets`` up to a length (None: until a level is empty), level by level with joins over the distinct
-    baskets; no model is built."""
+    baskets; no model is built.  Where these are few, the driver counts them."""
     need = math.ceil(min_support * matrix.n_rows - 1e-9)
+    few = few_classes(matrix)
+    found = None if few is None else _mined(*few, need, max_len)
+    if found:
+        items, support = zip(*found, strict=True)
+        sets = matrix.ones.sparkSession.createDataFrame(pa.table({"items": pa.array(items, pa.list_(pa.int64())), "support": pa.array(support, pa.int64())}))
+        return sets.select(tile_key("items").alias("tile_id"), "items", "support")
     ones = cut(classes(matrix).select(F.monotonically_increasing_id().alias("row_id"), "n", "items")).select("row_id", "n", F.explode("items").alias("col_id"))
     freq = cut(ones.groupBy("col_id").agg(F.sum("n").alias("support")).where(F.col("support") >= need))
     ones = ones.join(F.broadcast(freq.select("col_id")), "col_id", "left_semi")
@@ -53,6 +62,30 @@ def level_itemsets(matrix: Matrix, min_support: float, max_len: int | None = 2)
     return cut(out.select(tile_key("items").alias("tile_id"), "items", "support"))
 
 
+def _mined(weight: np.ndarray, lists: pa.Array, need: int, max_len: int | None) -> list[tuple[list[int], int]] | None:
+    """The frequent itemsets and their supports, from classes of rows; None when there is too much to look at."""
+    row = np.repeat(np.arange(len(lists)), np.asarray(lists.value_lengths()).astype(np.int64))
+    cols, at = np.unique(np.asarray(lists.flatten()).astype(np.int64), return_inverse=True)
+    held = np.zeros((len(lists), len(cols)), bool)
+    held[row, at] = True
+    out, read, todo = [], 0, [((), np.arange(len(lists)))]
+    while todo:
+        items, rows = todo.pop()
+        low = items[-1] + 1 if items else 0
+        read += len(rows) * (len(cols) - low)
+        if read > MOST_READ:
+            return None
+        inside, n = held[rows, low:], np.zeros(len(cols) - low, np.int64)
+        for a in range(0, len(rows), 65_536):
+            n += weight[rows[a : a + 65_536]] @ inside[a : a + 65_536]
+        for j in np.flatnonzero(n >= max(1, need)).tolist():
+            more = (*items, low + j)
+            out.append((cols[list(more)].tolist(), int(n[j])))
+            if max_len is None or len(more) < max_len:
+                todo.append((more, rows[inside[:, j]]))
+    return out
+
+
 def tile_key(items):
     """An id of an itemset: for up to three items below 10^5 their digits, else a hash."""
     items = F.col(items) if isinstance(items, str) else items
