@@ -271,3 +271,17 @@ def test_few_classes_are_mined_by_the_driver(spark, monkeypatch):
     assert got(max_len=None) == whole and got(max_len=2) == pairs
     plain = itemsets.as_pool(m, itemsets.level_itemsets(m, 0.004, None))
     assert plain.supports().tolist() == supports.tolist() and plain.column_counts().tolist() == ones.tolist()
+
+
+def test_restarts_sketch_all_seeds_in_one_pass(spark, monkeypatch):
+    from tilesketch import workloads
+    from tilesketch.operators import sketch
+    from tilesketch.plans import select
+
+    m, pool = workloads._brand(spark, SF)
+    ends = {s: select.hashed(m, pool, 4, 10, 3, seed=s).orderBy("step").collect()[-1] for s in (1, 2, 3)}
+    passes = []
+    monkeypatch.setattr(sketch, "itemset_lists", lambda *a, made=sketch.itemset_lists: passes.append(a) or made(*a))
+    got = select.restarts(m, pool, [1, 2, 3], max_tiles=4, sketch_k=10, reps=3).collect()
+    assert {(r.seed, r.n_picks, r.error, r.rel_error) for r in got} == {(s, r.step, r.error, r.rel_error) for s, r in ends.items()}
+    assert len(passes) == 1
