@@ -285,3 +285,28 @@ def test_restarts_sketch_all_seeds_in_one_pass(spark, monkeypatch):
     got = select.restarts(m, pool, [1, 2, 3], max_tiles=4, sketch_k=10, reps=3).collect()
     assert {(r.seed, r.n_picks, r.error, r.rel_error) for r in got} == {(s, r.step, r.error, r.rel_error) for s, r in ends.items()}
     assert len(passes) == 1
+
+
+def test_sets_are_not_read_for_each_count(spark, monkeypatch):
+    from tilesketch.operators.candidates import itemsets
+    from tilesketch.plans import select
+
+    read = spark.sparkContext.accumulator(0)
+
+    def counted(batches):
+        for b in batches:
+            read.add(b.num_rows)
+            yield b
+
+    sets = spark.createDataFrame([(s, e) for s in range(20) for e in range(s, 100, s + 1) for _ in range(1 + e % 2)], "set_id long, element long")
+    n, got = sets.count(), []
+    for few in (itemsets.FEW_PAIRS, 0):
+        monkeypatch.setattr(itemsets, "FEW_PAIRS", few)
+        before = read.value
+        m, pool = itemsets.from_sets(sets.mapInArrow(counted, sets.schema))
+        got.append([r[:6] for r in select.greedy(m, pool, goal="cover").orderBy("step").collect()])
+        assert read.value - before <= 2 * n  # once to count, once to read
+        assert m.n_rows == m.ones.count() == 100 and pool.tile_cols.count() == 20
+        assert {tuple(r) for r in pool.tile_rows.collect()} == {tuple(r) for r in sets.distinct().collect()}
+        assert [r[:6] for r in select.greedy(m, pool, 3, local_cells=0).orderBy("step").collect()] == got[-1][:3]
+    assert got[0] == got[1] and got[0][-1][4] == 0

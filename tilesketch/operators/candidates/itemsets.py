@@ -13,6 +13,7 @@ from tilesketch.model import Matrix, Pool
 from tilesketch.operators.baskets import FEW_COLUMNS, ItemsetPool, baskets, classes, few_classes, limited
 from tilesketch.session import cut
 
+FEW_PAIRS = 8_000_000  # pairs of sets and elements that the driver takes as they are
 MOST_READ = 1_000_000_000  # cells that the driver looks at before tasks do the mining
 
 
@@ -120,11 +121,36 @@ def add_singletons(pool: Pool, matrix: Matrix) -> Pool:
     return Pool(pool.tile_rows.unionByName(rows), pool.tile_cols.unionByName(cols), dominated=pool.dominated)
 
 
+def _few_pairs(sets: DataFrame) -> tuple[np.ndarray, np.ndarray] | None:
+    """The distinct pairs by set and element on the driver; None where they are many or some are null."""
+    if sets.count() > FEW_PAIRS:
+        return None
+    got = sets.select(F.col("set_id").cast("long"), F.col("element").cast("long")).toArrow()
+    if not got.num_rows or got.column(0).null_count or got.column(1).null_count:
+        return None
+    tile, row = (got.column(i).to_numpy() for i in range(2))
+    order = np.lexsort((row, tile))
+    tile, row = tile[order], row[order]
+    first = np.ones(len(row), bool)
+    first[1:] = (tile[1:] != tile[:-1]) | (row[1:] != row[:-1])
+    return tile[first], row[first]
+
+
 def from_sets(sets: DataFrame, elements: DataFrame | None = None) -> tuple[Matrix, Pool]:
     """Set cover as one column: ``sets(set_id, element)`` become column vectors.  With ``elements(element, positive)``, the
-    positive ones are the matrix and the others are zeros."""
+    positive ones are the matrix and the others are zeros.  Few pairs come to the driver once, and repeats go there."""
     one = F.lit(0).cast("long").alias("col_id")
-    every = sets.select(F.col("element").alias("row_id")).distinct() if elements is None else elements.where("positive").select(F.col("element").alias("row_id"))
-    size = (sets.select("element") if elements is None else elements.select("element").union(sets.select("element"))).distinct().count()
-    pool = Pool(sets.select(F.col("set_id").alias("tile_id"), F.col("element").alias("row_id")).distinct(), sets.select(F.col("set_id").alias("tile_id"), one).distinct(), dominated=elements is None)
-    return Matrix(every.select("row_id", one), size, 1), pool
+    few = _few_pairs(sets) if elements is None else None
+    if few is not None:
+        held = sets.select(F.col("set_id").alias("tile_id"), F.col("element").alias("row_id"))  # for those who ask for tables
+        pool = Pool(held.distinct(), held.select("tile_id", one).distinct(), dominated=True, cache={"pairs": few})
+        return Matrix(held.select("row_id", one).distinct(), len(np.unique(few[1])), 1, {"sets": pool}), pool
+    held = cut(sets.select(F.col("set_id").alias("tile_id"), F.col("element").alias("row_id")).distinct())  # the source is read once
+    names, inside = cut(held.select("tile_id").distinct()), held.select("row_id").distinct()
+    if elements is None:
+        every = cut(inside)
+        size = every.count()
+    else:
+        every = elements.where("positive").select(F.col("element").alias("row_id"))
+        size = elements.select(F.col("element").alias("row_id")).union(inside).distinct().count()
+    return Matrix(every.select("row_id", one), size, 1), Pool(held, names.select("tile_id", one), dominated=elements is None)
