@@ -310,3 +310,15 @@ def test_sets_are_not_read_for_each_count(spark, monkeypatch):
         assert {tuple(r) for r in pool.tile_rows.collect()} == {tuple(r) for r in sets.distinct().collect()}
         assert [r[:6] for r in select.greedy(m, pool, 3, local_cells=0).orderBy("step").collect()] == got[-1][:3]
     assert got[0] == got[1] and got[0][-1][4] == 0
+
+
+def test_every_redescription_is_a_candidate(spark):
+    from tilesketch.plans import apps
+
+    n = 170
+    views = [spark.createDataFrame([(f"{side}{i}", 2 * i + x) for i in range(n) for x in (0, 1)], "pred string, entity_id long") for side in "lr"]
+    names = spark.createDataFrame([(f"{side}{i}", i + n * (side == "r")) for side in "lr" for i in range(n)], "pred string, col_id long")
+    trace, m, _ = apps.redescription_set(*views, names, 2 * n, 2 * n, 0.4, 2)
+    steps = trace.orderBy("step").collect()
+    assert {(r.q_left, r.q_right) for r in steps} == {(f"l{i}", f"r{i}") for i in range(n)} and steps[-1].error == 0
+    assert m.ones.count() == sum(r.gain for r in steps) == 4 * n
