@@ -322,3 +322,31 @@ def test_every_redescription_is_a_candidate(spark):
     steps = trace.orderBy("step").collect()
     assert {(r.q_left, r.q_right) for r in steps} == {(f"l{i}", f"r{i}") for i in range(n)} and steps[-1].error == 0
     assert m.ones.count() == sum(r.gain for r in steps) == 4 * n
+
+
+def test_association_tiles_are_chosen_by_bitmaps(spark):
+    from tilesketch.model import Pool
+    from tilesketch.operators.candidates import association
+    from tilesketch.plans import select
+    from tilesketch.sources import tables
+
+    m, _ = tables.matrix(spark, SF, "embed_high")
+    picks = lambda t: [tuple(r) for r in t.select("step", "tile_id", "estimate", "gain", "error", "rel_error", "n_checked", "n_cells").orderBy("step").collect()]
+    one = association.association(m, 0.2)
+    for pool in (one, association.joined(one, association.association(m, 0.3), association.restart_walk(m))):
+        plain = Pool(pool.tile_rows, pool.tile_cols)
+        state, want = select._state(m, pool), select.LocalState(m, plain)
+        assert isinstance(state, select.BitState) and state.ids.tolist() == want.ids.tolist()
+        # bits of rows, and of the ones and zeros of columns; no table of rows by columns, no entry of a pattern
+        words = -(-len(state.row_ids) // 64)
+        assert sum(x.nbytes for x in (state.bits, state.open, state.shut)) == 8 * words * (len(state.ids) + 2 * len(state.col_ids)) and not hasattr(state, "w")
+        assert (state.alone.tolist(), state.zeros.tolist(), state.size.tolist()) == (want.alone.tolist(), want.zeros.tolist(), want.size.tolist())
+        for o in ({}, {"sketch_k": 5, "reps": 3, "cutoff": 10**8}, {"merge": "concat"}):
+            assert picks(select.hashed(m, pool, 8, mode="inexact", **o)) == picks(select.hashed(m, plain, 8, mode="inexact", **o))
+        gains = state.alone.copy()
+        for i in (2, 5, 11):
+            lost = state.losses(i, state.pick(i))
+            assert lost.tolist() == want.losses(i, want.pick(i)).tolist() and state.error == want.error
+            gains = gains - lost
+            assert gains.tolist() == state.all_gains().tolist()
+        assert select._fits(m, pool, 20_000) and not select._fits(m, plain, 7_000)
