@@ -350,3 +350,18 @@ def test_association_tiles_are_chosen_by_bitmaps(spark):
             gains = gains - lost
             assert gains.tolist() == state.all_gains().tolist()
         assert select._fits(m, pool, 20_000) and not select._fits(m, plain, 7_000)
+
+
+def test_walks_over_few_columns_are_the_joins(spark, monkeypatch):
+    from tilesketch.operators.candidates import association
+    from tilesketch.sources import tables
+
+    for name in ("embed_high", "user_typehour"):
+        m, _ = tables.matrix(spark, SF, name)
+        few = association.restart_walk_columns(m)
+        assert not any(x in few._jdf.queryExecution().toString() for x in ("Join", "Window"))
+        monkeypatch.setattr(association, "FEW", 0)
+        want = association.restart_walk_columns(m)
+        assert {tuple(r) for r in few.collect()} == {tuple(r) for r in want.collect()} and few.count()
+        monkeypatch.undo()
+    assert association.association_columns(m, 0.2).count() and association._pair_counts(m) is association._pair_counts(m)
