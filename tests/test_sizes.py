@@ -365,3 +365,27 @@ def test_walks_over_few_columns_are_the_joins(spark, monkeypatch):
         assert {tuple(r) for r in few.collect()} == {tuple(r) for r in want.collect()} and few.count()
         monkeypatch.undo()
     assert association.association_columns(m, 0.2).count() and association._pair_counts(m) is association._pair_counts(m)
+
+
+def test_many_sets_are_numbered_lists(spark, monkeypatch):
+    import numpy as np
+
+    from tilesketch.operators.candidates import itemsets
+    from tilesketch.plans import select
+
+    rng = np.random.default_rng(11)
+    pairs = {(int(s) * 7 - 90, int(e) * 10**10) for s, e in zip(rng.integers(0, 60, 900), rng.integers(0, 300, 900), strict=True)}
+    sets = spark.createDataFrame(sorted(pairs) * 2, "set_id long, element long")
+    picks = lambda t: [(r.step, r.tile_id, r.estimate, r.gain, r.error, r.n_checked) for r in t.orderBy("step").collect()]
+    runs = []
+    for few, block in ((itemsets.FEW_PAIRS, select.BLOCK), (0, select.BLOCK), (0, 100)):
+        monkeypatch.setattr(itemsets, "FEW_PAIRS", few)
+        monkeypatch.setattr(select, "BLOCK", block)
+        m, pool = itemsets.from_sets(sets)
+        state = select._state(m, pool)
+        assert isinstance(state, select.SetState) == (not few)
+        if not few:  # four bytes an entry, and as many for the sets of each element
+            state.prepare()
+            assert state.flat.nbytes == state.members[1].nbytes == 4 * len(pairs)
+        runs.append([picks(select.greedy(m, pool, goal="cover", **o)) for o in ({}, {"lazy": True}, {"incremental": False})] + [picks(select.hashed(m, pool, 6, 5, 3))])
+    assert runs[0] == runs[1] == runs[2] and runs[0][0][-1][4] == 0

@@ -153,4 +153,6 @@ def from_sets(sets: DataFrame, elements: DataFrame | None = None) -> tuple[Matri
     else:
         every = elements.where("positive").select(F.col("element").alias("row_id"))
         size = elements.select(F.col("element").alias("row_id")).union(inside).distinct().count()
-    return Matrix(every.select("row_id", one), size, 1), Pool(held, names.select("tile_id", one), dominated=elements is None)
+    pool = Pool(held, names.select("tile_id", one), dominated=elements is None)
+    known = elements is None and held.where("tile_id is null or row_id is null").isEmpty()
+    return Matrix(every.select("row_id", one), size, 1, {"sets": pool} if known else {}), pool
