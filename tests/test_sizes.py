@@ -349,7 +349,7 @@ def test_association_tiles_are_chosen_by_bitmaps(spark):
             assert lost.tolist() == want.losses(i, want.pick(i)).tolist() and state.error == want.error
             gains = gains - lost
             assert gains.tolist() == state.all_gains().tolist()
-        assert select._fits(m, pool, 20_000) and not select._fits(m, plain, 7_000)
+        assert select._fits(m, pool, 60_000) and not select._fits(m, plain, 7_000)
 
 
 def test_walks_over_few_columns_are_the_joins(spark, monkeypatch):
@@ -389,3 +389,18 @@ def test_many_sets_are_numbered_lists(spark, monkeypatch):
             assert state.flat.nbytes == state.members[1].nbytes == 4 * len(pairs)
         runs.append([picks(select.greedy(m, pool, goal="cover", **o)) for o in ({}, {"lazy": True}, {"incremental": False})] + [picks(select.hashed(m, pool, 6, 5, 3))])
     assert runs[0] == runs[1] == runs[2] and runs[0][0][-1][4] == 0
+
+
+def test_race_holds_bitmaps(spark, monkeypatch):
+    from tilesketch.operators.candidates import association
+    from tilesketch.plans import select, timing
+    from tilesketch.sources import tables
+
+    m, _ = tables.matrix(spark, SF, "embed_high")
+    pool = association.association(m, 0.3)
+    want = select.LocalState(m, pool)
+    log = select._Log(m)
+    select.greedy_local(want, log, 5, True, False)
+    monkeypatch.setattr(select.LocalState, "__init__", lambda *a: (_ for _ in ()).throw(MemoryError("rows by columns")))
+    rows = {r.method: r for r in timing.race(m, pool, (5,)).collect()}
+    assert rows["greedy"].rel_error == rows["recompute"].rel_error == log.rows[-1][5] and set(rows) == {"hashed", "greedy", "recompute", "static"}
